@@ -11,6 +11,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: ASCII white space, the only separators the text contracts know.
 ASCII_SPACE = b" \t\n\x0b\x0c\r"
@@ -67,15 +68,15 @@ def utf8(array: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw, off - off[0]
 
 
-def pieces(batch: pa.RecordBatch, column: str, limit: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:
-    """Slices of a batch with about `limit` bytes of text each, at least one row."""
+def pieces(batch: pa.RecordBatch, column: str, limit: int = CHUNK_BYTES, most_rows: int = 1 << 30) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch with about `limit` bytes of text and at most `most_rows` rows, one at least."""
     if not batch.num_rows:
         return
     _, off = utf8(batch.column(batch.schema.get_field_index(column)))
     start, rows = 0, batch.num_rows
     while start < rows:
         stop = int(np.searchsorted(off, off[start] + limit, side="right")) - 1
-        stop = min(rows, max(stop, start + 1))
+        stop = min(rows, max(stop, start + 1), start + most_rows)
         yield batch.slice(start, stop - start)
         start = stop
 
@@ -83,3 +84,31 @@ def pieces(batch: pa.RecordBatch, column: str, limit: int = CHUNK_BYTES) -> Iter
 def field(df: DataFrame, column: str):
     """The schema field of a column, for operators that pass an id of any type through."""
     return df.schema[column]
+
+
+def unit_hash(seed: int, *columns: str):
+    """A number in [0, 1) from the columns' hash, the same on every run."""
+    return F.pmod(F.xxhash64(F.lit(seed), *columns), F.lit(1 << 40)).cast("double") / float(1 << 40)
+
+
+def stratified(rows: DataFrame, key: str, total: int, seed: int, *id_cols: str) -> DataFrame:
+    """About `total` rows at most, an equal share for each value of `key`, chosen by a hash.
+
+    The values of `key` are classes (languages, labels): their counts are collected.
+    """
+    counts = {r[0]: r[1] for r in rows.groupBy(key).count().collect()}
+    if not counts:
+        return rows.limit(0)
+    share = total / len(counts)
+    fraction = F.lit(0.0)
+    for value, n in counts.items():
+        fraction = F.when(F.col(key) == F.lit(value), F.lit(share / n)).otherwise(fraction)
+    return rows.filter(unit_hash(seed, *id_cols) < fraction)
+
+
+def code_points(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Code points of all texts, one line feed after each, and the text each belongs to."""
+    joined = "\n".join(texts) + "\n"
+    points = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
+    owner = np.repeat(np.arange(len(texts), dtype=np.int64), np.fromiter((len(t) + 1 for t in texts), np.int64, len(texts)))
+    return points, owner

@@ -44,7 +44,40 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"), limit=4096)
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_line_dedup, op2_warc, op3_exact_topk, op4_mixing, op9_token_counts)}
+def _bucket(modulus: int):
+    """crc32 of the id's text, modulo."""
+    return F.crc32(F.col("doc_id").cast("string").cast("binary")) % modulus
+
+
+def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .language_id import fit, predict
+
+    docs = _table(spark, sf_dir, "documents")
+    model = fit(docs.filter(_bucket(4) != 2))
+    return predict(docs, model).select("doc_id", F.coalesce(_bucket(4) == 2, F.lit(False)).alias("held_out"), "lang_pred", "score", "rejected")
+
+
+def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .decontamination import find_items
+
+    return find_items(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .quality import fit, score
+
+    docs = _table(spark, sf_dir, "documents")
+    model = fit(docs, _table(spark, sf_dir, "labels").filter(_bucket(5) != 0))
+    return score(docs, model, threshold=0.3).select("doc_id", F.coalesce(_bucket(5) == 0, F.lit(False)).alias("held_out"), "score", "predicted")
+
+
+def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .jaccard_join import jaccard_components
+
+    return jaccard_components(_table(spark, sf_dir, "documents"), width=5, percent=80)
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_line_dedup, op2_warc, op3_exact_topk, op4_mixing, op6_language_id, op7_decontamination, op8_quality, op9_token_counts, op10_jaccard_join)}
 
 SPACE = r"[\x20\x09-\x0D]"
 WORD = r"[^\x20\x09-\x0D]+"
@@ -92,5 +125,18 @@ h AS (SELECT *, greatest(target - whole * s, 0.0) AS lack FROM f),
 o AS (SELECT doc_id, size, s, target, whole, lack, sum(size) OVER (PARTITION BY d.source ORDER BY u, doc_id NULLS FIRST, size ROWS UNBOUNDED PRECEDING) AS upto
       FROM d JOIN h ON d.source IS NOT DISTINCT FROM h.source)
 SELECT doc_id, size, s AS source_size, target, (size * (whole + (CASE WHEN lack > 0 AND 2 * upto - size <= 2 * lack THEN 1 ELSE 0 END)))::BIGINT AS taken FROM o
+""",
+    "op10_jaccard_join": rf"""
+WITH RECURSIVE w AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all({LOWER.format("coalesce(text, '')")}, '{WORD}') AS ws FROM documents),
+s AS (SELECT r, doc_id, CASE WHEN len(ws) = 0 THEN [] WHEN len(ws) < 5 THEN [array_to_string(ws, ' ')]
+      ELSE list_transform(range(1, len(ws) - 3), lambda i: array_to_string(ws[i:i + 4], ' ')) END AS sh FROM w),
+e AS (SELECT DISTINCT r, unnest(sh) AS g FROM s),
+n AS (SELECT s.r, s.doc_id, count(e.g) AS n FROM s LEFT JOIN e USING (r) GROUP BY s.r, s.doc_id),
+i AS (SELECT a.r AS x, b.r AS y, count(*) AS c FROM e a JOIN e b ON a.g = b.g AND a.r < b.r GROUP BY a.r, b.r),
+l AS (SELECT x, y FROM i JOIN n p ON p.r = x JOIN n q ON q.r = y WHERE 100 * c >= 80 * (p.n + q.n - c)),
+both_ways AS (SELECT x, y FROM l UNION ALL SELECT y, x FROM l),
+reach AS (SELECT r, r AS t FROM n UNION SELECT reach.r, b.y FROM reach JOIN both_ways b ON reach.t = b.x)
+SELECT n.doc_id, n.n AS n_shingles, min(m.doc_id) AS component_id
+FROM n JOIN reach ON reach.r = n.r JOIN n m ON m.r = reach.t GROUP BY n.r, n.doc_id, n.n
 """,
 }

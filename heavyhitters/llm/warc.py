@@ -13,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import new_path
+from .common import materialise, new_path
 
 CRLF = "\r\n"
 
@@ -55,11 +55,15 @@ def write_archive(pages: DataFrame, path: str | None = None, min_revisit_bytes:
     base = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), payload.alias("payload"))
     base = base.select("*", F.sha2("payload", 256).alias("key"), F.octet_length("payload").cast("long").alias("n"))
     slot = F.concat_ws(":", "key", F.coalesce(F.col("page_id").cast("string"), F.lit("null")))
-    holders = base.groupBy("key").agg(F.max("page_id").alias("holder"))
+    narrow = materialise(base.select("page_id", "url", "key", "n", F.sha1("payload").alias("sha1"), slot.alias("slot")), "warc-index")
+    holders = narrow.groupBy("key").agg(F.max("page_id").alias("holder"))
     slots = holders.select(F.concat_ws(":", "key", F.coalesce(F.col("holder").cast("string"), F.lit("null"))).alias("slot"))
-    base.select(slot.alias("slot"), "key", "payload").join(slots, "slot", "left_semi").dropDuplicates(["slot"]).select("key", "payload").write.option("compression", "zstd").parquet(f"{path}/payloads")
+    payloads = base.select(slot.alias("slot"), "key", "payload").join(slots.hint("shuffle_hash"), "slot", "left_semi")
+    if not narrow.groupBy("slot").count().filter("count > 1").isEmpty():  # rows that repeat id and payload
+        payloads = payloads.dropDuplicates(["slot"])
+    payloads.select("key", "payload").write.option("compression", "zstd").parquet(f"{path}/payloads")
 
-    rows = base.select("page_id", "url", "key", "n", F.sha1("payload").alias("sha1")).join(holders, "key")
+    rows = narrow.join(holders, "key")
     revisit = (F.col("n") >= min_revisit_bytes) & ~F.col("page_id").eqNullSafe(F.col("holder"))
     kind = F.when(revisit, F.lit("revisit")).otherwise(F.lit("response"))
     header = F.concat(
@@ -80,11 +84,11 @@ def write_archive(pages: DataFrame, path: str | None = None, min_revisit_bytes:
 
 
 def read_records(spark: SparkSession, archive: Archive) -> DataFrame:
-    """(page_id, key, record binary): every record as its exact bytes, header, block and end mark."""
+    """(page_id, key, head_bytes, record binary): every record as its exact bytes, header, block and end mark."""
     end = F.encode(F.lit(CRLF + CRLF), "UTF-8")
-    headers = archive.headers(spark)
-    full = headers.filter(~F.col("is_revisit")).join(archive.payloads(spark), "key").select("page_id", "key", F.concat("header", "payload", end).alias("record"))
-    return full.unionByName(headers.filter("is_revisit").select("page_id", "key", F.concat("header", end).alias("record")))
+    headers = archive.headers(spark).withColumn("head_bytes", F.octet_length("header"))
+    full = headers.filter(~F.col("is_revisit")).join(archive.payloads(spark), "key").select("page_id", "key", "head_bytes", F.concat("header", "payload", end).alias("record"))
+    return full.unionByName(headers.filter("is_revisit").select("page_id", "key", "head_bytes", F.concat("header", end).alias("record")))
 
 
 def _said(name: str, pattern: str) -> Column:
@@ -93,11 +97,10 @@ def _said(name: str, pattern: str) -> Column:
 
 def parse_records(records: DataFrame) -> DataFrame:
     """(page_id, record_type, refers, stated, n, digest, block): what the bytes say, digests recomputed."""
-    text = F.decode("record", "UTF-8")
-    head = F.substring_index(text, CRLF + CRLF, 1)
-    parsed = records.select("page_id", "record", F.concat(head, F.lit(CRLF)).alias("head"))
+    head = F.decode(F.substring(F.col("record"), F.lit(1), F.col("head_bytes")), "UTF-8")
+    parsed = records.select("page_id", "record", "head_bytes", head.alias("head"))
     parsed = parsed.select("*", _said("Content-Length", "([0-9]+)").cast("int").alias("n"))
-    block = F.substring(F.col("record"), F.octet_length("head") + 3, F.col("n"))
+    block = F.substring(F.col("record"), F.col("head_bytes") + 1, F.col("n"))
     parsed = parsed.select("page_id", "head", block.alias("block"))
     return parsed.select("page_id", _said("WARC-Type", "([a-z]+)").alias("record_type"), _said("WARC-Refers-To", "<urn:page:([^>]*)>").alias("refers"), _said("WARC-Payload-Digest", "sha1:([0-9a-f]+)").alias("stated"), F.octet_length("block").cast("long").alias("n"), F.sha1("block").alias("digest"), "block")
 
