@@ -44,6 +44,12 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"), limit=4096)
 
 
+def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_dedup import dedup_strings
+
+    return dedup_strings(_table(spark, sf_dir, "documents"), length=50)
+
+
 def _bucket(modulus: int):
     """crc32 of the id's text, modulo."""
     return F.crc32(F.col("doc_id").cast("string").cast("binary")) % modulus
@@ -77,7 +83,7 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(_table(spark, sf_dir, "documents"), width=5, percent=80)
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_line_dedup, op2_warc, op3_exact_topk, op4_mixing, op6_language_id, op7_decontamination, op8_quality, op9_token_counts, op10_jaccard_join)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_line_dedup, op2_warc, op3_exact_topk, op4_mixing, op5_suffix_dedup, op6_language_id, op7_decontamination, op8_quality, op9_token_counts, op10_jaccard_join)}
 
 SPACE = r"[\x20\x09-\x0D]"
 WORD = r"[^\x20\x09-\x0D]+"
