@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 import os
 import tempfile
+import time
 import uuid
 from collections.abc import Iterator
 
@@ -16,7 +17,7 @@ from pyspark.sql import functions as F
 #: ASCII white space, the only separators the text contracts know.
 ASCII_SPACE = b" \t\n\x0b\x0c\r"
 #: Text bytes handled at once inside a Python worker; bounds every temporary array.
-CHUNK_BYTES = 2 << 20
+CHUNK_BYTES = 1 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -46,9 +47,15 @@ def materialise(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
 
 
 def release(spark: SparkSession) -> None:
-    """Let Spark drop the shuffle files of finished stages whose frames are gone."""
-    gc.collect()
-    spark._jvm.System.gc()
+    """Let Spark drop the shuffle files of finished stages whose frames are gone.
+
+    The cleaner learns of them by the driver's garbage collection; the second pass
+    reaches what the first has unlinked.
+    """
+    for _ in range(2):
+        gc.collect()
+        spark._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def utf8(array: pa.Array) -> tuple[np.ndarray, np.ndarray]:

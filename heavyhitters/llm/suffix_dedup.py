@@ -25,10 +25,12 @@ from .fingerprints import mix, powers, prefix, spans
 
 #: Bytes of the q-grams that anchors are.
 GRAM = 16
-#: Text bytes of a group of documents, and anchors of a bucket, about.
-GROUP_BYTES = 12 << 20
+#: Text bytes of a group of documents, anchors of a bucket, and text bytes whose
+#: repeated windows meet in one suffix sort, about.
+GROUP_BYTES = 4 << 20
 BUCKET_ANCHORS = 1_000_000
-FLUSH = 1_200_000
+SORT_BYTES = 2 << 20
+FLUSH = 1_000_000
 #: Copies of whole texts whose ids may be broadcast.
 BROADCAST_ROWS = 1 << 18
 _LOW = np.uint64((1 << 40) - 1)
@@ -277,7 +279,7 @@ def _expand(first: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return record, first[record] + np.arange(len(record)) - np.repeat(np.cumsum(count) - count, count)
 
 
-def repeated_windows(texts: DataFrame, suspects: DataFrame, length: int, buckets: int) -> DataFrame:
+def repeated_windows(texts: DataFrame, suspects: DataFrame, length: int, buckets: int, sorts: int) -> DataFrame:
     """(_g, ids, start, stop): packed byte ranges that a smaller document has too.
 
     A group of documents first compares its own windows: those that a smaller
@@ -297,15 +299,15 @@ def repeated_windows(texts: DataFrame, suspects: DataFrame, length: int, buckets
                     data, off = utf8(part.column(1))
                     ids = part.column(0).to_numpy()
                     doc, hashed, first, count, sums = anchors(data, off, length)
-                    bucket, key = _keys(hashed, buckets)
+                    _, key = _keys(hashed, buckets)
                     code = mix(ids[doc].view(np.uint64)) ^ key * np.uint64(0x9E3779B97F4A7C15)
                     at = np.minimum(np.searchsorted(wanted, code), len(wanted) - 1)
                     use = wanted[at] == code
-                    doc, first, count, bucket = doc[use], first[use], count[use], bucket[use]
+                    doc, first, count = doc[use], first[use], count[use]
                     record, window = _expand(first, count)
-                    held.append((ids[doc], first - off[doc], count, bucket, spans(sums, window, window + length), data, first))
+                    held.append((ids[doc], first - off[doc], count, (mix(key[use]) % np.uint64(sorts)).astype(np.int64), spans(sums, window, window + length), data, first))
             sizes = np.concatenate([h[2] for h in held])
-            ids, begin, bucket = (np.concatenate([h[i] for h in held]) for i in (0, 1, 3))
+            ids, begin = (np.concatenate([h[i] for h in held]) for i in (0, 1))
             hashed = np.concatenate([h[4] for h in held])
             record, window = _expand(begin, sizes)
             order = np.lexsort((ids[record], hashed))
@@ -315,7 +317,7 @@ def repeated_windows(texts: DataFrame, suspects: DataFrame, length: int, buckets
             later[order] = ids[record[order]] > least
             a, b = _runs_of(later, record) if len(later) else (np.zeros(0, int), np.zeros(0, int))
             if len(a):
-                rows.append((buckets + group, ids[record[a]].tobytes(), window[a].astype(np.uint32).tobytes(), (window[b] + length).astype(np.uint32).tobytes(), b"", b""))
+                rows.append((sorts + group, ids[record[a]].tobytes(), window[a].astype(np.uint32).tobytes(), (window[b] + length).astype(np.uint32).tobytes(), b"", b""))
             # what is still open of each record goes on, with its bytes
             mine = ~later
             left = np.full(len(sizes), np.iinfo(np.int64).max)
@@ -338,8 +340,8 @@ def repeated_windows(texts: DataFrame, suspects: DataFrame, length: int, buckets
 
     def compare(table: pa.Table) -> pa.Table:
         bucket = table["bucket"][0].as_py() if table.num_rows else 0
-        if bucket >= buckets:
-            return pa.table({"_g": pa.array([bucket - buckets] * table.num_rows, pa.int32()), "ids": table["ids"], "start": table["start"], "stop": table["count"]})
+        if bucket >= sorts:
+            return pa.table({"_g": pa.array([bucket - sorts] * table.num_rows, pa.int32()), "ids": table["ids"], "start": table["start"], "stop": table["count"]})
         ids, begin, count, groups = _join(table, "ids", np.int64), _join(table, "start", np.uint32).astype(np.int64), _join(table, "count", np.uint8).astype(np.int64), _join(table, "groups", np.int32)
         data = _join(table, "bytes", np.uint8)
         size = count + length - 1
@@ -413,7 +415,7 @@ def dedup_strings(docs: DataFrame, length: int = 50, keep_bytes: bool = False, i
     # the group of a row follows from id and text; rows that repeat both stand together
     suspects = materialise(repeated_anchors(texts.select("_o", "_g", "_text"), length, buckets), "anchors", "lz4")
     release(spark)
-    found = materialise(repeated_windows(texts.select("_o", "_g", "_text"), suspects, length, buckets), "ranges", "lz4")
+    found = materialise(repeated_windows(texts.select("_o", "_g", "_text"), suspects, length, buckets, max(8, math.ceil(total / SORT_BYTES))), "ranges", "lz4")
     release(spark)
     kind = field(base, "_id").dataType
     fields = [T.StructField(id_col, kind), T.StructField("n_bytes", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("n_spans", T.LongType()), T.StructField("kept_sha256", T.StringType())]
