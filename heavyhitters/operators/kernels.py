@@ -88,7 +88,7 @@ class ChunkedKernel:
             return
         if weight is None:
             counted = column.value_counts()
-            items, counts = counted.field("values"), np.asarray(counted.field("counts"), np.int64)
+            items, counts = counted.field("values"), np.array(counted.field("counts"), np.int64)  # a copy, as counts are added to
         else:
             coded = column.dictionary_encode()
             items = coded.dictionary
