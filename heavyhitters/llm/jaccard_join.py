@@ -3,10 +3,10 @@
 Documents are sets of word shingles; equal sets are one class. Sizes fall into
 bands so that sets similar enough stand in the same or in neighbouring bands.
 For each pair of neighbouring bands the domain of shingles is dealt into
-first-level partitions, of which at least one has at most one difference between
-two similar sets; each is dealt into three cells, of which then at least two
-agree. A set's signatures are its projections on every two cells of every
-partition: similar sets share one. What shares a signature is verified exactly.
+first-level partitions, of which at least one has few differences between two similar sets;
+each is dealt into cells, of which then all but so many agree. A set's signatures
+are its projections on every choice of so many cells of every partition: similar
+sets share one. What shares a signature is verified exactly.
 """
 
 from __future__ import annotations
@@ -14,6 +14,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import combinations, product
 
 import numpy as np
 import pyarrow as pa
@@ -25,17 +26,35 @@ from .common import field, materialise, pieces, release, utf8
 from .components import components
 from .fingerprints import mix, shingles
 
-CELLS = 3
-#: The two cells of each signature.
-CHOICES = ((0, 1), (0, 2), (1, 2))
 #: Signatures a reducer gets, about.
-BUCKET_ROWS = 1_500_000
+BUCKET_ROWS = 750_000
 #: Sets that share a signature within a task before they are passed on one by one.
 HOT = 64
 #: Candidate classes whose keys may be broadcast (8 bytes each).
 BROADCAST_CLASSES = 1 << 20
+#: Bytes of sets that are compared in one task, about, and most around one pivot.
+TASK_BYTES = 16 << 20
+SPLIT_BYTES = 64 << 20
 #: Signatures a worker holds before it passes them on.
-FLUSH = 1_500_000
+FLUSH = 750_000
+
+
+@dataclass(frozen=True)
+class Scheme:
+    """Second level of a partitioning: cells per partition and differences it tolerates."""
+
+    cells: int
+    differences: int
+
+    @property
+    def choices(self) -> list[tuple[int, ...]]:
+        """The cells of each signature: some choice agrees if at most `differences` cells do not."""
+        return list(combinations(range(self.cells), self.cells - self.differences))
+
+
+#: By size of the sets, up to which each scheme is used: small sets get signatures of
+#: more elements, so that a passage shared by many documents seldom fills one.
+SCHEMES = ((64, Scheme(7, 3)), (320, Scheme(5, 2)), (1 << 62, Scheme(3, 1)))
 
 
 @dataclass(frozen=True)
@@ -43,7 +62,8 @@ class Bands:
     """Size bands and the partitioning of each pair of neighbours, up to a largest size."""
 
     lower: np.ndarray  # first size of each band
-    partitions: np.ndarray  # by instance j: of bands j - 1 and j
+    scheme: np.ndarray  # by instance j, which is for bands j - 1 and j: index into SCHEMES
+    partitions: np.ndarray
     slack: np.ndarray
     distance: np.ndarray
 
@@ -58,9 +78,21 @@ class Bands:
         upper += [(upper[-1] + 1) * 100 // percent]
         # |A xor B| <= (1 - t) / (1 + t) * (|A| + |B|)
         top = [0, *upper]
-        k = [(100 - percent) * (a + b) // (100 + percent) for a, b in zip(top, top[1:])]
-        slack = [math.ceil(0.06 * (x // 2 + 1)) + 1 for x in k]
-        return cls(np.array(lower), np.array([x // 2 + 1 + s for x, s in zip(k, slack)]), np.array(slack), np.array(k))
+        distance = [(100 - percent) * (a + b) // (100 + percent) for a, b in zip(top, top[1:])]
+        kinds, partitions, slack = [], [], []
+        for j, k in enumerate(distance):
+            kind = next(i for i, (limit, _) in enumerate(SCHEMES) if upper[j] <= limit)
+            s = SCHEMES[kind][1]
+            n1 = k // (s.differences + 1) + 1
+            least = lower[max(j - 1, 0)] if j < len(lower) + 1 else lower[-1]
+            # how many partitions of the smallest set have so many empty cells that a choice is empty
+            empty = math.exp(-least / n1 / s.cells)
+            many = sum(math.comb(s.cells, e) * empty**e * (1 - empty) ** (s.cells - e) for e in range(s.cells - s.differences, s.cells + 1))
+            extra = math.ceil(n1 * many + 3 * math.sqrt(n1 * many)) if n1 * many > 1e-3 else 0
+            kinds.append(kind)
+            slack.append(extra)
+            partitions.append(n1 + extra)
+        return cls(np.array(lower), np.array(kinds), np.array(partitions), np.array(slack), np.array(distance))
 
     def of(self, size: np.ndarray) -> np.ndarray:
         return np.searchsorted(self.lower, size, side="right") - 1
@@ -79,17 +111,17 @@ def signatures(doc: np.ndarray, value: np.ndarray, size: np.ndarray, bands: Band
     """(document, signature) of all sets, in both instances of each set's band.
 
     A projection without elements says little, yet cannot simply be left out. Of
-    the partitions that have at most one difference there are more than `slack`;
-    where a set has at most `slack` partitions with an empty projection, one of
-    the others shows the match, so only other sets emit empty projections.
+    the partitions with few enough differences there are more than `slack`; where a
+    set has at most `slack` partitions with an empty projection, one of the others
+    shows the match, so only other sets emit empty projections.
     """
     owners, found = [], []
     band = bands.of(np.maximum(size, 1))
     stir = mix(value)
     term = mix(value + np.uint64(0x2545F4914F6CDD1D))
-    for side in (0, 1):
+    for side, (kind, (_, scheme)) in product((0, 1), enumerate(SCHEMES)):
         instance = band + side
-        active = (size > 0) & (bands.distance[instance] > 0)
+        active = (size > 0) & (bands.distance[instance] > 0) & (bands.scheme[instance] == kind)
         n1 = np.where(active, bands.partitions[instance], 0)
         base = np.zeros(len(size) + 1, np.int64)
         np.cumsum(n1, out=base[1:])
@@ -98,22 +130,21 @@ def signatures(doc: np.ndarray, value: np.ndarray, size: np.ndarray, bands: Band
         use = active[doc]
         d, bits, t = doc[use], stir[use], term[use]
         first = ((bits >> np.uint64(32)) * n1[d].astype(np.uint64) >> np.uint64(32)).astype(np.int64)
-        second = ((bits & np.uint64(0xFFFFFFFF)) * np.uint64(CELLS) >> np.uint64(32)).astype(np.int64)
-        cell = (base[d] + first) * CELLS + second
-        sums = np.zeros(int(base[-1]) * CELLS, np.uint64)
+        second = ((bits & np.uint64(0xFFFFFFFF)) * np.uint64(scheme.cells) >> np.uint64(32)).astype(np.int64)
+        cell = (base[d] + first) * scheme.cells + second
+        sums = np.zeros(int(base[-1]) * scheme.cells, np.uint64)
         np.add.at(sums, cell, t)
-        sums = sums.reshape(-1, CELLS)
-        filled = np.bincount(cell, minlength=int(base[-1]) * CELLS).reshape(-1, CELLS) > 0
+        filled = np.bincount(cell, minlength=len(sums)).reshape(-1, scheme.cells) > 0
+        # a cell's sum, made different for each cell, so that a choice is the sum of its cells
+        sums = mix(sums.reshape(-1, scheme.cells) + np.arange(1, scheme.cells + 1, dtype=np.uint64))
         owner = np.repeat(np.arange(len(size)), n1)
-        place = (np.arange(int(base[-1])) - base[owner]).astype(np.uint64) * np.uint64(4) + (instance[owner].astype(np.uint64) << np.uint64(40))
-        some = np.stack([filled[:, a] | filled[:, b] for a, b in CHOICES], axis=1)
-        weak = np.bincount(owner[~some.all(axis=1)], minlength=len(size))
-        unsafe = weak > bands.slack[instance]
-        for c, (a, b) in enumerate(CHOICES):
-            emit = some[:, c] | unsafe[owner]
-            sig = mix(sums[emit, a] * np.uint64(0xD1342543DE82EF95) + mix(sums[emit, b] + np.uint64(c + 1)) + mix(place[emit] + np.uint64(c)))
+        place = (np.arange(int(base[-1])) - base[owner]).astype(np.uint64) * np.uint64(64) + (instance[owner].astype(np.uint64) << np.uint64(40))
+        weak = np.bincount(owner[(~filled).sum(axis=1) >= scheme.cells - scheme.differences], minlength=len(size))
+        unsafe = (weak > bands.slack[instance])[owner]
+        for c, choice in enumerate(scheme.choices):
+            emit = np.flatnonzero(filled[:, choice].any(axis=1) | unsafe)
             owners.append(owner[emit])
-            found.append(sig)
+            found.append(mix(sums[np.ix_(emit, choice)].sum(axis=1) + mix(place[emit] + np.uint64(c))))
     if not found:
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
     return np.concatenate(owners), np.concatenate(found)
@@ -243,37 +274,43 @@ def shared_signatures(docs: DataFrame, width: int, bands: Bands, buckets: int) -
 
 
 def class_sets(docs: DataFrame, width: int, wanted: DataFrame) -> DataFrame:
-    """(fp, s): the sorted shingle hashes of each wanted class, once."""
+    """(task, fp, s): the sorted shingle hashes of each wanted class, for each of its tasks.
+
+    `wanted` is (fp, _h, task); a class's set is taken from the row with the id hash _h.
+    """
     spark = docs.sparkSession
     few = wanted.count() <= BROADCAST_CLASSES
-    keys = spark.sparkContext.broadcast(np.sort(np.array([r.fp for r in wanted.collect()], np.int64)) if few else None)
+    rows = np.array([(r.fp, r._h, r.task) for r in wanted.select("fp", "_h", "task").collect()], np.int64).reshape(-1, 3) if few else np.zeros((0, 3), np.int64)
+    keys = spark.sparkContext.broadcast(rows[np.argsort(rows[:, 0], kind="stable")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = keys.value
-        seen: set[int] = set()
+        known, chosen, tasks = keys.value.T
         for whole in batches:
             for part in pieces(whole, "_text"):
                 doc, value, size, key = _sets(part, width)
-                bounds = np.searchsorted(doc, np.arange(part.num_rows + 1))
-                own = key.view(np.int64)
-                take = size > 0
+                own, row = key.view(np.int64), part.column(0).to_numpy()
                 if few:
-                    at = np.searchsorted(known, own)
-                    take &= (at < len(known)) & (known[np.minimum(at, len(known) - 1)] == own) if len(known) else False
-                fp, blobs = [], []
-                for i in np.flatnonzero(take):
-                    k = int(own[i])
-                    if k not in seen:
-                        if len(seen) < 1 << 20:
-                            seen.add(k)
-                        fp.append(k)
-                        blobs.append(np.sort(value[bounds[i] : bounds[i + 1]]).tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(fp, pa.int64()), pa.array(blobs, pa.binary())], names=["fp", "s"])
-
-    sets = docs.mapInArrow(run, "fp long, s binary")
+                    low = np.searchsorted(known, own)
+                    copies = np.searchsorted(known, own, side="right") - low
+                    copies[(copies > 0) & (chosen[np.minimum(low, max(len(known) - 1, 0))] != row if len(known) else False)] = 0
+                else:
+                    low, copies = np.zeros(len(own), np.int64), np.ones(len(own), np.int64)
+                copies[size == 0] = 0
+                bounds = np.searchsorted(doc, np.arange(part.num_rows + 1))
+                picked = np.flatnonzero(copies)
+                blobs = pa.array([np.sort(value[bounds[i] : bounds[i + 1]]).tobytes() for i in picked], pa.binary())
+                again = np.repeat(np.arange(len(picked)), copies[picked])
+                at = low[picked][again] + np.arange(len(again)) - np.repeat(np.cumsum(copies[picked]) - copies[picked], copies[picked])
+                to = tasks[at] if few else np.zeros(len(again), np.int64)
+                # a few classes at a time: each may go to many tasks
+                for cut in range(0, len(again), 256):
+                    these = again[cut : cut + 256]
+                    yield pa.RecordBatch.from_arrays([pa.array(to[cut : cut + 256], pa.int64()), pa.array(own[picked[these]], pa.int64()), pa.array(row[picked[these]], pa.int64()), blobs.take(pa.array(these))], names=["task", "fp", "_h", "s"])
+
+    sets = docs.select(F.xxhash64("_id").alias("_h"), "_text").mapInArrow(run, "task long, fp long, _h long, s binary")
     if not few:
-        sets = sets.join(wanted, "fp", "left_semi")
-    return sets.dropDuplicates(["fp"])
+        sets = sets.drop("task").join(wanted, ["fp", "_h"])
+    return sets.select("task", "fp", "s")
 
 
 def verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -296,24 +333,108 @@ def _linked(percent: int):
     return 100 * F.col("shared") >= percent * (F.col("na") + F.col("nb") - F.col("shared"))
 
 
-def similar_classes(docs: DataFrame, width: int, percent: int, known: DataFrame) -> DataFrame:
+def link_groups(sets: pa.Table, groups: pa.Table, percent: int) -> pa.Table:
+    """(a, b): verified links that connect what is similar within the groups of a task.
+
+    Classes are taken by falling number of groups. Each is compared with those it
+    shares a group with, but for those already connected with it, by one pass over
+    their elements; no pair is tested twice.
+    """
+    none = pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
+    if not sets.num_rows or not groups.num_rows:
+        return none
+    fp, which = np.unique(sets["fp"].to_numpy(), return_index=True)
+    blobs = sets["s"].combine_chunks().take(pa.array(which))
+    size = np.array([len(x) // 8 for x in (v.as_buffer() for v in blobs)], np.int64)
+    element = np.unique(np.frombuffer(b"".join(v.as_py() for v in blobs), np.uint64), return_inverse=True)[1]
+    off = np.concatenate([[0], np.cumsum(size)])
+    member, gid = np.searchsorted(fp, groups["fp"].to_numpy()), groups["gid"].to_numpy()
+    order = np.argsort(gid, kind="stable")
+    member, gid = member[order], gid[order]
+    start = np.flatnonzero(np.concatenate([[True], gid[1:] != gid[:-1]]))
+    stop = np.concatenate([start[1:], [len(gid)]])
+    group = np.repeat(np.arange(len(start)), stop - start)
+    by_member = np.argsort(member, kind="stable")
+    own = np.searchsorted(member[by_member], np.arange(len(fp) + 1))
+    root = np.arange(len(fp))
+    done = np.zeros(len(fp), bool)
+    flag = np.zeros(int(element.max(initial=0)) + 1, bool)
+    links: list[tuple[int, int]] = []
+    for i in np.argsort(-np.diff(own), kind="stable"):
+        done[i] = True
+        near = group[by_member[own[i] : own[i + 1]]]
+        if not len(near):
+            continue
+        others = np.unique(np.concatenate([member[start[g] : stop[g]] for g in near]))
+        others = others[~done[others] & (root[others] != root[i])]
+        others = others[100 * np.minimum(size[others], size[i]) >= percent * np.maximum(size[others], size[i])]
+        mine = element[off[i] : off[i + 1]]
+        flag[mine] = True
+        for at in range(0, len(others), 2048):
+            part = others[at : at + 2048]
+            count = size[part]
+            first = np.cumsum(count) - count
+            shared = np.add.reduceat(flag[element[np.arange(int(count.sum())) - np.repeat(first - off[part], count)]].astype(np.int64), first)
+            for j in part[100 * shared >= percent * (size[i] + count - shared)]:
+                if root[j] != root[i]:
+                    links.append((int(fp[i]), int(fp[j])))
+                    root[root == root[j]] = root[i]
+        flag[mine] = False
+    if not links:
+        return none
+    a, b = zip(*links)
+    return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+
+def similar_classes(docs: DataFrame, width: int, percent: int, known: DataFrame, split_bytes: int = SPLIT_BYTES) -> DataFrame:
     """(node, component) over class keys, of all classes with a link.
 
-    First every group's smallest class is verified against the others. Pairs of a
-    group whose classes are then connected need no more; the rest is verified
-    unless sizes, or the distances to the class both were compared with, exclude it
-    (the Jaccard distance obeys the triangle inequality).
+    Each group of a shared signature goes to the task of its pivot, the class in
+    most groups, so that groups that overlap mostly meet in one task, and a class's
+    set is sent once to each task that has one of its groups. Groups of a pivot with
+    more than `split_bytes` of sets around it are verified pair by pair instead.
     """
     stats = known.agg(F.max("n").alias("largest"), F.sum("n").alias("total")).first()
     bands = Bands.upto(max(int(stats.largest or 1), 1), percent)
     buckets = max(8, math.ceil(int(stats.total or 0) / BUCKET_ROWS))
     groups = materialise(shared_signatures(docs, width, bands, buckets).distinct(), "groups")
     release(docs.sparkSession)
-    sets = materialise(class_sets(docs, width, groups.select("fp").distinct()), "sets", "lz4")
-    pivots = groups.groupBy("gid").agg(F.min("fp").alias("p"))
+    weight = groups.groupBy("fp").agg(F.count("*").alias("w"))
+    pivots = groups.join(weight, "fp").groupBy("gid").agg(F.max(F.struct("w", "fp")).alias("p")).select("gid", F.col("p.fp").alias("p"))
+    member = materialise(groups.join(pivots, "gid"), "members")
+    one = known.groupBy("fp").agg(F.min(F.xxhash64("_id")).alias("_h"), F.max("n").alias("n"))
+    around = materialise(member.select("p", "fp").distinct().join(one, "fp"), "around")
+    sizes = materialise(around.groupBy("p").agg((F.sum("n") * 8).alias("bytes")), "pivots")
+    total = int(sizes.agg(F.sum("bytes")).first()[0] or 0)
+    tasks = max(24, math.ceil(total / TASK_BYTES))
+    task = F.pmod(F.xxhash64("p"), F.lit(tasks))
+    small, large = sizes.filter(F.col("bytes") <= split_bytes).select("p"), sizes.filter(F.col("bytes") > split_bytes).select("p")
+    sets = class_sets(docs, width, materialise(around.join(small, "p").select("fp", "_h", task.alias("task")).distinct(), "wanted"))
+    near = member.join(small, "p").select("gid", "fp", task.alias("task"))
+    links = sets.groupBy("task").cogroup(near.groupBy("task")).applyInArrow(lambda s, g: link_groups(s, g, percent), "a long, b long")
+    if not large.isEmpty():
+        wanted = around.join(large, "p").select("fp", "_h").distinct().withColumn("task", F.lit(0).cast("long"))
+        links = links.unionByName(pairwise_links(docs, width, percent, member.join(large, "p").select("gid", "fp"), wanted))
+    links = materialise(links, "links")
+    release(docs.sparkSession)
+    return components(links)
+
+
+def pairwise_links(docs: DataFrame, width: int, percent: int, groups: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(a, b): verified links within groups too large for a task.
+
+    First each group's class with most groups is verified against the others. Pairs
+    of a group whose classes are then connected need no more; the rest is verified
+    unless sizes, or the distances to the class both were compared with, exclude it
+    (the Jaccard distance obeys the triangle inequality).
+    """
+    sets = materialise(class_sets(docs, width, wanted).select("fp", "s"), "sets", "lz4")
+    weight = groups.groupBy("fp").agg(F.count("*").alias("w"))
+    ranked = groups.join(weight, "fp")
+    pivots = ranked.groupBy("gid").agg(F.max(F.struct("w", "fp")).alias("p")).select("gid", F.col("p.fp").alias("p"))
     member = groups.join(pivots, "gid")
-    star = materialise(verify(member.filter("p <> fp").select(F.col("p").alias("a"), F.col("fp").alias("b")).distinct(), sets), "star")
-    links = star.filter(_linked(percent))
+    star = materialise(verify(member.filter("p <> fp").select(F.col("p").alias("a"), F.col("fp").alias("b")).distinct(), sets).distinct(), "star")
+    links = star.filter(_linked(percent)).select("a", "b")
     first = materialise(components(links), "components")
     apart = F.lit(1.0) - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))
     near = star.select(F.col("a").alias("p"), F.col("b").alias("fp"), F.col("nb").alias("size"), apart.alias("d"))
@@ -321,13 +442,10 @@ def similar_classes(docs: DataFrame, width: int, percent: int, known: DataFrame)
     open_groups = rest.groupBy("gid").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.count("*").alias("g")).filter("low <> high AND g > 2").select("gid")
     rest = materialise(rest.join(open_groups, "gid", "left_semi").join(near, ["p", "fp"]).select("gid", "fp", "c", "size", "d"), "open")
     limit = (100 - percent) / 100 + 1e-9
-    x, y = rest.alias("x"), rest.alias("y")
     fits = (F.abs(F.col("x.d") - F.col("y.d")) <= limit) & (100 * F.least("x.size", "y.size") >= percent * F.greatest("x.size", "y.size"))
+    x, y = rest.alias("x"), rest.alias("y")
     pairs = x.join(y, (F.col("x.gid") == F.col("y.gid")) & (F.col("x.c") < F.col("y.c")) & fits).select(F.col("x.fp").alias("a"), F.col("y.fp").alias("b")).distinct()
-    more = materialise(verify(pairs, sets).filter(_linked(percent)), "links")
-    if more.isEmpty():
-        return first
-    return components(links.select("a", "b").unionByName(more.select("a", "b")))
+    return links.unionByName(verify(pairs, sets).filter(_linked(percent)).select("a", "b"))
 
 
 def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
