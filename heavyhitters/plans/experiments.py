@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import metrics
 from ..operators import baseline, local, merge, report
-from ..operators.blocks import block_of
+from ..operators.blocks import block_of, contiguous
 from ..sources import datagen
 
 #: The grid of k on real data.
@@ -62,3 +62,22 @@ def vary_skew(spark: SparkSession, n: int, rhos: Sequence[float], k: int, a: flo
         part = synthetic(spark, n, rho, a, p, seeds, universe).withColumn("rho", F.lit(float(rho)))
         rows = part if rows is None else rows.unionByName(part)
     return accuracy(rows, [k], p, ["seed", "rho"])
+
+
+def sequential_accuracy(rows: DataFrame, order_by: Sequence[str], ks: Sequence[int], ps: Sequence[int], how: str = "tree") -> DataFrame:
+    """(p, method, k, measures): item-at-a-time local summaries of p contiguous blocks, merged both ways.
+
+    The literal local phase; a block is read in order by one task. p = 1 is a single
+    pass, of which the baseline's report is pruned as well (nothing is merged).
+    """
+    truth = rows.groupBy("item").agg(F.count("*").alias("cnt"))
+    out = None
+    for p in ps:
+        dealt = contiguous(rows, p, order_by)
+        for k in ks:
+            s = local.per_block(dealt, "item", k, "sequential", order_by=order_by)
+            top = merge.flat(s) if how == "flat" else merge.tree(s, p)
+            for method, reported in (("summary", report.prune(top)), ("deficit", baseline.deficit_merge(s, p, p1_passthrough=True))):
+                part = metrics.summary(reported, truth, k).select(F.lit(p).alias("p"), F.lit(method).alias("method"), F.lit(k).alias("k"), "*")
+                out = part if out is None else out.unionByName(part)
+    return out

@@ -406,6 +406,15 @@ for _w, _ks in _GRID.items():
     add(f"acc_sweep_k_{_w}", lambda spark, d, w=_w, ks=_ks: experiments.accuracy(blocked(w)(spark, d), ks, P), R.accuracy(R.workload(_w, P), _ks, P))
 
 
+def _in_order(spark: SparkSession, d: str) -> DataFrame:
+    """The events' values in serial order, with the columns that order them."""
+    return table(spark, d, "events").select(F.floor("value").cast("bigint").alias("item"), "ts", "event_id").filter("item IS NOT NULL")
+
+
+for _how in ("tree", "flat"):
+    add(f"acc_sequential_{_how}_values", lambda spark, d, how=_how: experiments.sequential_accuracy(_in_order(spark, d), ["ts", "event_id"], (100, 200), (1, 2, 4, 8), how))
+
+
 def _acc(method: str, w: str, k: int) -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
         df = blocked(w)(spark, d)

@@ -221,7 +221,7 @@ def _tumbling(s: SparkSession, d: str) -> DataFrame:
 
 _TUMBLE = f"SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type AS item, count(*) AS cnt FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= {_CLOSED} GROUP BY ALL"
 add("st_tumbling", _tumbling, _TUMBLE)
-add("st_tumbling_frequent", lambda s, d: st.frequent_in_windows(st.run_available_now(st.tumbling(_events(s, d), "user_id", "7 days", "1 hour")), 50).select(_naive("start"), "item", "cnt"), f"WITH w AS (SELECT make_timestamp((epoch_us(ts) // (7 * 86400 * 1000000::BIGINT)) * (7 * 86400 * 1000000::BIGINT)) AS start, user_id AS item, count(*) AS cnt FROM events GROUP BY ALL), c AS (SELECT * FROM w WHERE start + INTERVAL 7 DAY <= {_CLOSED}), n AS (SELECT start, sum(cnt)::BIGINT AS n FROM c GROUP BY 1) SELECT start, item, cnt FROM c JOIN n USING (start) WHERE cnt >= n // 50 + 1")
+add("st_tumbling_frequent", lambda s, d: st.frequent_in_windows(st.run_available_now(st.tumbling(_events(s, d), "user_id", "7 days", "1 hour")), 100).select(_naive("start"), "item", "cnt"), f"WITH w AS (SELECT make_timestamp((epoch_us(ts) // (7 * 86400 * 1000000::BIGINT)) * (7 * 86400 * 1000000::BIGINT)) AS start, user_id AS item, count(*) AS cnt FROM events GROUP BY ALL), c AS (SELECT * FROM w WHERE start + INTERVAL 7 DAY <= {_CLOSED}), n AS (SELECT start, sum(cnt)::BIGINT AS n FROM c GROUP BY 1) SELECT start, item, cnt FROM c JOIN n USING (start) WHERE cnt >= n // 100 + 1")
 _PANE, _WIDTH = 86400, 3
 _src = f"SELECT ((epoch_us(ts) // 1000000) // {_PANE} * {_PANE}) AS block_id, user_id AS item FROM events"
 _c = R.Chain(_src, [200])
