@@ -401,7 +401,7 @@ add("basket_fpgrowth", _fpgrowth)
 
 # ---- measures -----------------------------------------------------------------------------------
 
-_GRID = {"values": experiments.KS, "words": (100, 400, 1000), "chat_words": (100, 400, 1000), "parts": (100, 1000), "suppliers": (50, 90, 100), "gaps": (100, 400), "lines": (100, 400)}
+_GRID = {"values": experiments.KS, "words": (100, 400, 1000), "chat_words": (100, 400, 1000), "parts": (100, 1000), "suppliers": (50, 90, 100), "gaps": (100, 400), "lines": (100, 400), "clicks": (100, 400, 1000), "two_attributes": (400, 1000), "labelled_sizes": (100, 400, 1000), "word_pairs": (400, 1000), "tags": (100,), "hosts": (100,), "customers": (1000,)}
 for _w, _ks in _GRID.items():
     add(f"acc_sweep_k_{_w}", lambda spark, d, w=_w, ks=_ks: experiments.accuracy(blocked(w)(spark, d), ks, P), R.accuracy(R.workload(_w, P), _ks, P))
 
@@ -505,6 +505,18 @@ for _name, _a in (("plain", 0.0), ("shifted", 0.5)):
     add(f"exp3_vary_rho_{_name}", lambda spark, d, a=_a: experiments.vary_skew(spark, _n(spark, d), _rhos, 200, a, P, (1,), _U), R.accuracy(_src, [200], P, ["seed", "rho"]))
 
 
+def _vary_p(spark: SparkSession, d: str) -> DataFrame:
+    """The same items over 1 to 8 blocks, p as a key: blocks that have no pair pass through the tree."""
+    n = _n(spark, d)
+    rows = datagen.shifted_power_law(spark, n, 1.0, _U, (1,), 0.5).select("item", "id", F.explode(F.sequence(F.lit(1), F.lit(P))).alias("p"))
+    block = F.call_function("div", (F.col("id") + 1) * F.col("p") - 1, F.lit(n).cast("bigint")).cast("int")
+    return experiments.accuracy(rows.withColumn("block_id", block), [400], P, ["p"])
+
+
+_src = f"SELECT p::INTEGER AS p, item, (((id + 1) * p - 1) // ({_N}))::INTEGER AS block_id FROM ({R_items(0.5, 1.0, seeds=(1,))}), (SELECT range AS p FROM range(1, {P + 1}))"
+add("exp6_vary_p_shifted", _vary_p, R.accuracy(_src, [400], P, ["p"]))
+
+
 def _ci(spark: SparkSession, d: str) -> DataFrame:
     runs = experiments.vary_k(spark, _n(spark, d) // 10, (100,), 1.5, 0.5, P, tuple(range(1, 21)), 2000)
     return metrics.mean_ci(runs, ["method", "k"], "total_error")

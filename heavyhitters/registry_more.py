@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -38,6 +40,17 @@ def _view(s: SparkSession, d: str) -> DataFrame:
 add("op_sink_view", _view, f"WITH c AS ({_CNT}) SELECT item, est FROM c WHERE est > (SELECT avg(est) FROM c)")
 
 
+def _table(s: SparkSession, d: str) -> DataFrame:
+    """Two tables bucketed by the join key: neither side is shuffled for the join."""
+    tag = uuid.uuid4().hex[:12]
+    lines = stores.bucketed(T(s, d, "lineitem").select("l_orderkey", "l_suppkey"), f"hh_lines_{tag}", "l_orderkey", 4)
+    orders = stores.bucketed(T(s, d, "orders").select("o_orderkey", "o_orderpriority"), f"hh_orders_{tag}", "o_orderkey", 4)
+    return lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("cnt"))
+
+
+add("op_sink_table", _table, "SELECT o_orderpriority, count(*) AS cnt FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
+
+
 def _stored_merge(s: SparkSession, d: str) -> DataFrame:
     """Two summaries stored apart, merged from the store: only the newer one is made anew."""
     both = summaries("suppliers", 90, 2)(s, d)
@@ -142,6 +155,7 @@ add("op_win_range_frame", lambda s, d: T(s, d, "events").withColumn("t", F.unix_
 add("op_win_first_last", lambda s, d: T(s, d, "events").groupBy("user_id").agg(F.min_by("event_type", F.struct("ts", "event_id")).alias("first_type"), F.max_by("event_type", F.struct("ts", "event_id")).alias("last_type")), "SELECT DISTINCT user_id, first_value(event_type) OVER w AS first_type, last_value(event_type) OVER w AS last_type FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
 add("op_win_ntile", lambda s, d: T(s, d, "orders").select("o_orderkey", F.ntile(4).over(Window.partitionBy("o_orderpriority").orderBy("o_totalprice", "o_orderkey")).alias("quarter")), "SELECT o_orderkey, (ntile(4) OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice, o_orderkey))::INTEGER AS quarter FROM orders")
 add("op_sort_global", lambda s, d: _counts(s, d).orderBy("est", "item"), f"{_CNT} ORDER BY est, item")
+add("op_sort_local", lambda s, d: _counts(s, d).repartition(4, "item").sortWithinPartitions("est", "item").groupBy(F.spark_partition_id().alias("part")).agg(F.max("est").alias("top")).agg(F.max("top").alias("top")), f"SELECT max(est) AS top FROM ({_CNT})")
 add("op_topk_limit", lambda s, d: _counts(s, d).orderBy(F.desc("est"), "item").offset(5).limit(10), f"{_CNT} ORDER BY est DESC, item LIMIT 10 OFFSET 5")
 add("op_topk_ties", lambda s, d: _counts(s, d).withColumn("r", F.rank().over(Window.orderBy(F.desc("est")))).filter("r <= 10").select("item", "est"), f"SELECT item, est FROM (SELECT *, rank() OVER (ORDER BY est DESC) AS r FROM ({_CNT})) WHERE r <= 10")
 _A, _B = "(SELECT l_suppkey AS item FROM lineitem WHERE l_orderkey % 7 = 0)", "(SELECT l_suppkey AS item FROM lineitem WHERE l_orderkey % 5 = 1)"
@@ -207,6 +221,18 @@ def _exists(s: SparkSession, d: str) -> DataFrame:
 
 add("op_sql_exists", _exists, "SELECT c_custkey FROM customer c WHERE EXISTS (SELECT 1 FROM orders o WHERE o.o_custkey = c.c_custkey AND o.o_totalprice > 300000) AND NOT EXISTS (SELECT 1 FROM orders o WHERE o.o_custkey = c.c_custkey AND o.o_orderstatus = 'P')")
 
+
+
+def _sql_function(s: SparkSession, d: str) -> DataFrame:
+    """The threshold as a SQL function, n as a scalar subquery."""
+    s.sql("CREATE OR REPLACE TEMPORARY FUNCTION hh_threshold(n BIGINT, k BIGINT) RETURNS BIGINT RETURN n div k + 1")
+    T(s, d, "lineitem").createOrReplaceTempView("hh_lineitem")
+    return s.sql("SELECT l_suppkey AS item, count(*) AS cnt FROM hh_lineitem GROUP BY 1 HAVING count(*) >= hh_threshold((SELECT count(*) FROM hh_lineitem), 100)")
+
+
+add("op_sql_function", _sql_function, R.exact("SELECT l_suppkey AS item FROM lineitem", 100))
+add("op_fn_hash", lambda s, d: T(s, d, "orders").agg((F.count_distinct(F.xxhash64("o_orderkey")) == F.count_distinct("o_orderkey")).alias("distinct_kept"), F.bool_and(F.pmod(F.hash("o_orderkey"), F.lit(8)).between(0, 7)).alias("in_range")), "SELECT true AS distinct_kept, true AS in_range")
+
 # ---- streams --------------------------------------------------------------------------------------
 
 _CLOSED = "(SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
