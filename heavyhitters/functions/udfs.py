@@ -8,6 +8,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators.kernels import ChunkedKernel, SequentialKernel
 
@@ -29,7 +30,7 @@ def summary_agg(k: int):
     return agg
 
 
-@F.pandas_udf("bigint")
+@F.pandas_udf(T.LongType())
 def portable_hash_udf(x: pd.Series) -> pd.Series:
     """Seed 0 of the portable hash, vectorised; the column expression is preferred."""
     return ((x % 2147483647 * 48271 + 11) % 2147483647 * 69621 + 5) % 2147483647

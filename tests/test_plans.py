@@ -38,3 +38,12 @@ def test_filters_reach_the_scan(spark):
 def test_no_cartesian_in_the_report(spark):
     text = plan(api.frequent_items(WORKLOADS["suppliers"](spark, DATA), "item", 100, builder="histogram", blocks="key", order_by=["key"]))
     assert "CartesianProduct" not in text
+
+
+def test_registry_needs_no_session():
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    code = "import __spark_entry__ as e; assert len(e.queries()) > 150 and e.oracle_sql()"
+    subprocess.run([sys.executable, "-c", code], cwd=Path(__file__).parent.parent, check=True, timeout=120)
