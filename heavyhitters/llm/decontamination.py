@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import field, pieces
+from .common import field, lean, pieces
 
 #: Benchmark text handled by one scan of the documents; more is scanned in blocks.
 BLOCK_BYTES = 16 << 20
@@ -175,7 +175,7 @@ def find_items(docs: DataFrame, benchmark: DataFrame, error_rate: float = 1 / 16
                         rows, found, distance, start, stop = zip(*hits)
                         yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(rows)), pa.array(found, item_arrow), pa.array(distance, pa.int32()), pa.array(start, pa.int64()), pa.array(stop, pa.int64())], names=out.names)
 
-        part = base.mapInArrow(run, out)
+        part = base.mapInArrow(lean(run), out)
         result = part if result is None else result.unionByName(part)
     return result
 
@@ -192,5 +192,5 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame, error_rate: float = 1 / 16
                 clean = pa.array([not matcher.search(t) for t in whole.column(at).to_pylist()], pa.bool_())
                 yield whole.filter(clean)
 
-        docs = docs.mapInArrow(run, docs.schema)
+        docs = docs.mapInArrow(lean(run), docs.schema)
     return docs

@@ -18,14 +18,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import code_points, field, pieces, stratified
+from .common import code_points, field, lean, pieces, stratified
 
 UNKNOWN = "und"
-BUCKETS = 1 << 13
+BITS = 12
+BUCKETS = 1 << BITS
 ORDERS = (1, 2, 3)
 ROWS = 256
 #: Labelled documents used for fitting, over all languages, about.
-FIT_ROWS = 6000
+FIT_ROWS = 4000
 _SPACE = 32
 
 
@@ -59,7 +60,7 @@ def counts(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         ok = who[:size] == who[n - 1 :]
         if n == 1:
             ok = letter
-        slot = ((gram * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - 13)).astype(np.int64)
+        slot = ((gram * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BITS)).astype(np.int64)
         out += np.bincount((who[:size] * BUCKETS + slot)[ok], minlength=len(out)).astype(np.float32)
     return out.reshape(len(texts), BUCKETS), np.bincount(who[letter], minlength=len(texts)) > 0
 
@@ -145,7 +146,7 @@ def fit(labelled: DataFrame, clusters: int = 4, fit_total: int = FIT_ROWS, rejec
             m = fit_rows([g[2] for g in got], [g[1] for g in got], clusters, rejection)
             yield pa.RecordBatch.from_arrays([pa.array([*m.languages, None]), pa.array([r.astype(np.float32).tobytes() for r in (*m.matrix, m.idf)], pa.binary()), pa.array([*m.least, None], pa.float64())], names=["name", "row", "least"])
 
-    model = sample.repartition(1).mapInArrow(train, "name string, row binary, least double").collect()
+    model = sample.repartition(1).mapInArrow(lean(train), "name string, row binary, least double").collect()
     if not model:
         return Centroids([], np.zeros((0, BUCKETS), np.float32), np.ones(BUCKETS, np.float32), np.zeros(0))
     row = lambda r: np.frombuffer(bytes(r.row), np.float32)
@@ -171,7 +172,7 @@ def predict(docs: DataFrame, model: Centroids, id_col: str = "doc_id", text_col:
                 names, score, rejected = shared.value.predict([t or "" for t in part.column(1).to_pylist()])
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(names, pa.string()), pa.array(score, pa.float64()), pa.array(rejected, pa.bool_())], names=out.names)
 
-    return base.mapInArrow(run, out)
+    return base.mapInArrow(lean(run), out)
 
 
 def keep_accepted(docs: DataFrame, model: Centroids, text_col: str = "text") -> DataFrame:
@@ -186,4 +187,4 @@ def keep_accepted(docs: DataFrame, model: Centroids, text_col: str = "text") ->
                 rejected = shared.value.predict([t or "" for t in part.column(at).to_pylist()])[2]
                 yield part.filter(pa.array(~rejected)).rename_columns(whole.schema.names)
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ASCII_SPACE, field, materialise, pieces
+from .common import ASCII_SPACE, field, lean, materialise, pieces
 
 #: Bits of each filter (a power of two) and positions per key. The size is fixed,
 #: whatever the input: a fuller filter only suspects more, the counts stay exact.
@@ -91,7 +91,7 @@ def twice_filter(docs: DataFrame, least: int, bits: int = FILTER_BITS) -> np.nda
         return pa.table({"chunk": table["chunk"][:1].cast(pa.int32()), "once": [zlib.compress(once.tobytes(), 1)], "twice": [zlib.compress(twice.tobytes(), 1)]})
 
     shape = "chunk int, once binary, twice binary"
-    parts = docs.mapInArrow(build, shape).withColumn("_some", F.floor(F.spark_partition_id() / MERGE_FAN_IN))
+    parts = docs.mapInArrow(lean(build), shape).withColumn("_some", F.floor(F.spark_partition_id() / MERGE_FAN_IN))
     merged = parts.groupBy("chunk", "_some").applyInArrow(lambda t: merge(t), shape).groupBy("chunk").applyInArrow(merge, shape)
     out = np.zeros(bits // 8, np.uint8)
     for row in merged.select("chunk", "twice").toLocalIterator():  # `bits` bits in all
@@ -153,7 +153,7 @@ def repeated_keys(docs: DataFrame, min_docs: int, min_key_chars: int = 1, bits:
             yield rows()
 
     where = F.when(F.col("id").isNotNull(), F.struct("id", "line")).cast(first)
-    counted = docs.mapInArrow(count, out).groupBy("digest").agg(F.sum("n").alias("n_docs"), F.min(where).alias("first"))
+    counted = docs.mapInArrow(lean(count), out).groupBy("digest").agg(F.sum("n").alias("n_docs"), F.min(where).alias("first"))
     return counted.filter(F.col("n_docs") >= min_docs)
 
 
@@ -220,7 +220,7 @@ def dedup_lines(docs: DataFrame, min_docs: int = 10, min_key_chars: int = 1, kee
 
     if not few:
         rows = _with_own_keys(rows, repeated, rows.columns[id_at], rows.columns[text_at], min_key_chars)
-    return rows.mapInArrow(apply, out)
+    return rows.mapInArrow(lean(apply), out)
 
 
 def _with_own_keys(rows: DataFrame, repeated: DataFrame, id_col: str, text_col: str, least: int) -> DataFrame:
@@ -237,6 +237,6 @@ def _with_own_keys(rows: DataFrame, repeated: DataFrame, id_col: str, text_col:
                     digest += own
                 yield pa.RecordBatch.from_arrays([pa.array(row, pa.int64()), pa.array(digest, pa.binary())], names=["_row", "digest"])
 
-    own = rows.select("_row", F.col(text_col).cast("string").alias("_text")).mapInArrow(keys, "_row long, digest binary").join(repeated, "digest")
+    own = rows.select("_row", F.col(text_col).cast("string").alias("_text")).mapInArrow(lean(keys), "_row long, digest binary").join(repeated, "digest")
     own = own.groupBy("_row").agg(F.collect_list(F.struct("digest", "first")).alias("_keys"))
     return rows.join(own, "_row", "left").drop("_row")

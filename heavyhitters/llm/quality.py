@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import code_points, field, pieces, stratified
+from .common import code_points, field, lean, pieces, stratified
 
 BITS = 15
 BUCKETS = 1 << BITS
@@ -147,7 +147,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_total: int = FIT_ROWS, epochs: i
             m = fit_rows([g[2] for g in got], [g[1] for g in got], epochs, rate, seed)
             yield pa.RecordBatch.from_arrays([pa.array([m.margin.tobytes()], pa.binary()), pa.array([m.bias])], names=["margin", "bias"])
 
-    found = rows.repartition(1).mapInArrow(train, "margin binary, bias double").collect()
+    found = rows.repartition(1).mapInArrow(lean(train), "margin binary, bias double").collect()
     return Model(np.frombuffer(bytes(found[0].margin), np.float64), found[0].bias) if found else Model(np.zeros(BUCKETS), 0.0)
 
 
@@ -163,4 +163,4 @@ def score(docs: DataFrame, model: Model, threshold: float = 0.3, id_col: str = "
                 p = shared.value.score([t or "" for t in part.column(1).to_pylist()])
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(p, pa.float64()), pa.array((p >= threshold).astype(np.int32))], names=out.names)
 
-    return base.mapInArrow(run, out)
+    return base.mapInArrow(lean(run), out)

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import field, materialise, pieces, release, utf8
+from .common import field, lean, lean_group, lean_pair, materialise, pieces, release, utf8
 from .fingerprints import mix, powers, prefix, spans
 
 #: Bytes of the q-grams that anchors are.
@@ -258,7 +258,7 @@ def repeated_anchors(texts: DataFrame, length: int, buckets: int) -> DataFrame:
         out = _by_group(groups[hit], ids[hit], key[hit] | np.uint64(bucket) << np.uint64(40))
         return pa.table({"_g": pa.array([o[0] for o in out], pa.int32()), "ids": _binary([o[1] for o in out]), "keys": _binary([o[2] for o in out])})
 
-    return texts.mapInArrow(run, shape).groupBy("bucket").applyInArrow(meet, "_g int, ids binary, keys binary")
+    return texts.mapInArrow(lean(run), shape).groupBy("bucket").applyInArrow(lean_group(meet), "_g int, ids binary, keys binary")
 
 
 # ---- windows -------------------------------------------------------------------------
@@ -356,8 +356,8 @@ def repeated_windows(texts: DataFrame, suspects: DataFrame, length: int, buckets
         out = _by_group(groups[record[a]], ids[record[a]], window[a].astype(np.uint32), (window[b] + length).astype(np.uint32))
         return pa.table({"_g": pa.array([o[0] for o in out], pa.int32()), **{n: _binary([o[i] for o in out]) for i, n in ((1, "ids"), (2, "start"), (3, "stop"))}})
 
-    gathered = texts.groupBy("_g").cogroup(suspects.groupBy("_g")).applyInArrow(gather, shape)
-    return gathered.groupBy("bucket").applyInArrow(compare, _FOUND)
+    gathered = texts.groupBy("_g").cogroup(suspects.groupBy("_g")).applyInArrow(lean_pair(gather), shape)
+    return gathered.groupBy("bucket").applyInArrow(lean_group(compare), _FOUND)
 
 
 def _cut(docs: pa.Table, found: pa.Table, keep_text: bool, names: list[str]) -> pa.Table:
@@ -421,7 +421,7 @@ def dedup_strings(docs: DataFrame, length: int = 50, keep_bytes: bool = False, i
     fields = [T.StructField(id_col, kind), T.StructField("n_bytes", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("n_spans", T.LongType()), T.StructField("kept_sha256", T.StringType())]
     out = T.StructType(fields + [T.StructField("kept", T.BinaryType())] * keep_bytes)
     names = out.names
-    rest = texts.groupBy("_g").cogroup(found.groupBy("_g")).applyInArrow(lambda a, b: _cut(a, b, keep_bytes, names), out)
+    rest = texts.groupBy("_g").cogroup(found.groupBy("_g")).applyInArrow(lean_pair(lambda a, b: _cut(a, b, keep_bytes, names)), out)
     long = F.col("n") >= length
     whole = copies.select(F.col("_id").alias(id_col), F.col("n").alias("n_bytes"), F.when(long, F.col("n")).otherwise(F.lit(0)).alias("n_removed"), F.when(long, F.lit(1)).otherwise(F.lit(0)).cast("long").alias("n_spans"), F.when(long, F.sha2(F.encode(F.lit(""), "UTF-8"), 256)).otherwise(F.col("digest")).alias("kept_sha256"))
     if keep_bytes:  # short copies keep their bytes
