@@ -104,12 +104,16 @@ def keep_largest(rows: DataFrame, k: int | str, groups: Sequence[str], rank: str
 def with_headers(counters: DataFrame, totals: DataFrame, k: int | str, keys: Sequence[str]) -> Summaries:
     """Headers from kept counters and (keys, block_id, n) totals; adds min_est to the counters."""
     block = [*keys, "block_id"]
-    stats = counters.groupBy(*block).agg(F.count("*").alias("nz"), F.min("est").alias("_least"), F.sum("est").alias("total_est"))
     size = as_column(k)
+    # over the partitioning that the ranking left behind: no exchange, no join back
+    whole = Window.partitionBy(*block)
+    full = F.count("*").over(whole) == size
+    counters = counters.withColumn("min_est", F.when(full, F.min("est").over(whole)).otherwise(F.lit(0)).cast("bigint"))
+    stats = counters.groupBy(*block).agg(F.count("*").alias("nz"), F.max("min_est").alias("min_est"), F.sum("est").alias("total_est"))
     named = [] if "k" in keys else [size.cast("bigint").alias("k")]
-    least = F.when(F.col("nz") == size, F.col("_least")).otherwise(F.lit(0)).cast("bigint")
-    headers = totals.join(stats, block, "left").select(*block, "n", *named, F.coalesce("nz", F.lit(0)).cast("bigint").alias("nz"), least.alias("min_est"), F.coalesce("total_est", F.lit(0)).cast("bigint").alias("total_est"))
-    return Summaries(counters.join(headers.select(*block, "min_est"), block), headers, k, list(keys))
+    zero = lambda c: F.coalesce(c, F.lit(0)).cast("bigint").alias(c)
+    headers = totals.join(stats, block, "left").select(*block, "n", *named, zero("nz"), zero("min_est"), zero("total_est"))
+    return Summaries(counters, headers, k, list(keys))
 
 
 def histogram(df: DataFrame, item: str, k: int | str, keys: Sequence[str] = (), weight: str | None = None, blocks: int | None = None, ks: Sequence[int] = ()) -> Summaries:
@@ -135,7 +139,8 @@ def histogram(df: DataFrame, item: str, k: int | str, keys: Sequence[str] = (),
         each = F.explode(F.array(*[F.lit(int(x)) for x in ks])).alias("k")
         counts, totals, k = counts.select("*", each), totals.select("*", each), "k"
         base = [*base, "k"]
-    kept = keep_largest(counts, k, [*base, "block_id"]).withColumn("err", F.lit(0).cast("bigint"))
+    # at most k rows a block; persisted, as counters and headers are both read from them at every merge level
+    kept = keep_largest(counts, k, [*base, "block_id"]).withColumn("err", F.lit(0).cast("bigint")).persist()
     return with_headers(kept, totals, k, base)
 
 
