@@ -28,13 +28,16 @@ def summarise(df: DataFrame, item: str, k: int, p: int = 8, builder: str = "chun
     ordered = builder != "histogram" and bool(order_by)
     if builder == "histogram" or ordered or blocks != "natural":
         df = deal.assign(df, p, blocks, order_by)
+    if builder != "histogram" and not ordered and blocks in ("key", "hash_row", "contiguous"):
+        df = df.repartition(p, "block_id")  # a kernel reads partitions, so blocks become partitions
     if by:
         return local.histogram(df, item, k, by, weight)
     return local.per_block(df, item, k, builder, weight, order_by if ordered else ())
 
 
 def merged(s: Summaries, how: str = "flat", p: int = 8, fan_in: int = 2) -> Summaries:
-    return merge.flat(s) if how == "flat" else merge.tree(s, p, fan_in)
+    """One summary of all blocks. A tree is for blocks 0..p-1; blocks beyond are merged at its root."""
+    return merge.flat(s) if how == "flat" else merge.flat(merge.tree(s, p, fan_in))
 
 
 def frequent_items(df: DataFrame, item: str, k: int, p: int = 8, builder: str = "chunked", how: str = "flat", blocks: str = "natural", order_by: Sequence[str] = (), nulls: str = "drop", fill: object = None, sentinels: Sequence[object] = (), verify: bool = False, weight: str | None = None, by: Sequence[str] = (), fan_in: int = 2) -> DataFrame:

@@ -143,6 +143,13 @@ def test_frequent_items_options(spark):
             assert rows(api.frequent_items(df, "item", 2, 3, builder, blocks=blocks, order_by=["item"] if builder == "histogram" or blocks == "hash_row" else (), verify=True), "item", "cnt") in ([(1, 3)], [])
 
 
+def test_tree_over_more_partitions_than_blocks(spark):
+    df = spark.range(5000).select((F.col("id") % 97 % 13).alias("item")).repartition(11)
+    want = rows(api.frequent_items(df, "item", 12, verify=True), "item", "cnt")
+    assert want and rows(api.frequent_items(df, "item", 12, p=4, how="tree", verify=True), "item", "cnt") == want
+    assert rows(api.frequent_items(df, "item", 12, p=4, blocks="key", order_by=["item"], builder="histogram", verify=True), "item", "cnt") == want
+
+
 def test_weights_beyond_32_bits(spark):
     df = spark.createDataFrame([(4294967295, 3_000_000_000), (1, 1_000_000_000), (4294967295, 5)], "item long, w long")
     assert rows(api.frequent_items(df, "item", 2, weight="w", verify=True), "item", "cnt") == [(4294967295, 3_000_000_005)]
