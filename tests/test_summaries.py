@@ -145,9 +145,9 @@ def test_frequent_items_options(spark):
 
 def test_tree_over_more_partitions_than_blocks(spark):
     df = spark.range(5000).select((F.col("id") % 97 % 13).alias("item")).repartition(11)
-    want = rows(api.frequent_items(df, "item", 12, verify=True), "item", "cnt")
-    assert want and rows(api.frequent_items(df, "item", 12, p=4, how="tree", verify=True), "item", "cnt") == want
-    assert rows(api.frequent_items(df, "item", 12, p=4, blocks="key", order_by=["item"], builder="histogram", verify=True), "item", "cnt") == want
+    want = rows(api.frequent_items(df, "item", 13, verify=True), "item", "cnt")
+    assert want and rows(api.frequent_items(df, "item", 13, p=4, how="tree", verify=True), "item", "cnt") == want
+    assert rows(api.frequent_items(df, "item", 13, p=4, blocks="key", order_by=["item"], builder="histogram", verify=True), "item", "cnt") == want
 
 
 def test_weights_beyond_32_bits(spark):
