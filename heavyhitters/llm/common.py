@@ -5,6 +5,7 @@ from __future__ import annotations
 import ctypes
 import gc
 import os
+import re
 import sys
 import tempfile
 import time
@@ -18,6 +19,8 @@ from pyspark.sql import functions as F
 
 #: ASCII white space, the only separators the text contracts know.
 ASCII_SPACE = b" \t\n\x0b\x0c\r"
+#: Bytes of an Arrow batch between Spark and a Python worker; bounds buffers on both sides.
+BATCH_BYTES = 4 << 20
 #: Text bytes handled at once inside a Python worker; bounds every temporary array.
 CHUNK_BYTES = 1 << 20
 
@@ -48,6 +51,18 @@ def materialise(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bounded_batches(spark: SparkSession) -> None:
+    """Lower the session's limit of bytes per Arrow batch, where it is above ours.
+
+    Documents are long: the default of 64 MB a batch is held several times over by
+    every task. This is a runtime setting, read when a query runs.
+    """
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    digits, unit = re.fullmatch(r"(\d+)([kmgtp]?)b?", spark.conf.get(name).lower()).groups()
+    if int(digits) << 10 * " kmgtp".index(unit or " ") > BATCH_BYTES:
+        spark.conf.set(name, str(BATCH_BYTES))
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark drop the shuffle files of finished stages whose frames are gone.
 

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import field, lean, pieces
+from .common import bounded_batches, field, lean, pieces
 
 #: Benchmark text handled by one scan of the documents; more is scanned in blocks.
 BLOCK_BYTES = 16 << 20
@@ -135,7 +135,7 @@ class Matcher:
         return out
 
 
-def _blocks(benchmark: DataFrame, item_col: str, text_col: str, min_item_chars: int, block_bytes: int) -> list[list[tuple[object, str]]]:
+def _blocks(benchmark: DataFrame, item_col: str, text_col: str, min_item_chars: int, block_bytes: int) -> Iterator[list[tuple[object, str]]]:
     """The items, normalised, in blocks of about `block_bytes`, each collected by itself."""
     rows = benchmark.select(F.col(item_col).alias("i"), F.col(text_col).cast("string").alias("t")).filter("t IS NOT NULL")
     size = rows.agg(F.sum(F.octet_length("t"))).first()[0] or 0
@@ -156,6 +156,7 @@ def find_items(docs: DataFrame, benchmark: DataFrame, error_rate: float = 1 / 16
     that are null or shorter than `min_item_chars` are not searched.
     """
     spark = docs.sparkSession
+    bounded_batches(spark)
     base = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text"))
     item_type = field(benchmark, item_col).dataType
     out = T.StructType([T.StructField(id_col, field(base, "_id").dataType), T.StructField(item_col, item_type), T.StructField("distance", T.IntegerType()), T.StructField("start", T.LongType()), T.StructField("stop", T.LongType())])
@@ -182,6 +183,7 @@ def find_items(docs: DataFrame, benchmark: DataFrame, error_rate: float = 1 / 16
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame, error_rate: float = 1 / 16, min_item_chars: int = 16, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """The rows, with all their columns, in which no item is found."""
+    bounded_batches(docs.sparkSession)
     at = docs.columns.index(text_col)
     for items in _blocks(benchmark, item_col, item_text_col, min_item_chars, block_bytes):
         shared = docs.sparkSession.sparkContext.broadcast(items)

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import code_points, field, lean, pieces, stratified
+from .common import bounded_batches, code_points, field, lean, pieces, stratified
 
 UNKNOWN = "und"
 BITS = 12
@@ -136,6 +136,7 @@ def fit(labelled: DataFrame, clusters: int = 4, fit_total: int = FIT_ROWS, rejec
     Rows with a null text or language are not used. The sample is gathered by one
     task; the model alone comes to the driver.
     """
+    bounded_batches(labelled.sparkSession)
     rows = labelled.select(F.col(id_col).cast("string").alias("_id"), F.col(lang_col).cast("string").alias("_lang"), F.col(text_col).cast("string").alias("_text"))
     sample = stratified(rows.filter("_lang IS NOT NULL AND _text IS NOT NULL"), "_lang", fit_total, seed, "_id")
 
@@ -162,6 +163,7 @@ def predict(docs: DataFrame, model: Centroids, id_col: str = "doc_id", text_col:
     cosine similarity to the nearest centroid; `rejected` says that it is under the
     centroid's limit. Only id and text are read.
     """
+    bounded_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
     base = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text"))
     out = T.StructType([T.StructField(id_col, field(base, "_id").dataType), T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), T.StructField("rejected", T.BooleanType())])
@@ -177,6 +179,7 @@ def predict(docs: DataFrame, model: Centroids, id_col: str = "doc_id", text_col:
 
 def keep_accepted(docs: DataFrame, model: Centroids, text_col: str = "text") -> DataFrame:
     """The rows, with all their columns, whose text the model does not reject."""
+    bounded_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
     at = docs.columns.index(text_col)
 

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ASCII_SPACE, field, lean, materialise, pieces
+from .common import ASCII_SPACE, bounded_batches, field, lean, materialise, pieces
 
 #: Bits of each filter (a power of two) and positions per key. The size is fixed,
 #: whatever the input: a fuller filter only suspects more, the counts stay exact.
@@ -171,6 +171,7 @@ def dedup_lines(docs: DataFrame, min_docs: int = 10, min_key_chars: int = 1, kee
     documents of their own; null ids are allowed but never a first occurrence.
     """
     spark = docs.sparkSession
+    bounded_batches(spark)
     base = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text"))
     repeated = materialise(repeated_keys(base, min_docs, min_key_chars, bits), "lines")
     few = repeated.count() * 16 <= broadcast_bytes

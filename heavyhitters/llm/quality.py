@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import code_points, field, lean, pieces, stratified
+from .common import bounded_batches, code_points, field, lean, pieces, stratified
 
 BITS = 15
 BUCKETS = 1 << BITS
@@ -136,6 +136,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_total: int = FIT_ROWS, epochs: i
     broadcast to the scan of the texts; one task trains, the model comes to the
     driver. Without labelled documents the score is 0.5 for all.
     """
+    bounded_batches(docs.sparkSession)
     ids = labels.filter(F.col(label_col).isin(0, 1)).groupBy(F.col(id_col).alias("_id")).agg(F.min(label_col).cast("int").alias("_label")).filter("_id IS NOT NULL")
     sample = stratified(ids, "_label", fit_total, seed, "_id")
     texts = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("_text"))
@@ -153,6 +154,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_total: int = FIT_ROWS, epochs: i
 
 def score(docs: DataFrame, model: Model, threshold: float = 0.3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, score, predicted) per row; a null text counts as empty and gets the bias alone."""
+    bounded_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
     base = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text"))
     out = T.StructType([T.StructField(id_col, field(base, "_id").dataType), T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())])

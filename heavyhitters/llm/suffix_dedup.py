@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import field, lean, lean_group, lean_pair, materialise, pieces, release, utf8
+from .common import bounded_batches, field, lean, lean_group, lean_pair, materialise, pieces, release, utf8
 from .fingerprints import mix, powers, prefix, spans
 
 #: Bytes of the q-grams that anchors are.
@@ -400,6 +400,7 @@ def dedup_strings(docs: DataFrame, length: int = 50, keep_bytes: bool = False, i
     if not GRAM < length <= 250:
         raise ValueError("length must be from 17 to 250")
     spark = docs.sparkSession
+    bounded_batches(spark)
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     base = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(id_col).cast("long"), F.lit(_NO_ID)).alias("_o"), text.alias("_text"), F.xxhash64(text).alias("_x"))
     raw = F.encode("_text", "UTF-8")

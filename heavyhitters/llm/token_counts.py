@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from .common import field, lean, pieces
+from .common import bounded_batches, field, lean, pieces
 
 #: SentencePiece's mark for a space; in a text it means the same as a space.
 SPACE_MARK = "▁"
@@ -91,4 +91,6 @@ def count_tokens(docs: DataFrame, model_file: str, limit: int = 4096, id_col: st
 
     from pyspark.sql import functions as F
 
+    bounded_batches(docs.sparkSession)
+
     return docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text")).mapInArrow(lean(run), out)
