@@ -22,21 +22,23 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import field, materialise, pieces, release, utf8
+from .common import bounded_batches, field, lean, lean_group, lean_pair, materialise, pieces, release, utf8
 from .components import components
 from .fingerprints import mix, shingles
 
 #: Signatures a reducer gets, about.
-BUCKET_ROWS = 750_000
+BUCKET_ROWS = 400_000
 #: Sets that share a signature within a task before they are passed on one by one.
 HOT = 64
 #: Candidate classes whose keys may be broadcast (8 bytes each).
-BROADCAST_CLASSES = 1 << 20
+BROADCAST_CLASSES = 1 << 18
 #: Bytes of sets that are compared in one task, about, and most around one pivot.
-TASK_BYTES = 16 << 20
+TASK_BYTES = 8 << 20
 SPLIT_BYTES = 64 << 20
+#: Group members compared in one task, about, of one pivot.
+TASK_ROWS = 100_000
 #: Signatures a worker holds before it passes them on.
-FLUSH = 750_000
+FLUSH = 500_000
 
 
 @dataclass(frozen=True)
@@ -179,7 +181,7 @@ def classes(docs: DataFrame, width: int) -> DataFrame:
                 _, _, size, key = _sets(part, width)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int64()), _long(key)], names=out.names)
 
-    return docs.mapInArrow(run, out)
+    return docs.mapInArrow(lean(run), out)
 
 
 def shared_signatures(docs: DataFrame, width: int, bands: Bands, buckets: int) -> DataFrame:
@@ -270,47 +272,36 @@ def shared_signatures(docs: DataFrame, width: int, bands: Bands, buckets: int) -
         keep = fresh & np.repeat(warm | (plain & chosen), size)
         return pa.table({"gid": _long(gid[group[keep]]), "fp": _long(fp[keep])})
 
-    return docs.mapInArrow(run, shape).groupBy("bucket").applyInArrow(meet, "gid long, fp long")
+    return docs.mapInArrow(lean(run), shape).groupBy("bucket").applyInArrow(lean_group(meet), "gid long, fp long")
 
 
 def class_sets(docs: DataFrame, width: int, wanted: DataFrame) -> DataFrame:
     """(task, fp, s): the sorted shingle hashes of each wanted class, for each of its tasks.
 
-    `wanted` is (fp, _h, task); a class's set is taken from the row with the id hash _h.
+    `wanted` is (fp, _h, task); a class's set is taken from the row with the id hash
+    _h. Up to BROADCAST_CLASSES of them are broadcast to the scan of the texts, more
+    are joined by a shuffle.
     """
-    spark = docs.sparkSession
+    wanted = wanted.groupBy("_h", "fp").agg(F.collect_list("task").alias("tasks"))  # tasks of a class are few
     few = wanted.count() <= BROADCAST_CLASSES
-    rows = np.array([(r.fp, r._h, r.task) for r in wanted.select("fp", "_h", "task").collect()], np.int64).reshape(-1, 3) if few else np.zeros((0, 3), np.int64)
-    keys = spark.sparkContext.broadcast(rows[np.argsort(rows[:, 0], kind="stable")])
+    rows = docs.select(F.xxhash64("_id").alias("_h"), "_text").join(F.broadcast(wanted) if few else wanted, "_h").select("fp", "tasks", "_text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, chosen, tasks = keys.value.T
         for whole in batches:
             for part in pieces(whole, "_text"):
-                doc, value, size, key = _sets(part, width)
-                own, row = key.view(np.int64), part.column(0).to_numpy()
-                if few:
-                    low = np.searchsorted(known, own)
-                    copies = np.searchsorted(known, own, side="right") - low
-                    copies[(copies > 0) & (chosen[np.minimum(low, max(len(known) - 1, 0))] != row if len(known) else False)] = 0
-                else:
-                    low, copies = np.zeros(len(own), np.int64), np.ones(len(own), np.int64)
-                copies[size == 0] = 0
+                doc, value, _, key = _sets(part, width)
                 bounds = np.searchsorted(doc, np.arange(part.num_rows + 1))
-                picked = np.flatnonzero(copies)
+                # ids may repeat with other texts
+                picked = np.flatnonzero(key.view(np.int64) == part.column(0).to_numpy())
                 blobs = pa.array([np.sort(value[bounds[i] : bounds[i + 1]]).tobytes() for i in picked], pa.binary())
-                again = np.repeat(np.arange(len(picked)), copies[picked])
-                at = low[picked][again] + np.arange(len(again)) - np.repeat(np.cumsum(copies[picked]) - copies[picked], copies[picked])
-                to = tasks[at] if few else np.zeros(len(again), np.int64)
-                # a few classes at a time: each may go to many tasks
-                for cut in range(0, len(again), 256):
-                    these = again[cut : cut + 256]
-                    yield pa.RecordBatch.from_arrays([pa.array(to[cut : cut + 256], pa.int64()), pa.array(own[picked[these]], pa.int64()), pa.array(row[picked[these]], pa.int64()), blobs.take(pa.array(these))], names=["task", "fp", "_h", "s"])
+                tasks = part.column(1).take(pa.array(picked))
+                again = np.repeat(np.arange(len(picked)), np.asarray(tasks.value_lengths(), np.int64))
+                to, fp = tasks.flatten(), part.column(0).take(pa.array(picked))
+                for cut in range(0, len(again), 256):  # a class may go to many tasks
+                    these = pa.array(again[cut : cut + 256])
+                    yield pa.RecordBatch.from_arrays([to.slice(cut, 256), fp.take(these), blobs.take(these)], names=["task", "fp", "s"])
 
-    sets = docs.select(F.xxhash64("_id").alias("_h"), "_text").mapInArrow(run, "task long, fp long, _h long, s binary")
-    if not few:
-        sets = sets.drop("task").join(wanted, ["fp", "_h"])
-    return sets.select("task", "fp", "s")
+    return rows.mapInArrow(lean(run), "task long, fp long, s binary")
 
 
 def verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -326,7 +317,7 @@ def verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, pa.int64()) for c in (zip(*rows) if rows else ([], [], [])))], names=["a", "b", "na", "nb", "shared"])
 
     joined = pairs.join(sets.select(F.col("fp").alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col("fp").alias("b"), F.col("s").alias("sb")), "b")
-    return joined.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long, na long, nb long, shared long")
+    return joined.select("a", "b", "sa", "sb").mapInArrow(lean(run), "a long, b long, na long, nb long, shared long")
 
 
 def _linked(percent: int):
@@ -403,15 +394,17 @@ def similar_classes(docs: DataFrame, width: int, percent: int, known: DataFrame,
     pivots = groups.join(weight, "fp").groupBy("gid").agg(F.max(F.struct("w", "fp")).alias("p")).select("gid", F.col("p.fp").alias("p"))
     member = materialise(groups.join(pivots, "gid"), "members")
     one = known.groupBy("fp").agg(F.min(F.xxhash64("_id")).alias("_h"), F.max("n").alias("n"))
-    around = materialise(member.select("p", "fp").distinct().join(one, "fp"), "around")
-    sizes = materialise(around.groupBy("p").agg((F.sum("n") * 8).alias("bytes")), "pivots")
-    total = int(sizes.agg(F.sum("bytes")).first()[0] or 0)
-    tasks = max(24, math.ceil(total / TASK_BYTES))
-    task = F.pmod(F.xxhash64("p"), F.lit(tasks))
-    small, large = sizes.filter(F.col("bytes") <= split_bytes).select("p"), sizes.filter(F.col("bytes") > split_bytes).select("p")
-    sets = class_sets(docs, width, materialise(around.join(small, "p").select("fp", "_h", task.alias("task")).distinct(), "wanted"))
-    near = member.join(small, "p").select("gid", "fp", task.alias("task"))
-    links = sets.groupBy("task").cogroup(near.groupBy("task")).applyInArrow(lambda s, g: link_groups(s, g, percent), "a long, b long")
+    around = materialise(member.groupBy("p", "fp").agg(F.count("*").alias("rows")).join(one, "fp"), "around")
+    pivot = around.groupBy("p").agg((F.sum("n") * 8).alias("bytes"), F.sum("rows").alias("rows"))
+    # a hot pivot's groups are dealt to several tasks
+    parts = F.greatest(F.ceil(F.col("bytes") / TASK_BYTES), F.ceil(F.col("rows") / TASK_ROWS), F.lit(1))
+    pivot = materialise(pivot.select("p", "bytes", parts.alias("parts")), "pivots")
+    total = int(pivot.agg(F.sum("bytes")).first()[0] or 0)
+    task = F.pmod(F.xxhash64("p", F.pmod(F.xxhash64("gid"), F.col("parts"))), F.lit(max(24, math.ceil(total / TASK_BYTES))))
+    small, large = pivot.filter(F.col("bytes") <= split_bytes), pivot.filter(F.col("bytes") > split_bytes).select("p")
+    near = materialise(member.join(small, "p").select("gid", "fp", task.alias("task")), "tasks")
+    sets = class_sets(docs, width, near.select("fp", "task").distinct().join(one.select("fp", "_h"), "fp"))
+    links = sets.groupBy("task").cogroup(near.groupBy("task")).applyInArrow(lean_pair(lambda s, g: link_groups(s, g, percent)), "a long, b long")
     if not large.isEmpty():
         wanted = around.join(large, "p").select("fp", "_h").distinct().withColumn("task", F.lit(0).cast("long"))
         links = links.unionByName(pairwise_links(docs, width, percent, member.join(large, "p").select("gid", "fp"), wanted))
@@ -459,6 +452,7 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, id_co
     no other. Sets are compared by 64-bit hashes of shingles, classes of equal sets
     by 64-bit keys.
     """
+    bounded_batches(docs.sparkSession)
     base = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text"))
     known = materialise(classes(base, width), "classes")
     found = similar_classes(base, width, percent, known)
@@ -466,7 +460,7 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, id_co
     placed = own.join(found.select(F.col("node").alias("fp"), "component"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
     lowest = placed.groupBy("component").agg(F.min("low").alias("component_id"), F.sum("copies").alias("rows")).filter("rows > 1")
     special = materialise(placed.join(lowest, "component").select("fp", "component_id"), "members")
-    few = special.count() <= BROADCAST_CLASSES // 4
+    few = special.count() <= BROADCAST_CLASSES
     result = known.join(F.broadcast(special) if few else special, "fp", "left")
     return result.select(F.col("_id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "_id").alias("component_id"))
 
