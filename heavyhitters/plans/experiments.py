@@ -21,19 +21,24 @@ def by_key(df: DataFrame, p: int) -> DataFrame:
     return df.filter(F.col("item").isNotNull()).withColumn("block_id", F.pmod("key", F.lit(p)).cast("int"))
 
 
-def reports(blocked: DataFrame, ks: Sequence[int], p: int, keys: Sequence[str] = (), how: str = "flat") -> dict[str, DataFrame]:
+def reports(blocked: DataFrame, ks: Sequence[int], p: int, keys: Sequence[str] = (), how: str = "flat", weight: str | None = None) -> dict[str, DataFrame]:
     """(keys, k, item, est) of the merged summaries and of the baseline, from the same local summaries."""
-    s = local.histogram(blocked, "item", "k", [*keys, "k"], ks=ks)
+    s = local.histogram(blocked, "item", "k", [*keys, "k"], weight, ks=ks)
     top = merge.flat(s) if how == "flat" else merge.tree(s, p)
     ours = report.prune(top)
     return {"summary": ours.select(*s.keys, "item", "est"), "deficit": baseline.deficit_merge(s, p)}
 
 
 def accuracy(blocked: DataFrame, ks: Sequence[int], p: int, keys: Sequence[str] = (), how: str = "flat") -> DataFrame:
-    """(method, keys, k, n, n_true, n_reported, n_hit, total_error, are, precision, recall)."""
-    truth = blocked.groupBy(*keys, "item").agg(F.count("*").alias("cnt"))
+    """(method, keys, k, n, n_true, n_reported, n_hit, total_error, are, precision, recall).
+
+    The source is read once: exact counts by block are persisted, and both the local
+    summaries and the truth come from them.
+    """
+    counts = blocked.groupBy(*keys, "block_id", "item").agg(F.count("*").alias("times")).persist()
+    truth = counts.groupBy(*keys, "item").agg(F.sum("times").alias("cnt"))
     rows = None
-    for method, reported in reports(blocked, ks, p, keys, how).items():
+    for method, reported in reports(counts, ks, p, keys, how, "times").items():
         part = metrics.summary(reported, truth, "k", [*keys, "k"], keys, ks).select(F.lit(method).alias("method"), "*")
         rows = part if rows is None else rows.unionByName(part)
     return rows
