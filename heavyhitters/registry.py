@@ -61,6 +61,11 @@ def _first_values(spark: SparkSession, d: str, least: int = 0, below: int = 300)
     return rows.select(F.floor("value").cast("bigint").alias("item"), "event_id").filter("item IS NOT NULL")
 
 
+def _all_values(spark: SparkSession, d: str) -> DataFrame:
+    """The values of all events, in serial order by id."""
+    return table(spark, d, "events").select(F.floor("value").cast("bigint").alias("item"), "event_id").filter("item IS NOT NULL")
+
+
 def _pass_sql(where: str, k: int, cols: str = "item, est, err") -> str:
     """One pass as a recursion over positions; the state is a list of counters."""
     return f"""WITH RECURSIVE src AS (SELECT row_number() OVER (ORDER BY event_id) AS pos, floor(value)::BIGINT AS item FROM events WHERE {where} AND value IS NOT NULL),
@@ -75,7 +80,7 @@ SELECT {cols} FROM (SELECT unnest(st) AS c FROM (SELECT st FROM run ORDER BY pos
 
 
 add("ss_sequential_events_k10", lambda spark, d: local.sequential(_first_values(spark, d), "item", 10, ["event_id"]), _pass_sql("event_id >= 0 AND event_id < 300", 10))
-add("ss_sequential_range", lambda spark, d: local.sequential(_first_values(spark, d, 0, 1000), "item", 20, ["event_id"], 100, 399, "event_id"), _pass_sql("event_id BETWEEN 100 AND 399", 20))
+add("ss_sequential_range", lambda spark, d: local.sequential(_all_values(spark, d), "item", 20, ["event_id"], 100, 399, "event_id"), _pass_sql("event_id BETWEEN 100 AND 399", 20))
 add("ss_sequential_exactfit", lambda spark, d: local.sequential(blocked("suppliers", 1)(spark, d).withColumn("o", F.lit(0)), "item", 2000, ["o"]), f"SELECT item, count(*)::BIGINT AS est, 0::BIGINT AS err FROM ({W['suppliers']}) GROUP BY item")
 add("ss_sequential_noerr", lambda spark, d: local.sequential(_first_values(spark, d), "item", 10, ["event_id"], track_error=False).select("item", "est"), _pass_sql("event_id >= 0 AND event_id < 300", 10, "item, est"))
 add(
@@ -84,6 +89,14 @@ add(
     f"SELECT 0::INTEGER AS block_id, sum(est)::BIGINT AS n, 12::BIGINT AS k, count(*) AS nz, (CASE WHEN count(*) = 12 THEN min(est) ELSE 0 END)::BIGINT AS min_est, sum(est)::BIGINT AS total_est FROM ({_pass_sql('event_id >= 0 AND event_id < 200', 12)})",
 )
 
+# The queries above with SQL read the first events alone, as the recursion is slow. These read all of them, without SQL.
+add("ss_sequential_events_k10_whole", lambda spark, d: local.sequential(_all_values(spark, d), "item", 10, ["event_id"]))
+add("ss_sequential_noerr_whole", lambda spark, d: local.sequential(_all_values(spark, d), "item", 10, ["event_id"], track_error=False).select("item", "est"))
+add(
+    "ss_local_sequential_whole",
+    lambda spark, d: local.in_order(blocks.contiguous(_all_values(spark, d), P, ["event_id"]), "item", 12, ["event_id"]).select("block_id", "n", "k", "nz", "min_est", "total_est"),
+)
+
 # ---- local phase, blocks ------------------------------------------------------------------
 
 add("ss_local_histogram", lambda spark, d: summaries("suppliers", 50)(spark, d).counters.select("block_id", "item", "est", "err"), chain("suppliers", 50).select("SELECT block_id, item, est, err FROM l0"))

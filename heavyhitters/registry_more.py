@@ -162,6 +162,7 @@ _A, _B = "(SELECT l_suppkey AS item FROM lineitem WHERE l_orderkey % 7 = 0)", "(
 _part = lambda s, d, m, r: T(s, d, "lineitem").filter(F.col("l_orderkey") % m == r).select(F.col("l_suppkey").alias("item"))
 for _n, _f, _q in (("union_all", lambda a, b: a.unionByName(b), "UNION ALL"), ("union", lambda a, b: a.union(b).distinct(), "UNION"), ("intersect", lambda a, b: a.intersect(b), "INTERSECT"), ("intersect_all", lambda a, b: a.intersectAll(b), "INTERSECT ALL"), ("except", lambda a, b: a.subtract(b), "EXCEPT"), ("except_all", lambda a, b: a.exceptAll(b), "EXCEPT ALL")):
     add(f"op_set_{_n}", lambda s, d, f=_f: f(_part(s, d, 7, 0), _part(s, d, 5, 1)), f"SELECT item FROM {_A} {_q} SELECT item FROM {_B}")
+    add(f"op_set_{_n}_whole", lambda s, d, f=_f: f(T(s, d, "orders").select(F.col("o_custkey").alias("item")), T(s, d, "customer").select(F.col("c_custkey").alias("item"))), f"SELECT o_custkey AS item FROM orders {_q} SELECT c_custkey AS item FROM customer")
 
 # ---- scalar functions ------------------------------------------------------------------------------
 
