@@ -21,12 +21,13 @@ from pyspark.sql import types as T
 from .common import bounded_batches, code_points, field, lean, pieces, stratified
 
 UNKNOWN = "und"
-BITS = 12
+BITS = 13
 BUCKETS = 1 << BITS
 ORDERS = (1, 2, 3)
-ROWS = 256
+#: Texts of a dense block; bounds the memory of fitting and predicting.
+ROWS = 128
 #: Labelled documents used for fitting, over all languages, about.
-FIT_ROWS = 4000
+FIT_ROWS = 6000
 _SPACE = 32
 
 
@@ -92,41 +93,85 @@ class Centroids:
         return names, np.where(known, score, 0.0), ~known | (score < self.least[best])
 
 
-def _cluster(x: np.ndarray, k: int, rounds: int = 8) -> np.ndarray:
+@dataclass
+class _Packed:
+    """A block of rows by their non-zero buckets, a small part of all."""
+
+    size: int
+    row: np.ndarray
+    slot: np.ndarray
+    value: np.ndarray
+
+    def dense(self) -> np.ndarray:
+        x = np.zeros((self.size, BUCKETS), np.float32)
+        x[self.row, self.slot] = self.value
+        return x
+
+    def only_row(self, i: int) -> np.ndarray:
+        x = np.zeros(BUCKETS, np.float32)
+        x[self.slot[self.row == i]] = self.value[self.row == i]
+        return x
+
+
+def _pack(x: np.ndarray) -> _Packed:
+    row, slot = np.nonzero(x)
+    return _Packed(len(x), row.astype(np.uint16), slot.astype(np.uint16), x[row, slot])
+
+
+def _near(x: list[_Packed], c: np.ndarray) -> np.ndarray:
+    """Similarity of each row to each centre."""
+    return np.concatenate([b.dense() @ c.T for b in x])
+
+
+def _cluster(x: list[_Packed], k: int, rounds: int = 8) -> np.ndarray:
     """Spherical k-means; the first centres are each the row farthest from those before it."""
-    mean = x.mean(axis=0)
+    mean = sum(b.dense().sum(axis=0) for b in x)
     centres = [mean / max(np.linalg.norm(mean), 1e-12)]
-    near = x @ centres[0]
-    while len(centres) < min(k, len(x)):
-        centres.append(x[int(near.argmin())])
-        near = np.maximum(near, x @ centres[-1])
+    starts = np.cumsum([0] + [b.size for b in x])
+    near = _near(x, centres[0][None])[:, 0]
+    while len(centres) < min(k, starts[-1]):
+        far = int(near.argmin())
+        at = int(np.searchsorted(starts, far, side="right")) - 1
+        centres.append(x[at].only_row(far - int(starts[at])))
+        near = np.maximum(near, _near(x, centres[-1][None])[:, 0])
     c = np.array(centres, np.float32)
     for _ in range(rounds):
-        own = (x @ c.T).argmax(axis=1)
-        for j in range(len(c)):
-            if (own == j).any():
-                c[j] = x[own == j].sum(axis=0)
+        total, seen = np.zeros_like(c), np.zeros(len(c), bool)
+        for b in x:
+            dense = b.dense()
+            own = (dense @ c.T).argmax(axis=1)
+            total += (own == np.arange(len(c))[:, None]).astype(np.float32) @ dense
+            seen[own] = True
+        c[seen] = total[seen]
         c /= np.maximum(np.linalg.norm(c, axis=1, keepdims=True), 1e-12)
     return c
 
 
+def _packed_rows(texts: list[str], languages: list[str]) -> tuple[dict[str, list[_Packed]], np.ndarray]:
+    """Packed TF-IDF rows of each language, and the idf over all texts."""
+    packed: dict[str, list[_Packed]] = {}
+    having = np.zeros(BUCKETS)
+    for name in sorted(set(languages)):
+        own = [t for t, lang in zip(texts, languages) if lang == name]
+        packed[name] = [_pack(counts(own[at : at + ROWS])[0]) for at in range(0, len(own), ROWS)]
+        having += sum(np.bincount(b.slot, minlength=BUCKETS) for b in packed[name])
+    idf = np.log((1 + len(texts)) / (1 + having)).astype(np.float32) + 1
+    for blocks in packed.values():
+        for b in blocks:
+            b.value = vectors(b.dense(), idf)[b.row, b.slot]
+    return packed, idf
+
+
 def fit_rows(texts: list[str], languages: list[str], clusters: int, rejection: float) -> Centroids:
     """Fit in memory. A centroid rejects under `rejection` times the similarity that
     all but a thousandth of its language's sample reaches."""
-    tf = np.zeros((len(texts), BUCKETS), np.float32)
-    for at in range(0, len(texts), ROWS):
-        tf[at : at + ROWS] = counts(texts[at : at + ROWS])[0]
-    idf = np.log((1 + len(texts)) / (1 + (tf > 0).sum(axis=0))).astype(np.float32) + 1
-    for at in range(0, len(texts), ROWS):
-        tf[at : at + ROWS] = vectors(tf[at : at + ROWS], idf)
+    packed, idf = _packed_rows(texts, languages)
     names, rows, least = [], [], []
-    label = np.array(languages, object)
-    for name in sorted(set(languages)):
-        x = tf[label == name]
+    for name, x in packed.items():
         c = _cluster(x, clusters)
         names += [name] * len(c)
         rows.append(c)
-        least += [rejection * float(np.quantile((x @ c.T).max(axis=1), 0.001))] * len(c)
+        least += [rejection * float(np.quantile(_near(x, c).max(axis=1), 0.001))] * len(c)
     return Centroids(names, np.concatenate(rows), idf, np.array(least))
 
 
