@@ -3,7 +3,9 @@
 A document is a normalised TF-IDF vector of hashed character n-grams. Each
 language has several centroids, found by spherical k-means over a bounded
 sample of labelled documents; a document gets the language of the most similar
-centroid, and is rejected when even that one is too far away.
+centroid, and is rejected when even that one is too far away. How far that is
+depends on the number of letters: the limits lie between the similarities of
+held-out documents to their own language and to the others.
 """
 
 from __future__ import annotations
@@ -28,6 +30,10 @@ ORDERS = (1, 2, 3)
 ROWS = 128
 #: Labelled documents used for fitting, over all languages, about.
 FIT_ROWS = 6000
+#: Held-out texts of a language whose beginnings set its limits, at most.
+CALIBRATION = 500
+#: Limits are for 1, 2, 4, ... letters.
+CLASSES = 15
 _SPACE = 32
 
 
@@ -37,7 +43,7 @@ def _letters() -> np.ndarray:
 
 
 def counts(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """n-gram counts (text, bucket) and whether the text has a letter.
+    """n-gram counts (text, bucket) and the number of letters of each text.
 
     Texts are lower-cased; each run of other characters than letters is one space,
     which is part of n-grams with a letter.
@@ -63,7 +69,7 @@ def counts(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
             ok = letter
         slot = ((gram * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BITS)).astype(np.int64)
         out += np.bincount((who[:size] * BUCKETS + slot)[ok], minlength=len(out)).astype(np.float32)
-    return out.reshape(len(texts), BUCKETS), np.bincount(who[letter], minlength=len(texts)) > 0
+    return out.reshape(len(texts), BUCKETS), np.bincount(who[letter], minlength=len(texts))
 
 
 def vectors(tf: np.ndarray, idf: np.ndarray) -> np.ndarray:
@@ -72,6 +78,11 @@ def vectors(tf: np.ndarray, idf: np.ndarray) -> np.ndarray:
     return x / np.maximum(np.sqrt((x * x).sum(axis=1, keepdims=True)), 1e-12)
 
 
+def letter_class(letters: np.ndarray) -> np.ndarray:
+    """The class of a number of letters: 2**class is at most that number."""
+    return np.minimum(np.log2(np.maximum(letters, 1)).astype(int), CLASSES - 1)
+
+
 @dataclass
 class Centroids:
     """The fitted model; its size is languages * clusters * buckets."""
@@ -79,18 +90,19 @@ class Centroids:
     languages: list[str]  # of each centroid
     matrix: np.ndarray
     idf: np.ndarray
-    least: np.ndarray  # similarity under which a centroid rejects
+    least: np.ndarray  # similarity under which a centroid rejects, by class of letters
 
     def predict(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
         """Language, cosine similarity, rejected or not, of each text."""
-        tf, known = counts(texts)
+        tf, letters = counts(texts)
+        known = letters > 0
         if not self.languages:
             return [UNKNOWN] * len(texts), np.zeros(len(texts)), np.ones(len(texts), bool)
         near = vectors(tf, self.idf) @ self.matrix.T
         best = near.argmax(axis=1)
         score = np.clip(near[np.arange(len(texts)), best].astype(float), 0.0, 1.0)
         names = [self.languages[b] if k else UNKNOWN for b, k in zip(best, known)]
-        return names, np.where(known, score, 0.0), ~known | (score < self.least[best])
+        return names, np.where(known, score, 0.0), ~known | (score < self.least[best, letter_class(letters)])
 
 
 @dataclass
@@ -162,22 +174,72 @@ def _packed_rows(texts: list[str], languages: list[str]) -> tuple[dict[str, list
     return packed, idf
 
 
+def _beginnings(text: str) -> list[str]:
+    """The text up to its first 1, 2, 4, ... letters, as far as it has so many."""
+    at = np.flatnonzero(_letters()[code_points([text])[0]])
+    return [text[: at[(1 << i) - 1] + 1] for i in range(CLASSES) if 1 << i <= len(at)]
+
+
+def _limits(texts: list[str], languages: list[str], clusters: int, rejection: float) -> dict[str, np.ndarray]:
+    """The limit of each language by class of letters.
+
+    Each half of the texts is held against centroids of the other half. A limit lies
+    `rejection` of the way from the similarity that 95 % of the other languages'
+    beginnings stay under to the one that 99.5 % of its own reach. Classes that fewer
+    than half of the texts reach take the limit of the class of fewer letters.
+    """
+    names = sorted(set(languages))
+    own: dict[tuple[str, int], list[np.ndarray]] = {}
+    other: dict[tuple[str, int], list[np.ndarray]] = {}
+    order = {n: [t for t, lang in zip(texts, languages) if lang == n] for n in names}
+    for half in (0, 1):
+        # a language of one text stays in both halves
+        train = [(t, n) for n in names for t in order[n][half::2] or order[n]]
+        packed, idf = _packed_rows([t for t, _ in train], [n for _, n in train])
+        centres = [_cluster(packed[n], clusters) for n in names]
+        del packed
+        every, starts = np.concatenate(centres), np.cumsum([0] + [len(c) for c in centres[:-1]])
+        for n in names:
+            held = [(i, part) for t in (order[n][1 - half :: 2] or order[n])[: CALIBRATION // 2] for i, part in enumerate(_beginnings(t))]
+            held.sort(key=lambda x: x[0])
+            for at in range(0, len(held), ROWS):
+                size = np.array([i for i, _ in held[at : at + ROWS]])
+                near = np.maximum.reduceat(vectors(counts([p for _, p in held[at : at + ROWS]])[0], idf) @ every.T, starts, axis=1)
+                for i in set(size.tolist()):
+                    for j, m in enumerate(names):
+                        (own if m == n else other).setdefault((m, i), []).append(near[size == i, j])
+    out = {}
+    for n in names:
+        limit = np.zeros(CLASSES)
+        whole = sum(map(len, own[n, 0]))
+        for i in range(CLASSES):
+            inside = np.concatenate(own.get((n, i), [np.zeros(0)]))
+            if len(inside) < max(1, whole / 2):
+                limit[i] = limit[i - 1]
+                continue
+            low, outside = np.quantile(inside, 0.005), np.concatenate(other.get((n, i), [np.zeros(1)]))
+            high = min(np.quantile(outside, 0.95), low)
+            limit[i] = high + rejection * (low - high)
+        out[n] = limit
+    return out
+
+
 def fit_rows(texts: list[str], languages: list[str], clusters: int, rejection: float) -> Centroids:
-    """Fit in memory. A centroid rejects under `rejection` times the similarity that
-    all but a thousandth of its language's sample reaches."""
+    """Fit in memory: centroids of all texts, limits of held-out halves."""
+    limits = _limits(texts, languages, clusters, rejection)
     packed, idf = _packed_rows(texts, languages)
-    names, rows, least = [], [], []
+    names, rows = [], []
     for name, x in packed.items():
         c = _cluster(x, clusters)
         names += [name] * len(c)
         rows.append(c)
-        least += [rejection * float(np.quantile(_near(x, c).max(axis=1), 0.001))] * len(c)
-    return Centroids(names, np.concatenate(rows), idf, np.array(least))
+    return Centroids(names, np.concatenate(rows), idf, np.array([limits[n] for n in names]))
 
 
 def fit(labelled: DataFrame, clusters: int = 4, fit_total: int = FIT_ROWS, rejection: float = 0.25, seed: int = 11, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Centroids:
     """Fit on about `fit_total` rows, as many of each language, chosen by a hash of the id.
 
+    `rejection` is where limits lie between the other languages' similarities (0) and the own ones (1).
     Rows with a null text or language are not used. The sample is gathered by one
     task; the model alone comes to the driver.
     """
@@ -190,11 +252,11 @@ def fit(labelled: DataFrame, clusters: int = 4, fit_total: int = FIT_ROWS, rejec
         got = [g for g in got if any(map(str.isalpha, g[2]))]
         if got:
             m = fit_rows([g[2] for g in got], [g[1] for g in got], clusters, rejection)
-            yield pa.RecordBatch.from_arrays([pa.array([*m.languages, None]), pa.array([r.astype(np.float32).tobytes() for r in (*m.matrix, m.idf)], pa.binary()), pa.array([*m.least, None], pa.float64())], names=["name", "row", "least"])
+            yield pa.RecordBatch.from_arrays([pa.array([*m.languages, None]), pa.array([r.astype(np.float32).tobytes() for r in (*m.matrix, m.idf)], pa.binary()), pa.array([*m.least.tolist(), None], pa.list_(pa.float64()))], names=["name", "row", "least"])
 
-    model = sample.repartition(1).mapInArrow(lean(train), "name string, row binary, least double").collect()
+    model = sample.repartition(1).mapInArrow(lean(train), "name string, row binary, least array<double>").collect()
     if not model:
-        return Centroids([], np.zeros((0, BUCKETS), np.float32), np.ones(BUCKETS, np.float32), np.zeros(0))
+        return Centroids([], np.zeros((0, BUCKETS), np.float32), np.ones(BUCKETS, np.float32), np.zeros((0, CLASSES)))
     row = lambda r: np.frombuffer(bytes(r.row), np.float32)
     named = [r for r in model if r.name is not None]
     return Centroids([r.name for r in named], np.array([row(r) for r in named]), row(next(r for r in model if r.name is None)), np.array([r.least for r in named]))

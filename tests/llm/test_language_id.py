@@ -1,5 +1,6 @@
 """Size of the language model, and what it rejects."""
 
+import base64
 import random
 
 import numpy as np
@@ -38,3 +39,19 @@ def test_packed_clusters_are_those_of_dense_rows():
     for j in set(own):
         centre = x[own == j].sum(axis=0)
         assert c[j] @ centre / np.linalg.norm(centre) > 0.98
+
+
+@pytest.mark.parametrize("n", [20, 200, 500])
+def test_unknown_texts_are_rejected(model, n):
+    rng = random.Random(3)
+    unseen = [words(rng, alphabet, n) for alphabet in (IDEOGRAPHS, "абвгдежзиклмнопрст", "bcdfghjklmnpqrstvwxz") for _ in range(30)]
+    encoded = [base64.b64encode(rng.randbytes(4 * n)).decode() for _ in range(30)]
+    for part in (unseen[:30], unseen[30:60], unseen[60:], encoded):
+        assert model.predict(part)[2].mean() >= 0.9
+
+
+def test_known_texts_are_kept(spark, model):
+    """Documents of another table than the fitted one, and their beginnings."""
+    texts = [r.text for r in spark.read.parquet(f"{DATA.replace('0.001', '0.01')}/documents.parquet").collect() if any(map(str.isalpha, r.text or ""))]
+    assert model.predict(texts)[2].mean() < 0.01
+    assert model.predict([" ".join(t.split()[:12]) for t in texts])[2].mean() < 0.02
