@@ -108,6 +108,21 @@ def test_top_k(spark):
     assert exact_topk.exact_top_k(vectors.limit(0)).collect() == []
 
 
+@pytest.mark.parametrize("kind,size,width", [("float", 4e5, 256), ("double", 1e12, 256), ("double", 3e8, 4), ("float", 40000.0, 2)])
+def test_top_k_of_large_components(spark, kind, size, width):
+    """Scores of any size are exact: no clamp, whatever |x|."""
+    rng = random.Random(12)
+    data = [(i, [float(np.float32(rng.uniform(-size, size))) for _ in range(width)]) for i in range(50)] + [(60, [size] * width), (61, [size] * width)]
+    vectors = spark.createDataFrame(data, f"vec_id long, embedding array<{kind}>")
+    weights = {i: [int(np.floor(64 * x)) for x in v] for i, v in data}
+    want = []
+    for q in [i for i in weights if i % 20 == 0]:
+        exact = {i: sum(x * y for x, y in zip(weights[q], v)) for i, v in weights.items() if i != q}
+        near = sorted((-min(max(s, exact_topk.LEAST), exact_topk.MOST), i) for i, s in exact.items())[:20]
+        want += [(q, n, i, -s) for n, (s, i) in enumerate(near, 1)]
+    assert rows(exact_topk.exact_top_k(vectors, row_block=16), "query_id", "rank", "vec_id", "score") == sorted(want, key=repr)
+
+
 # ---- 4 ----------------------------------------------------------------------------------
 
 
