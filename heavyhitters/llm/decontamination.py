@@ -21,6 +21,10 @@ from .common import bounded_batches, field, lean, pieces
 
 #: Benchmark text handled by one scan of the documents; more is scanned in blocks.
 BLOCK_BYTES = 16 << 20
+#: Edits an item may differ by, as a share of its length.
+ERROR_RATE = 1 / 16
+#: From this code point on, most scripts are written without spaces.
+SPACELESS = 0x0E00
 
 
 def normalise(text: str | None) -> str:
@@ -28,6 +32,23 @@ def normalise(text: str | None) -> str:
     return " ".join((text or "").lower().split())
 
 
+def splits_word(text: str, start: int, stop: int) -> bool:
+    """Whether text[start:stop] begins or ends within a word.
+
+    Only scripts that put spaces between words have such borders.
+    """
+    letter = lambda c: c.isalnum() and ord(c) < SPACELESS
+    return (start > 0 and letter(text[start - 1]) and letter(text[start])) or (stop < len(text) and letter(text[stop]) and letter(text[stop - 1]))
+
+
+def place(text: str, item: str) -> int:
+    """Where the item stands unchanged, as whole words; -1 if nowhere."""
+    at = text.find(item)
+    while at >= 0 and splits_word(text, at, at + len(item)):
+        at = text.find(item, at + 1)
+    return at
+
+
 def cut(text: str, errors: int) -> list[tuple[int, str]]:
     """errors + 1 pieces of almost equal size, with their offsets."""
     n = errors + 1
@@ -110,9 +131,10 @@ class Matcher:
         out = []
         for k, starts in windows.items():
             item, pattern, errors = self.items[k]
-            exact = text.find(pattern)
+            exact = text.find(pattern) if errors else place(text, pattern)
             if exact >= 0:
                 out.append((item, 0, exact, exact + len(pattern)))
+            if exact >= 0 or not errors:
                 continue
             best: tuple[int, int] | None = None
             reach = 0
@@ -143,17 +165,18 @@ def _blocks(benchmark: DataFrame, item_col: str, text_col: str, min_item_chars:
     for b in range(blocks):
         part = rows if blocks == 1 else rows.filter(F.pmod(F.xxhash64("t"), F.lit(blocks)) == b)
         items = sorted({(r.i, normalise(r.t)) for r in part.collect()}, key=lambda x: (str(x[0]), x[1]))
-        yield [x for x in items if len(x[1]) >= min_item_chars]
+        yield [x for x in items if len(x[1]) >= max(min_item_chars, 1)]
 
 
-def find_items(docs: DataFrame, benchmark: DataFrame, error_rate: float = 1 / 16, min_item_chars: int = 16, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
+def find_items(docs: DataFrame, benchmark: DataFrame, error_rate: float = ERROR_RATE, min_item_chars: int = 1, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """(id, item, distance, start, stop): items found in documents within their budget.
 
     Both texts are lower-cased with white space collapsed; start and stop are code
     points of that form of the document, at the item's nearest place. The budget is
     floor(error_rate * length of the item) edits. One row per document row and item;
-    documents without a hit have none, nulls and empty texts among them. Items
-    that are null or shorter than `min_item_chars` are not searched.
+    documents without a hit have none, nulls and empty texts among them. An item too
+    short for a single edit is searched unchanged, as whole words. Items that are
+    null, empty or shorter than `min_item_chars` are not searched.
     """
     spark = docs.sparkSession
     bounded_batches(spark)
@@ -181,7 +204,7 @@ def find_items(docs: DataFrame, benchmark: DataFrame, error_rate: float = 1 / 16
     return result
 
 
-def keep_clean(docs: DataFrame, benchmark: DataFrame, error_rate: float = 1 / 16, min_item_chars: int = 16, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
+def keep_clean(docs: DataFrame, benchmark: DataFrame, error_rate: float = ERROR_RATE, min_item_chars: int = 1, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """The rows, with all their columns, in which no item is found."""
     bounded_batches(docs.sparkSession)
     at = docs.columns.index(text_col)
