@@ -126,11 +126,18 @@ a AS (SELECT x.source, x.s, x.cap, x.w, x.total,
              sum(y.w) FILTER (WHERE y.cap * x.w >= x.cap * y.w)::BIGINT AS weight FROM w x, w y GROUP BY ALL),
 lv AS (SELECT total - below AS rest, weight AS left_w FROM a WHERE (total - below) * w <= cap * weight ORDER BY cap::DOUBLE / w LIMIT 1),
 t AS (SELECT source, s, least(CASE WHEN w * rest > cap * left_w THEN cap::DOUBLE ELSE (w * rest)::DOUBLE / left_w::DOUBLE END, cap::DOUBLE) AS target FROM a, lv),
-f AS (SELECT *, CASE WHEN s > 0 THEN least(floor(target / s), 3)::BIGINT ELSE 0 END AS whole FROM t),
-h AS (SELECT *, greatest(target - whole * s, 0.0) AS lack FROM f),
-o AS (SELECT doc_id, size, s, target, whole, lack, sum(size) OVER (PARTITION BY d.source ORDER BY u, doc_id NULLS FIRST, size ROWS UNBOUNDED PRECEDING) AS upto
-      FROM d JOIN h ON d.source IS NOT DISTINCT FROM h.source)
-SELECT doc_id, size, s AS source_size, target, (size * (whole + (CASE WHEN lack > 0 AND 2 * upto - size <= 2 * lack THEN 1 ELSE 0 END)))::BIGINT AS taken FROM o
+x AS (SELECT *, CASE WHEN size > 0 THEN length(bin(size)) ELSE 0 END::DOUBLE AS g FROM d),
+c AS (SELECT t.source, target, g, sum(size)::BIGINT AS cs FROM x JOIN t ON x.source IS NOT DISTINCT FROM t.source WHERE size > 0 GROUP BY ALL),
+v AS (SELECT *, (target - 3 * coalesce(sum(cs) OVER (PARTITION BY source ORDER BY g DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT)
+             / sum(g * cs) OVER (PARTITION BY source ORDER BY g DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM c),
+z AS (SELECT source, arg_max(level, g) AS level FROM v WHERE level * g <= 3 GROUP BY source),
+e AS (SELECT c.source, c.g, cs, least(c.g * coalesce(z.level, 'inf'::DOUBLE), 3.0) AS copies FROM c LEFT JOIN z ON c.source IS NOT DISTINCT FROM z.source),
+f AS (SELECT *, floor(copies)::BIGINT AS whole, copies - floor(copies) AS pi FROM e),
+h AS (SELECT t.source, s, target, greatest(target - coalesce(sure, 0), 0.0) AS lack FROM t LEFT JOIN (SELECT source, sum(whole * cs)::BIGINT AS sure FROM f GROUP BY source) y ON t.source IS NOT DISTINCT FROM y.source),
+r AS (SELECT doc_id, size, s, target, lack, h.source, coalesce(whole, 0) AS whole, pi, CASE WHEN pi > 0 THEN (u / (1 - u)) / (pi / (1 - pi)) END AS q
+      FROM x JOIN h ON x.source IS NOT DISTINCT FROM h.source LEFT JOIN f ON x.source IS NOT DISTINCT FROM f.source AND x.g = f.g),
+o AS (SELECT *, sum(size) OVER (PARTITION BY source ORDER BY q NULLS LAST, doc_id NULLS FIRST, size ROWS UNBOUNDED PRECEDING) AS upto FROM r)
+SELECT doc_id, size, s AS source_size, target, (size * (whole + (CASE WHEN q IS NOT NULL AND lack > 0 AND 2 * upto - size <= 2 * lack THEN 1 ELSE 0 END)))::BIGINT AS taken FROM o
 """,
     "op10_jaccard_join": rf"""
 WITH RECURSIVE w AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all({LOWER.format("coalesce(text, '')")}, '{WORD}') AS ws FROM documents),

@@ -163,8 +163,48 @@ def test_mixing(spark, edge, none):
         assert target[s] == pytest.approx(want[s]) and abs(taken[s] - want[s]) <= largest[s]
     assert rows(got, "doc_id", "taken") == rows(mixing.mix_sources(docs.repartition(5)), "doc_id", "taken")
     assert mixing.mix_sources(edge).count() == len(EDGE) and mixing.mix_sources(none).collect() == []
-    weighted = mixing.mix_sources(docs.withColumn("o", F.when(F.col("doc_id") % 2 == 0, 3.0)), odds_col="o")
-    assert weighted.count() == 800
+    odd = {r.doc_id: r.taken for r in mixing.mix_sources(docs.withColumn("o", F.when(F.col("doc_id") % 2 == 0, 3.0)), odds_col="o").collect()}
+    assert len(odd) == 800 and not any(t for i, t in odd.items() if i % 2)
+
+
+def test_mixing_of_many_sources(spark):
+    """Targets by the running sums over distinct sizes are those of resharing by hand."""
+    rng = random.Random(13)
+    data = [(i, "w " * rng.choice([0, 1, 1, 1, 2, 5, 40, 300]), f"s{i % 211}" if i % 17 else None) for i in range(900)]
+    docs = spark.createDataFrame(data, "doc_id long, text string, source string")
+    sizes, target = Counter(), {}
+    source = {i: s for i, _, s in data}
+    for r in mixing.mix_sources(docs).collect():
+        sizes[source[r.doc_id]] += r.size
+        target[source[r.doc_id]] = r.target
+        assert r.source_size == sum(len(t) // 2 for _, t, s in data if s == source[r.doc_id])
+    want = fill(sizes, (1, 2, 3), 3)
+    assert {s: pytest.approx(t) for s, t in want.items()} == target
+
+
+def test_mixing_draws_with_unequal_odds(spark):
+    """Over seeds, a document's copies average its expected ones: binary length of its size times one level."""
+    rng = random.Random(14)
+    data = [(i, "w " * (1 << rng.randint(0, 7)), "a" if i % 3 else "b") for i in range(240)]
+    docs = spark.createDataFrame(data, "doc_id long, text string, source string").cache()
+    total, runs, target, size = Counter(), 6, {}, {}
+    source = {i: s for i, _, s in data}
+    for seed in range(runs):
+        for r in mixing.mix_sources(docs, seed=seed).collect():
+            total[r.doc_id] += r.copies
+            size[r.doc_id], target[source[r.doc_id]] = r.size, r.target
+    for s in ("a", "b"):
+        ids = [i for i in source if source[i] == s]
+        level = target[s] / sum(size[i] * size[i].bit_length() for i in ids)
+        for _ in range(60):  # what is capped leaves its share to the others
+            level *= target[s] / sum(size[i] * min(3, size[i].bit_length() * level) for i in ids)
+        by_class = defaultdict(list)
+        for i in ids:
+            by_class[size[i].bit_length()].append(total[i] / runs)
+        means = {g: np.mean(v) for g, v in by_class.items()}
+        assert all(means[g] == pytest.approx(min(3, g * level), abs=0.12) for g in means)
+        assert means[8] > 2 * means[2]
+    docs.unpersist()
 
 
 # ---- 5 ----------------------------------------------------------------------------------
@@ -306,6 +346,17 @@ def test_decontamination(spark, edge, none, block):
     assert decontamination.find_items(docs, bench.limit(0)).collect() == [] and decontamination.keep_clean(edge, bench).count() == len(EDGE)
 
 
+def test_decontamination_of_short_items(spark):
+    """Short items count unchanged, as whole words; no length is left out."""
+    items = [(0, "fortytwo42"), (1, "a b"), (2, "cat"), (3, "日本"), (4, ""), (5, " "), (6, "x"), (7, None)]
+    data = [(0, "say FortyTwo42, and"), (1, "fortytwo421"), (2, "a  b"), (3, "concatenate"), (4, "The cat."), (5, "東日本語"), (6, None), (7, "x"), (8, "b a-b xx"), (None, "cat")]
+    docs, bench = spark.createDataFrame(data, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    got = decontamination.find_items(docs, bench)
+    assert rows(got, "doc_id", "item_id", "distance") == sorted([(0, 0, 0), (2, 1, 0), (4, 2, 0), (5, 3, 0), (7, 6, 0), (None, 2, 0)], key=repr)
+    assert {(r.doc_id, r.start, r.stop) for r in got.collect()} >= {(0, 4, 14), (4, 4, 7), (5, 1, 3)}
+    assert {r.doc_id for r in decontamination.keep_clean(docs, bench).collect()} == {1, 3, 6, 8}
+
+
 # ---- 9 ----------------------------------------------------------------------------------
 
 
