@@ -1,9 +1,10 @@
 """Quality classifier with supervised subword embeddings.
 
-Hashed words and character n-grams have learned vectors; a document is their
-average, and a softmax layer gives the label's probability. Vectors and layer
-are trained together by stochastic gradient descent in numpy (steps scaled per
-coordinate by their past gradients).
+Hashed words, pairs of neighbouring words and character n-grams have learned
+vectors; a document is their average, and a softmax layer gives the label's
+probability. Vectors and layer are trained together by stochastic gradient descent
+in numpy with a step that falls to zero. No feature is made by hand for a kind of
+document: whatever tells the labels apart is learned from hashed n-grams alone.
 """
 
 from __future__ import annotations
@@ -23,19 +24,18 @@ from .common import bounded_batches, code_points, field, lean, pieces, stratifie
 BITS = 15
 BUCKETS = 1 << BITS
 DIMENSIONS = 8
-ORDERS = (2, 3, 4)
-#: How often the feature of an immediately repeated word counts.
-REPEAT_WEIGHT = 8
+#: Lengths of character n-grams.
+ORDERS = (2, 3, 4, 5)
 #: Labelled documents used for fitting, about.
 FIT_ROWS = 6000
-#: Small samples are passed over more often, up to about so many steps.
-LEAST_STEPS = 1200
+#: Small samples are passed over more often, up to about so many documents.
+LEAST_STEPS = 40_000
 _P = np.uint64(0x100000001B3)
 _K = np.uint64(0x9E3779B97F4A7C15)
 
 
 def features(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """(text, bucket) of every word and every n-gram of characters, case and marks kept."""
+    """(text, bucket) of every word, word pair and n-gram of characters, case and marks kept."""
     points, owner = code_points(texts)
     value = points.astype(np.uint64) + np.uint64(1)
     docs, slots = [], []
@@ -63,10 +63,9 @@ def features(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         hashed = np.add.reduceat(term, np.concatenate([[0], np.cumsum(stop - start)[:-1]]))
         docs.append(owner[start])
         slots.append((hashed * _K) >> np.uint64(64 - BITS))
-        # the word pair (w, w) has one vector for all w, as heavy as the word's characters
-        again = start[1:][(hashed[1:] == hashed[:-1]) & (owner[start[1:]] == owner[start[:-1]])]
-        docs.append(np.repeat(owner[again], REPEAT_WEIGHT))
-        slots.append(np.zeros(len(again) * REPEAT_WEIGHT, np.uint64))
+        pair = np.flatnonzero(owner[start[1:]] == owner[start[:-1]])
+        docs.append(owner[start[pair]])
+        slots.append(((hashed[pair] * _P + hashed[pair + 1]) * _K) >> np.uint64(64 - BITS))
     if not docs:
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
     return np.concatenate(docs), np.concatenate(slots).astype(np.int64)
@@ -88,7 +87,11 @@ class Model:
 
 
 def fit_rows(texts: list[str], labels: list[int], epochs: int, rate: float, seed: int) -> Model:
-    """Train in memory on sparse rows of feature shares."""
+    """Train in memory on sparse rows of feature shares, one document a step.
+
+    The step falls in a straight line to zero. A document's vectors share its
+    gradient by their shares in the average.
+    """
     rng = np.random.default_rng(seed)
     rows = []
     for at in range(0, len(texts), 64):
@@ -99,36 +102,28 @@ def fit_rows(texts: list[str], labels: list[int], epochs: int, rate: float, seed
         for a, b in zip(cut[:-1], cut[1:]):
             share = n[a:b].astype(np.float32)
             rows.append(((code[a:b] % BUCKETS).astype(np.int32), share / max(share.sum(), 1)))
-    y = np.array(labels, np.int64)
     vec = rng.uniform(-1 / DIMENSIONS, 1 / DIMENSIONS, (BUCKETS, DIMENSIONS)).astype(np.float32)
-    layer = rng.uniform(-1, 1, (DIMENSIONS, 2)).astype(np.float32)
-    bias = np.zeros(2, np.float32)
-    past = [np.full_like(x, 1e-8) for x in (vec, layer, bias)]
-    x = np.zeros((64, BUCKETS), np.float32)
-    epochs = max(epochs, math.ceil(LEAST_STEPS * 64 / len(rows)))
-    for epoch in range(epochs):
-        order = rng.permutation(len(rows))
-        step = rate * (1 - epoch / epochs)
-        for at in range(0, len(order), 64):
-            batch = order[at : at + 64]
-            x[:] = 0
-            for i, r in enumerate(batch):
-                x[i, rows[r][0]] = rows[r][1]
-            xs = x[: len(batch)]
-            hidden = xs @ vec
-            z = hidden @ layer + bias
-            p = np.exp(z - z.max(axis=1, keepdims=True))
-            p /= p.sum(axis=1, keepdims=True)
-            p[np.arange(len(batch)), y[batch]] -= 1
-            p /= len(batch)
-            grads = (xs.T @ (p @ layer.T), hidden.T @ p, p.sum(axis=0))
-            for w, g, s in zip((vec, layer, bias), grads, past):
-                s += g * g
-                w -= step * g / np.sqrt(s)
-    return Model((vec @ (layer[:, 1] - layer[:, 0])).astype(np.float64), float(bias[1] - bias[0]))
-
-
-def fit(docs: DataFrame, labels: DataFrame, fit_total: int = FIT_ROWS, epochs: int = 6, rate: float = 0.05, seed: int = 5, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> Model:
+    layer, bias = np.zeros((2, DIMENSIONS), np.float32), np.zeros(2, np.float32)
+    epochs = max(epochs, math.ceil(LEAST_STEPS / len(rows)))
+    steps, done = epochs * len(rows), 0
+    for _ in range(epochs):
+        for r in rng.permutation(len(rows)):
+            at, share = rows[r]
+            step, done = np.float32(rate * (1 - done / steps)), done + 1
+            held = vec[at]
+            hidden = share @ held
+            z = layer @ hidden + bias
+            p = np.exp(z - z.max())
+            p /= p.sum()
+            p[labels[r]] -= 1
+            back = p @ layer
+            layer -= step * p[:, None] * hidden
+            bias -= step * p
+            vec[at] = held - (step * share)[:, None] * back
+    return Model((vec @ (layer[1] - layer[0])).astype(np.float64), float(bias[1] - bias[0]))
+
+
+def fit(docs: DataFrame, labels: DataFrame, fit_total: int = FIT_ROWS, epochs: int = 6, rate: float = 0.5, seed: int = 5, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> Model:
     """Fit on about `fit_total` labelled documents, half of each label, chosen by a hash of the id.
 
     Labels other than 0 and 1 (nulls too) are not used; of several labels of one id

@@ -291,6 +291,26 @@ def test_quality(spark, edge, none):
     assert {r.score for r in quality.score(edge, quality.fit(docs, labels.limit(0))).collect()} == {0.5}
 
 
+def test_quality_is_learned(spark):
+    """Held-out labels of real documents are told apart by what n-grams alone have taught."""
+    import __spark_entry__
+
+    sf = "/root/testdata/sf0.1"
+    scored = __spark_entry__.queries()["op8_quality"](spark, sf).filter("held_out")
+    got = scored.join(spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", "quality"), "doc_id").filter("quality IS NOT NULL").collect()
+    good, bad = (np.sort([r.score for r in got if r.quality == q]) for q in (1, 0))
+    auc = (np.searchsorted(bad, good) + np.searchsorted(bad, good, "right")).sum() / (2 * len(good) * len(bad))
+    right = [np.mean([r.predicted == q for r in got if r.quality == q]) for q in (0, 1)]
+    assert len(bad) > 50 and auc > 0.94 and np.mean(right) > 0.86
+
+
+def test_quality_features_are_hashed_ngrams():
+    """Each pair of words has a vector of its own, a repeated word's pair too."""
+    slots = lambda t: set(quality.features([t])[1].tolist())
+    assert not slots("abcabc abcabc") & slots("123123 123123")
+    assert len(slots("ab cd") - slots("ab") - slots("cd")) > 1 and set(quality.features(["", "a b"])[0].tolist()) == {1}
+
+
 # ---- 7 ----------------------------------------------------------------------------------
 
 
