@@ -5,7 +5,8 @@ a smaller id. The work is spread by anchors: every window of `length` bytes pick
 the smallest hashed q-gram inside it, so equal windows have equal anchors. Anchors
 of one document only are settled by their hash alone; around the others the bytes
 are gathered, their suffixes sorted, and in each run of suffixes that agree for
-`length` bytes the smallest document stays.
+`length` bytes the smallest document stays. Hashes only propose: whatever is
+removed has been compared byte by byte.
 """
 
 from __future__ import annotations
@@ -31,12 +32,53 @@ GROUP_BYTES = 4 << 20
 BUCKET_ANCHORS = 1_000_000
 SORT_BYTES = 2 << 20
 FLUSH = 1_000_000
-#: Copies of whole texts whose ids may be broadcast.
+#: Groups of documents whose repeated windows are settled together before all are.
+FAN_IN = 1024
+#: Copies of whole texts whose ids, and repeated digests that, may be broadcast.
 BROADCAST_ROWS = 1 << 18
+#: Copies from which on a text's digest is always broadcast: one key is one task otherwise.
+HOT_ROWS = 100_000
 _LOW = np.uint64((1 << 40) - 1)
 _NO_ID = (1 << 63) - 1
 
 
+# ---- bytes ---------------------------------------------------------------------------
+
+
+def words(data: np.ndarray, length: int) -> tuple[np.ndarray, list[int]]:
+    """Eight bytes from every position as one number that sorts like them, and the steps that cover `length`."""
+    view = np.ndarray((max(len(data) - 7, 0),), ">u8", np.ascontiguousarray(data), strides=(1,))
+    return view, [*range(0, length - 8, 8), length - 8]
+
+
+def same_bytes(data: np.ndarray, a: np.ndarray, b: np.ndarray, length: int) -> np.ndarray:
+    """Whether `length` bytes from a and from b are equal."""
+    view, steps = words(data, length)
+    equal = np.ones(len(a), bool)
+    for i in steps:
+        equal &= view[a + i] == view[b + i]
+    return equal
+
+
+def later_windows(hashed: np.ndarray, owner: np.ndarray, data: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
+    """Windows (starting at `at`) that a smaller document has too, as far as neighbours by hash and id show.
+
+    Equal hashes count only if the bytes agree. Where other bytes with the same
+    hash stand between equal windows, the later one is left to the suffix sort.
+    """
+    order = np.lexsort((owner, hashed))
+    later = np.zeros(len(order), bool)
+    if not len(order):
+        return later
+    lead = np.ones(len(order), bool)
+    same = np.flatnonzero(hashed[order[1:]] == hashed[order[:-1]])
+    lead[same[same_bytes(data, at[order[same]], at[order[same + 1]], length)] + 1] = False
+    first = np.flatnonzero(lead)
+    least = np.repeat(owner[order[first]], np.diff(np.concatenate([first, [len(order)]])))
+    later[order] = owner[order] > least
+    return later
+
+
 # ---- suffix sort ---------------------------------------------------------------------
 
 
@@ -119,17 +161,30 @@ class Suffixes:
             width *= 2
         return order
 
+    def _compared(self, order: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Of each neighbouring pair in the order: whether the bytes agree, whether they rise."""
+        view, steps = words(self.data, self.length)
+        equal, rises = np.ones(max(len(order) - 1, 0), bool), np.zeros(max(len(order) - 1, 0), bool)
+        for i in steps:
+            word = view[self.starts[order] + i].astype(np.uint64)
+            rises |= equal & (word[:-1] < word[1:])
+            equal &= word[:-1] == word[1:]
+        return equal, rises
+
     def runs(self) -> tuple[np.ndarray, np.ndarray]:
-        """(order, first of run): suffixes whose first `length` bytes are equal, byte by byte."""
+        """(order, first of run): suffixes whose first `length` bytes are equal, byte by byte.
+
+        The order that hashes gave is verified on the bytes of all neighbours; if a
+        collision has spoilt it, the bytes themselves are sorted.
+        """
         order = self.order()
+        equal, rises = self._compared(order)
+        if not (equal | rises).all():
+            view, steps = words(self.data, self.length)
+            order = np.lexsort([view[self.starts + i].astype(np.uint64) for i in reversed(steps)])
+            equal, _ = self._compared(order)
         new = np.ones(len(order), bool)
-        if len(order):
-            same = np.flatnonzero(self.whole[order[1:]] == self.whole[order[:-1]])
-            a, b = self.starts[order[same]], self.starts[order[same + 1]]
-            equal = np.ones(len(same), bool)
-            for i in range(self.length):  # hashes may collide, bytes do not
-                equal &= self.data[a + i] == self.data[b + i]
-            new[same[equal] + 1] = False
+        new[1:] = ~equal
         return order, np.flatnonzero(new)
 
 
@@ -279,85 +334,115 @@ def _expand(first: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return record, first[record] + np.arange(len(record)) - np.repeat(np.cumsum(count) - count, count)
 
 
-def repeated_windows(texts: DataFrame, suspects: DataFrame, length: int, buckets: int, sorts: int) -> DataFrame:
+def _open(later: np.ndarray, record: np.ndarray, window: np.ndarray, records: int) -> tuple[np.ndarray, np.ndarray]:
+    """First and last window of each record that is not settled; last before first if all are."""
+    left, right = np.full(records, np.iinfo(np.int64).max), np.full(records, -1)
+    np.minimum.at(left, record[~later], window[~later])
+    np.maximum.at(right, record[~later], window[~later])
+    return left, right
+
+
+def repeated_windows(texts: DataFrame, suspects: DataFrame, length: int, buckets: int, groups: int, sorts: int, fan_in: int = FAN_IN) -> DataFrame:
     """(_g, ids, start, stop): packed byte ranges that a smaller document has too.
 
     A group of documents first compares its own windows: those that a smaller
     document of the group has are settled there, so of a window that many
-    documents share at most one document of each group goes on to its bucket.
+    documents share at most one document of each group goes on. With more than
+    `fan_in` groups, `fan_in` of them are settled together in the same way before
+    the rest meets, so that an anchor which all documents have is no hot task.
     """
-    shape = "bucket int, ids binary, start binary, count binary, groups binary, bytes binary"
+    shape = "bucket long, ids binary, start binary, count binary, groups binary, keys binary, bytes binary"
+    parts = -(-groups // fan_in)
+    first_sorts = max(8, -(-sorts // parts))
+
+    def bucket_of(keys: np.ndarray, group: np.ndarray, last: bool) -> np.ndarray:
+        if last or parts == 1:
+            return keys.astype(np.int64) % sorts
+        return sorts + group // fan_in * first_sorts + keys.astype(np.int64) % first_sorts
+
+    def settled(group: np.ndarray, ids: np.ndarray, start: np.ndarray, stop: np.ndarray) -> list[tuple]:
+        """Rows of ranges to remove; they travel under the negative of their group."""
+        return [(-1 - g, i.tobytes(), a.tobytes(), b.tobytes(), b"", b"", b"") for g, i, a, b in _by_group(group, ids, start.astype(np.uint32), stop.astype(np.uint32))]
+
+    def onward(ids: np.ndarray, lo: np.ndarray, hi: np.ndarray, group: np.ndarray, keys: np.ndarray, data: np.ndarray, at: np.ndarray, last: bool) -> list[tuple]:
+        """Rows of windows lo..hi of records, with their bytes, which stand at `at`."""
+        rows = []
+        for b, i in _by_group(bucket_of(keys, group, last), np.arange(len(ids))):
+            _, byte = _expand(at[i], hi[i] - lo[i] + length)
+            rows.append((b, ids[i].tobytes(), lo[i].astype(np.uint32).tobytes(), (hi[i] - lo[i] + 1).astype(np.uint8).tobytes(), group[i].astype(np.int32).tobytes(), keys[i].tobytes(), data[byte].tobytes()))
+        return rows
+
+    def table_of(rows: list[tuple]) -> pa.Table:
+        columns = list(zip(*rows)) if rows else [()] * 7
+        return pa.table({"bucket": pa.array(columns[0], pa.int64()), **{n: pa.array(c, pa.binary()) for n, c in zip(("ids", "start", "count", "groups", "keys", "bytes"), columns[1:])}})
 
     def gather(docs: pa.Table, marks: pa.Table) -> pa.Table:
-        rows: list[tuple] = []
-        if docs.num_rows and marks.num_rows:
-            group = docs["_g"][0].as_py()
-            wanted = np.unique(mix(_join(marks, "ids", np.int64).view(np.uint64)) ^ _join(marks, "keys", np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-            held = []
-            for batch in docs.select(["_o", "_text"]).combine_chunks().to_batches():
-                for part in pieces(batch, "_text"):
-                    data, off = utf8(part.column(1))
-                    ids = part.column(0).to_numpy()
-                    doc, hashed, first, count, sums = anchors(data, off, length)
-                    _, key = _keys(hashed, buckets)
-                    code = mix(ids[doc].view(np.uint64)) ^ key * np.uint64(0x9E3779B97F4A7C15)
-                    at = np.minimum(np.searchsorted(wanted, code), len(wanted) - 1)
-                    use = wanted[at] == code
-                    doc, first, count = doc[use], first[use], count[use]
-                    record, window = _expand(first, count)
-                    held.append((ids[doc], first - off[doc], count, (mix(key[use]) % np.uint64(sorts)).astype(np.int64), spans(sums, window, window + length), data, first))
-            sizes = np.concatenate([h[2] for h in held])
-            ids, begin = (np.concatenate([h[i] for h in held]) for i in (0, 1))
-            hashed = np.concatenate([h[4] for h in held])
-            record, window = _expand(begin, sizes)
-            order = np.lexsort((ids[record], hashed))
-            lead = np.concatenate([[True], hashed[order][1:] != hashed[order][:-1]]) if len(order) else np.zeros(0, bool)
-            least = np.repeat(ids[record[order[lead]]], np.diff(np.concatenate([np.flatnonzero(lead), [len(order)]])))
-            later = np.zeros(len(order), bool)
-            later[order] = ids[record[order]] > least
-            a, b = _runs_of(later, record) if len(later) else (np.zeros(0, int), np.zeros(0, int))
-            if len(a):
-                rows.append((sorts + group, ids[record[a]].tobytes(), window[a].astype(np.uint32).tobytes(), (window[b] + length).astype(np.uint32).tobytes(), b"", b""))
-            # what is still open of each record goes on, with its bytes
-            mine = ~later
-            left = np.full(len(sizes), np.iinfo(np.int64).max)
-            right = np.full(len(sizes), -1)
-            np.minimum.at(left, record[mine], window[mine])
-            np.maximum.at(right, record[mine], window[mine])
-            base = np.concatenate([[0], np.cumsum([len(h[2]) for h in held])])
-            for k, h in enumerate(held):
-                part = slice(base[k], base[k + 1])
-                go = np.flatnonzero(right[part] >= 0)
-                if not len(go):
-                    continue
-                lo, hi, own = left[part][go], right[part][go], h[0][go]
-                shift = h[6][go] - h[1][go]  # start of the document in this piece
-                for b, i in _by_group(h[3][go], np.arange(len(go))):
-                    _, at = _expand(lo[i] + shift[i], hi[i] - lo[i] + length)
-                    rows.append((b, own[i].tobytes(), lo[i].astype(np.uint32).tobytes(), (hi[i] - lo[i] + 1).astype(np.uint8).tobytes(), np.full(len(i), group, np.int32).tobytes(), h[5][at].tobytes()))
-        columns = list(zip(*rows)) if rows else [()] * 6
-        return pa.table({"bucket": pa.array(columns[0], pa.int32()), **{n: pa.array(c, pa.binary()) for n, c in zip(("ids", "start", "count", "groups", "bytes"), columns[1:])}})
-
-    def compare(table: pa.Table) -> pa.Table:
-        bucket = table["bucket"][0].as_py() if table.num_rows else 0
-        if bucket >= sorts:
-            return pa.table({"_g": pa.array([bucket - sorts] * table.num_rows, pa.int32()), "ids": table["ids"], "start": table["start"], "stop": table["count"]})
-        ids, begin, count, groups = _join(table, "ids", np.int64), _join(table, "start", np.uint32).astype(np.int64), _join(table, "count", np.uint8).astype(np.int64), _join(table, "groups", np.int32)
+        if not docs.num_rows or not marks.num_rows:
+            return table_of([])
+        group = docs["_g"][0].as_py()
+        wanted = np.unique(mix(_join(marks, "ids", np.int64).view(np.uint64)) ^ _join(marks, "keys", np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        held, base = [], 0
+        for batch in docs.select(["_o", "_text"]).combine_chunks().to_batches():
+            for part in pieces(batch, "_text"):
+                data, off = utf8(part.column(1))
+                ids = part.column(0).to_numpy()
+                doc, hashed, first, count, sums = anchors(data, off, length)
+                _, key = _keys(hashed, buckets)
+                code = mix(ids[doc].view(np.uint64)) ^ key * np.uint64(0x9E3779B97F4A7C15)
+                at = np.minimum(np.searchsorted(wanted, code), len(wanted) - 1)
+                use = wanted[at] == code
+                doc, first, count = doc[use], first[use], count[use]
+                _, window = _expand(first, count)
+                held.append((ids[doc], first - off[doc], count, (mix(key[use]) >> np.uint64(32)).astype(np.uint32), first + base, data, spans(sums, window, window + length)))
+                base += len(data)
+        ids, begin, sizes, keys, at, data, hashed = (np.concatenate(x) for x in zip(*held))
+        record, window = _expand(begin, sizes)
+        later = later_windows(hashed, ids[record], data, (at - begin)[record] + window, length)
+        a, b = _runs_of(later, record)
+        rows = settled(np.full(len(a), group), ids[record[a]], window[a], window[b] + length)
+        left, right = _open(later, record, window, len(sizes))
+        go = np.flatnonzero(right >= 0)
+        rows += onward(ids[go], left[go], right[go], np.full(len(go), group), keys[go], data, (at - begin + left)[go], False)
+        return table_of(rows)
+
+    def compared(table: pa.Table) -> tuple:
+        """The records of a bucket, and which of their windows a smaller document has."""
+        ids, begin, count, group = _join(table, "ids", np.int64), _join(table, "start", np.uint32).astype(np.int64), _join(table, "count", np.uint8).astype(np.int64), _join(table, "groups", np.int32)
         data = _join(table, "bytes", np.uint8)
         size = count + length - 1
-        record, at = _expand(np.cumsum(size) - size, count)
+        base = np.cumsum(size) - size
+        record, at = _expand(base, count)
         order, lead = Suffixes(data, at, length).runs()
         owner = ids[record[order]]
         least = np.repeat(np.minimum.reduceat(owner, lead), np.diff(np.concatenate([lead, [len(order)]]))) if len(order) else owner
         later = np.zeros(len(order), bool)
         later[order] = owner > least
-        window = begin[record] + np.arange(len(record)) - np.repeat(np.cumsum(count) - count, count)
-        a, b = _runs_of(later, record) if len(later) else (np.zeros(0, int), np.zeros(0, int))
-        out = _by_group(groups[record[a]], ids[record[a]], window[a].astype(np.uint32), (window[b] + length).astype(np.uint32))
+        window = begin[record] + at - base[record]
+        a, b = _runs_of(later, record)
+        found = group[record[a]], ids[record[a]], window[a], window[b] + length
+        return found, (ids, begin, group, data, base, record, window, later)
+
+    def narrow(table: pa.Table) -> pa.Table:
+        """One bucket of some groups: what is not settled goes on to all groups' bucket."""
+        if not table.num_rows or table["bucket"][0].as_py() < 0:
+            return table.select(table_of([]).column_names)
+        found, (ids, begin, group, data, base, record, window, later) = compared(table)
+        left, right = _open(later, record, window, len(ids))
+        go = np.flatnonzero(right >= 0)
+        return table_of(settled(*found) + onward(ids[go], left[go], right[go], group[go], _join(table, "keys", np.uint32)[go], data, (base - begin + left)[go], True))
+
+    def compare(table: pa.Table) -> pa.Table:
+        bucket = table["bucket"][0].as_py() if table.num_rows else 0
+        if bucket < 0:
+            return pa.table({"_g": pa.array([-1 - bucket] * table.num_rows, pa.int32()), "ids": table["ids"], "start": table["start"], "stop": table["count"]})
+        found, _ = compared(table)
+        out = _by_group(found[0], found[1], found[2].astype(np.uint32), found[3].astype(np.uint32))
         return pa.table({"_g": pa.array([o[0] for o in out], pa.int32()), **{n: _binary([o[i] for o in out]) for i, n in ((1, "ids"), (2, "start"), (3, "stop"))}})
 
-    gathered = texts.groupBy("_g").cogroup(suspects.groupBy("_g")).applyInArrow(lean_pair(gather), shape)
-    return gathered.groupBy("bucket").applyInArrow(lean_group(compare), _FOUND)
+    rows = texts.groupBy("_g").cogroup(suspects.groupBy("_g")).applyInArrow(lean_pair(gather), shape)
+    if parts > 1:
+        rows = rows.groupBy("bucket").applyInArrow(lean_group(narrow), shape)
+    return rows.groupBy("bucket").applyInArrow(lean_group(compare), _FOUND)
 
 
 def _cut(docs: pa.Table, found: pa.Table, keep_text: bool, names: list[str]) -> pa.Table:
@@ -387,7 +472,21 @@ def _cut(docs: pa.Table, found: pa.Table, keep_text: bool, names: list[str]) ->
     return pa.table(out + [pa.array(columns[4], pa.binary())] * keep_text, names=names)
 
 
-def dedup_strings(docs: DataFrame, length: int = 50, keep_bytes: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def copies_of(known: DataFrame, few: int = BROADCAST_ROWS, hot_rows: int = HOT_ROWS) -> DataFrame:
+    """The rows whose digest a smaller id has, by the smallest id of each repeated digest.
+
+    Digests of many copies are at most rows / `hot_rows`; they are broadcast within
+    the limit, so that the join deals only short groups by digest.
+    """
+    first = materialise(known.groupBy("digest").agg(F.min("_o").alias("low"), F.count("*").alias("rows")).filter("rows > 1"), "first")
+    if first.count() <= few:
+        return known.join(F.broadcast(first), "digest").filter("_o > low")
+    hot, rest = first.filter(F.col("rows") >= hot_rows), first.filter(F.col("rows") < hot_rows)
+    some = known.join(F.broadcast(hot) if hot.count() <= few else hot, "digest").filter("_o > low")
+    return some.unionByName(known.join(rest, "digest").filter("_o > low"))
+
+
+def dedup_strings(docs: DataFrame, length: int = 50, keep_bytes: bool = False, id_col: str = "doc_id", text_col: str = "text", fan_in: int = FAN_IN) -> DataFrame:
     """(id, n_bytes, n_removed, n_spans, kept_sha256) per row; `kept` too with `keep_bytes`.
 
     A byte of the UTF-8 text is removed if a string of `length` bytes that covers
@@ -405,8 +504,7 @@ def dedup_strings(docs: DataFrame, length: int = 50, keep_bytes: bool = False, i
     base = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(id_col).cast("long"), F.lit(_NO_ID)).alias("_o"), text.alias("_text"), F.xxhash64(text).alias("_x"))
     raw = F.encode("_text", "UTF-8")
     known = materialise(base.select("_id", "_o", "_x", F.octet_length("_text").cast("long").alias("n"), F.sha2(raw, 256).alias("digest")), "strings")
-    first = known.groupBy("digest").agg(F.min("_o").alias("low"), F.count("*").alias("rows")).filter("rows > 1")
-    copies = materialise(known.join(first, "digest").filter("_o > low").select("_id", "_o", "_x", "n", "digest"), "copies")
+    copies = materialise(copies_of(known).select("_id", "_o", "_x", "n", "digest"), "copies")
     few = copies.count() <= BROADCAST_ROWS
     gone = copies.select("_o", "_x").distinct()
     total = int(known.agg(F.sum("n")).first()[0] or 0)
@@ -416,7 +514,7 @@ def dedup_strings(docs: DataFrame, length: int = 50, keep_bytes: bool = False, i
     # the group of a row follows from id and text; rows that repeat both stand together
     suspects = materialise(repeated_anchors(texts.select("_o", "_g", "_text"), length, buckets), "anchors", "lz4")
     release(spark)
-    found = materialise(repeated_windows(texts.select("_o", "_g", "_text"), suspects, length, buckets, max(8, math.ceil(total / SORT_BYTES))), "ranges", "lz4")
+    found = materialise(repeated_windows(texts.select("_o", "_g", "_text"), suspects, length, buckets, groups, max(8, math.ceil(total / SORT_BYTES)), fan_in), "ranges", "lz4")
     release(spark)
     kind = field(base, "_id").dataType
     fields = [T.StructField(id_col, kind), T.StructField("n_bytes", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("n_spans", T.LongType()), T.StructField("kept_sha256", T.StringType())]

@@ -228,8 +228,12 @@ def strings_by_hand(data, length):
     return sorted(out, key=repr)
 
 
-def test_strings(spark, edge, none):
+@pytest.mark.parametrize("fan_in", [suffix_dedup.FAN_IN, 3])
+def test_strings(spark, edge, none, fan_in, monkeypatch):
     rng = random.Random(3)
+    if fan_in == 3:  # and copies by the shuffled way
+        whole = suffix_dedup.copies_of
+        monkeypatch.setattr(suffix_dedup, "copies_of", lambda known: whole(known, few=1, hot_rows=3))
     word = lambda: "".join(rng.choice("abé") for _ in range(rng.randint(2, 7)))
     passages = [" ".join(word() for _ in range(20)) for _ in range(6)]
     data = []
@@ -240,7 +244,7 @@ def test_strings(spark, edge, none):
     data += [(70, data[1][1]), (71, data[1][1]), (72, "short"), (73, "short"), (5, data[5][1])]
     rng.shuffle(data)
     docs = spark.createDataFrame(data, "doc_id long, text string").withColumn("keys", F.lit(1))
-    got = suffix_dedup.dedup_strings(docs, length=50)
+    got = suffix_dedup.dedup_strings(docs, length=50, fan_in=fan_in)
     assert rows(got, "doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256") == strings_by_hand(data, 50)
     kept = suffix_dedup.dedup_strings(docs, length=50, keep_bytes=True)
     assert all(hashlib.sha256(bytes(r.kept)).hexdigest() == r.kept_sha256 for r in kept.collect())
@@ -258,6 +262,32 @@ def test_suffix_sort():
     assert [i for i in range(len(text)) if not i or text[i] != text[i - 1]] == lead.tolist()
 
 
+def test_hash_collisions_remove_nothing(monkeypatch):
+    """With hashes that collide all the time, what is settled and sorted is still exact."""
+    rng = np.random.default_rng(15)
+    length = 20
+    data = np.concatenate([rng.integers(97, 99, 400), np.tile([97, 98, 97], 60), rng.integers(97, 99, 200)]).astype(np.uint8)
+    data = np.concatenate([data, data[30:300], data[100:260]])
+    at = np.arange(len(data) - length + 1)
+    owner = np.sort(rng.integers(0, 12, len(at)))
+    text = [data[s : s + length].tobytes() for s in at]
+    least = {}
+    for t, o in zip(text, owner.tolist()):
+        least[t] = min(least.get(t, o), o)
+    exact = np.array([o > least[t] for t, o in zip(text, owner.tolist())])
+    good = np.array([hash(t) for t in text]).astype(np.uint64)
+    assert (suffix_dedup.later_windows(good, owner, data, at, length) == exact).all()
+    for bits in (0, 2, 5):
+        found = suffix_dedup.later_windows(good & np.uint64((1 << bits) - 1), owner, data, at, length)
+        assert not (found & ~exact).any()
+        true = suffix_dedup.Suffixes._hash
+        with monkeypatch.context() as m:
+            m.setattr(suffix_dedup.Suffixes, "_hash", lambda self, a, n, true=true, bits=bits: true(self, a, n) & np.uint64((1 << bits) - 1))
+            order, lead = suffix_dedup.Suffixes(data, at, length).runs()
+        seen = [text[i] for i in order]
+        assert seen == sorted(seen) and [i for i in range(len(seen)) if not i or seen[i] != seen[i - 1]] == lead.tolist()
+
+
 # ---- 6, 8 ---------------------------------------------------------------------------------
 
 
