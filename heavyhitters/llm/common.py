@@ -151,6 +151,14 @@ def field(df: DataFrame, column: str):
     return df.schema[column]
 
 
+def unused(name: str, columns: list[str]) -> str:
+    """`name` behind as many underscores as make it none of the columns, whatever their case."""
+    taken = {c.lower() for c in columns}
+    while name in taken:
+        name = f"_{name}"
+    return name
+
+
 def unit_hash(seed: int, *columns: str):
     """A number in [0, 1) from the columns' hash, the same on every run."""
     return F.pmod(F.xxhash64(F.lit(seed), *columns), F.lit(1 << 40)).cast("double") / float(1 << 40)

@@ -20,15 +20,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ASCII_SPACE, bounded_batches, field, lean, materialise, pieces
-
-#: Bits of each filter (a power of two) and positions per key. The size is fixed,
-#: whatever the input: a fuller filter only suspects more, the counts stay exact.
-FILTER_BITS = 1 << 27
+from .common import ASCII_SPACE, bounded_batches, field, lean, materialise, pieces, unused
+
+#: Bits of each filter: a power of two by the size of the input, within these limits.
+#: A fuller filter only suspects more, the counts stay exact.
+LEAST_BITS, UNKNOWN_BITS, MOST_BITS = 1 << 20, 1 << 24, 1 << 29
+BITS_PER_LINE = 8
+#: Bytes of a line that the size of a filter reckons with.
+LINE_BYTES = 16
 PROBES = 4
 CHUNK_BITS = 1 << 20
 #: Repeated keys up to this many bytes of digests are broadcast; more are joined.
-BROADCAST_BYTES = 16 << 20
+BROADCAST_BYTES = 4 << 20
 MERGE_FAN_IN = 64
 
 
@@ -61,7 +64,15 @@ def _has(filter_: np.ndarray, positions: np.ndarray) -> np.ndarray:
     return ((cell >> (positions & np.uint64(7)).astype(np.uint8)) & 1).all(axis=1)
 
 
-def twice_filter(docs: DataFrame, least: int, bits: int = FILTER_BITS) -> np.ndarray:
+def filter_bits(docs: DataFrame) -> int:
+    """Bits of a filter for all lines, from the size that the optimizer knows without a scan."""
+    size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    if size >= docs.sparkSession._jsparkSession.sessionState().conf().defaultSizeInBytes():  # not known
+        return UNKNOWN_BITS
+    return min(max(1 << (size // LINE_BYTES * BITS_PER_LINE).bit_length(), LEAST_BITS), MOST_BITS)
+
+
+def twice_filter(docs: DataFrame, least: int, bits: int) -> np.ndarray:
     """The merged filter of keys that at least two documents seem to have."""
     chunk_bytes = min(CHUNK_BITS, bits) // 8
 
@@ -99,7 +110,7 @@ def twice_filter(docs: DataFrame, least: int, bits: int = FILTER_BITS) -> np.nda
     return out
 
 
-def repeated_keys(docs: DataFrame, min_docs: int, min_key_chars: int = 1, bits: int = FILTER_BITS, flush: int = 100_000) -> DataFrame:
+def repeated_keys(docs: DataFrame, min_docs: int, min_key_chars: int = 1, bits: int | None = None, flush: int = 100_000) -> DataFrame:
     """(digest, n_docs, first): line keys of at least `min_docs` documents, counted exactly.
 
     `docs` has (_id, _text). `first` is the smallest (document, line) that has the key.
@@ -109,6 +120,7 @@ def repeated_keys(docs: DataFrame, min_docs: int, min_key_chars: int = 1, bits:
     if min_docs < 2:
         raise ValueError("min_docs must be at least 2")
     spark = docs.sparkSession
+    bits = bits or filter_bits(docs)
     seen = spark.sparkContext.broadcast(zlib.compress(twice_filter(docs, min_key_chars, bits).tobytes(), 1))
     kind = field(docs, "_id").dataType
     first = T.StructType([T.StructField("id", kind), T.StructField("line", T.LongType())])
@@ -157,7 +169,7 @@ def repeated_keys(docs: DataFrame, min_docs: int, min_key_chars: int = 1, bits:
     return counted.filter(F.col("n_docs") >= min_docs)
 
 
-def dedup_lines(docs: DataFrame, min_docs: int = 10, min_key_chars: int = 1, keep_first: bool = False, output: str = "digest", id_col: str = "doc_id", text_col: str = "text", bits: int = FILTER_BITS, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
+def dedup_lines(docs: DataFrame, min_docs: int = 10, min_key_chars: int = 1, keep_first: bool = False, output: str = "digest", id_col: str = "doc_id", text_col: str = "text", bits: int | None = None, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """Drop every line whose key at least `min_docs` documents (rows) have.
 
     Keys are lines without ASCII space at both ends, A-Z lower-cased; keys under
@@ -169,6 +181,11 @@ def dedup_lines(docs: DataFrame, min_docs: int = 10, min_key_chars: int = 1, kee
     the kept text, "documents" gives the input's own columns with the text
     replaced (and `n_chars` recounted if it is there). Rows that repeat are
     documents of their own; null ids are allowed but never a first occurrence.
+    Columns of any names pass through "documents".
+
+    `bits` is the size of a filter, by the input's size if not given and at most
+    2**29. Beyond some 10**8 distinct lines the filters fill up and more keys are
+    suspected, at worst all: then every line's digest is counted by the shuffle.
     """
     spark = docs.sparkSession
     bounded_batches(spark)
@@ -184,7 +201,9 @@ def dedup_lines(docs: DataFrame, min_docs: int = 10, min_key_chars: int = 1, kee
         fields = [T.StructField(id_col, kind), T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType()), T.StructField("kept_sha256", T.StringType())]
         out = T.StructType(fields + [T.StructField("kept", T.StringType())] * (output == "lines"))
         rows, text_at, id_at = base, 1, 0
-    table = spark.sparkContext.broadcast({bytes(r.digest): (r.first.id, r.first.line) if r.first else None for r in repeated.collect()} if few else {})
+    known = repeated.select("digest", "first.id", "first.line").toArrow() if few else None
+    firsts = zip(known["id"].to_pylist(), known["line"].to_pylist()) if few else ()
+    table = spark.sparkContext.broadcast(dict(zip(known["digest"].to_pylist(), firsts)) if few else {})
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = table.value
@@ -194,7 +213,7 @@ def dedup_lines(docs: DataFrame, min_docs: int = 10, min_key_chars: int = 1, kee
                 lists = part.column(part.num_columns - 1).to_pylist() if not few else None
                 counts, texts = [], []
                 for i, (id_, text) in enumerate(zip(part.column(id_at).to_pylist(), part.column(text_at).to_pylist())):
-                    here = known if few else {d["digest"]: (d["first"]["id"], d["first"]["line"]) if d["first"] else None for d in lists[i] or ()}
+                    here = known if few else {d["digest"]: (d["id"], d["line"]) for d in lists[i] or ()}
                     lines, keys = line_keys(text)
                     if here:
                         kept = []
@@ -225,19 +244,24 @@ def dedup_lines(docs: DataFrame, min_docs: int = 10, min_key_chars: int = 1, kee
 
 
 def _with_own_keys(rows: DataFrame, repeated: DataFrame, id_col: str, text_col: str, least: int) -> DataFrame:
-    """The rows with the repeated keys each of them has, by a join instead of a broadcast."""
-    rows = materialise(rows.withColumn("_row", F.monotonically_increasing_id()), "lines-rows")
+    """The rows with the repeated keys each of them has, by a join instead of a broadcast.
+
+    The keys stand in one more column, the last, under a name that the rows do not have.
+    """
+    row = unused("row", rows.columns)
+    rows = materialise(rows.withColumn(row, F.monotonically_increasing_id()), "lines-rows")
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for part in pieces(whole, "_text"):
-                row, digest = [], []
+                at, digest = [], []
                 for r, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
                     own = {_digest(k) for k in line_keys(text)[1] if long_enough(k, least)}
-                    row += [r] * len(own)
+                    at += [r] * len(own)
                     digest += own
-                yield pa.RecordBatch.from_arrays([pa.array(row, pa.int64()), pa.array(digest, pa.binary())], names=["_row", "digest"])
+                yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(digest, pa.binary())], names=["_at", "digest"])
 
-    own = rows.select("_row", F.col(text_col).cast("string").alias("_text")).mapInArrow(lean(keys), "_row long, digest binary").join(repeated, "digest")
-    own = own.groupBy("_row").agg(F.collect_list(F.struct("digest", "first")).alias("_keys"))
-    return rows.join(own, "_row", "left").drop("_row")
+    own = rows.select(F.col(row).alias("_at"), rows[text_col].cast("string").alias("_text")).mapInArrow(lean(keys), "_at long, digest binary").join(repeated, "digest")
+    at, held = unused("at", rows.columns), unused("keys", rows.columns)
+    own = own.groupBy(F.col("_at").alias(at)).agg(F.collect_list(F.struct("digest", "first.id", "first.line")).alias(held))
+    return rows.join(own, rows[row] == own[at], "left").drop(row, at)

@@ -58,6 +58,12 @@ def test_lines(edge, none, limit):
     back = line_dedup.dedup_lines(edge, min_docs=3, bits=1 << 16, output="documents", broadcast_bytes=limit)
     assert back.columns == edge.columns and back.count() == len(EDGE)
     assert {r.text for r in back.filter("doc_id = 3").collect()} == {None}
+    clash = edge.select(*[F.lit(n).alias(c) for n, c in enumerate(("_row", "row", "keys", "_AT", "at", "c1", "first"))], "*")
+    again = line_dedup.dedup_lines(clash, min_docs=3, bits=1 << 16, output="documents", broadcast_bytes=limit)
+    assert again.columns == clash.columns and rows(again, "doc_id", "text") == rows(back, "doc_id", "text")
+    assert {(r["_row"], r["row"], r["first"]) for r in again.collect()} == {(0, 1, 6)}
+    first = line_dedup.dedup_lines(edge, min_docs=3, output="lines", keep_first=True, broadcast_bytes=limit)
+    assert {r.doc_id: r.kept for r in first.collect()}[1].endswith("same line here")
 
 
 def test_lines_with_a_full_filter_and_first_kept(edge):
