@@ -24,7 +24,7 @@ from pyspark.sql import types as T
 
 from .common import bounded_batches, field, lean, lean_group, lean_pair, materialise, pieces, release, utf8
 from .components import components
-from .fingerprints import mix, shingles
+from .fingerprints import MASK, mix, shingles
 
 #: Signatures a reducer gets, about.
 BUCKET_ROWS = 400_000
@@ -37,6 +37,8 @@ TASK_BYTES = 8 << 20
 SPLIT_BYTES = 64 << 20
 #: Group members compared in one task, about, of one pivot.
 TASK_ROWS = 100_000
+#: Members of a large group that meet as many others in one task.
+BLOCK = 1024
 #: Signatures a worker holds before it passes them on.
 FLUSH = 500_000
 
@@ -100,15 +102,28 @@ class Bands:
         return np.searchsorted(self.lower, size, side="right") - 1
 
 
-def class_keys(doc: np.ndarray, value: np.ndarray, docs: int) -> tuple[np.ndarray, np.ndarray]:
+def class_keys(doc: np.ndarray, value: np.ndarray, docs: int, salt: int = 0x5851F42D4C957F2D) -> tuple[np.ndarray, np.ndarray]:
     """Set size and 64-bit key of each document's set; key 0 stands for an empty set."""
     size = np.bincount(doc, minlength=docs)
     total = np.zeros(docs, np.uint64)
-    np.add.at(total, doc, mix(value ^ np.uint64(0x5851F42D4C957F2D)))
+    np.add.at(total, doc, mix(value ^ np.uint64(salt)))
     key = mix(total + size.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
     return size, np.where(size > 0, np.where(key == 0, np.uint64(1), key), np.uint64(0))
 
 
+#: Salt of the second key of a set, which shows where two sets share the first.
+SECOND = 0x14057B7EF767814F
+
+
+def final_keys(doc: np.ndarray, value: np.ndarray, docs: int, shared: frozenset) -> tuple[np.ndarray, np.ndarray]:
+    """Size and key, which is the second key of sets whose first one is `shared` by different sets."""
+    size, key = class_keys(doc, value, docs)
+    if shared:
+        again = np.isin(key, np.array(sorted(shared), np.uint64)) & (size > 0)
+        key = np.where(again, class_keys(doc, value, docs, SECOND)[1], key)
+    return size, key
+
+
 def signatures(doc: np.ndarray, value: np.ndarray, size: np.ndarray, bands: Bands) -> tuple[np.ndarray, np.ndarray]:
     """(document, signature) of all sets, in both instances of each set's band.
 
@@ -152,10 +167,10 @@ def signatures(doc: np.ndarray, value: np.ndarray, size: np.ndarray, bands: Band
     return np.concatenate(owners), np.concatenate(found)
 
 
-def _sets(part: pa.RecordBatch, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def _sets(part: pa.RecordBatch, width: int, shared: frozenset) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     data, off = utf8(part.column(part.num_columns - 1))
     doc, value = shingles(data, off, width)
-    size, key = class_keys(doc, value, part.num_rows)
+    size, key = final_keys(doc, value, part.num_rows, shared)
     return doc, value, size, key
 
 
@@ -171,20 +186,32 @@ def _long(x: np.ndarray) -> pa.Array:
     return pa.array(x.view(np.int64), pa.int64())
 
 
-def classes(docs: DataFrame, width: int) -> DataFrame:
-    """(_id, n, fp): set size and key of the class of equal sets, per row; fp 0 if empty."""
-    out = T.StructType([T.StructField("_id", field(docs, "_id").dataType), T.StructField("n", T.LongType()), T.StructField("fp", T.LongType())])
+def classes(docs: DataFrame, width: int) -> tuple[DataFrame, frozenset]:
+    """(_id, n, fp): set size and key of the class of equal sets, per row; fp 0 if empty. And the shared keys.
+
+    Every set has two independent keys of 64 bits. Where different sets share the
+    first (some hundred pairs among 10**11 sets), those take the second instead.
+    """
+    out = T.StructType([T.StructField("_id", field(docs, "_id").dataType), T.StructField("n", T.LongType()), T.StructField("one", T.LongType()), T.StructField("two", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for part in pieces(whole, "_text"):
-                _, _, size, key = _sets(part, width)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int64()), _long(key)], names=out.names)
+                data, off = utf8(part.column(1))
+                doc, value = shingles(data, off, width)
+                size, key = class_keys(doc, value, part.num_rows)
+                other = class_keys(doc, value, part.num_rows, SECOND)[1]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int64()), _long(key), _long(other)], names=out.names)
 
-    return docs.mapInArrow(lean(run), out)
+    known = materialise(docs.mapInArrow(lean(run), out), "classes")
+    twice = known.groupBy("one").agg(F.min("two").alias("low"), F.max("two").alias("high")).filter("low <> high").select("one")
+    shared = materialise(twice, "shared-keys")  # chance alone fills it: expected pairs are (sets / 2**32)**2 / 2
+    keys = frozenset(r.one & MASK for r in shared.collect())
+    fp = F.when(F.col("one").isin([k - (1 << 64) if k >> 63 else k for k in sorted(keys)]), F.col("two")).otherwise(F.col("one")) if keys else F.col("one")
+    return known.select("_id", "n", fp.alias("fp")), keys
 
 
-def shared_signatures(docs: DataFrame, width: int, bands: Bands, buckets: int) -> DataFrame:
+def shared_signatures(docs: DataFrame, width: int, shared: frozenset, bands: Bands, buckets: int) -> DataFrame:
     """(gid, fp): groups of two or more classes that share a signature.
 
     Signatures travel packed, 40 bits and the class key each, in blocks by bucket.
@@ -231,7 +258,7 @@ def shared_signatures(docs: DataFrame, width: int, bands: Bands, buckets: int) -
         n = 0
         for whole in batches:
             for part in pieces(whole, "_text"):
-                doc, value, size, key = _sets(part, width)
+                doc, value, size, key = _sets(part, width, shared)
                 _, first = np.unique(key, return_index=True)
                 doc, value, size, key = _once(doc, value, size, key, first[size[first] > 0])
                 owner, sig = signatures(doc, value, size, bands)
@@ -275,7 +302,7 @@ def shared_signatures(docs: DataFrame, width: int, bands: Bands, buckets: int) -
     return docs.mapInArrow(lean(run), shape).groupBy("bucket").applyInArrow(lean_group(meet), "gid long, fp long")
 
 
-def class_sets(docs: DataFrame, width: int, wanted: DataFrame) -> DataFrame:
+def class_sets(docs: DataFrame, width: int, shared: frozenset, wanted: DataFrame) -> DataFrame:
     """(task, fp, s): the sorted shingle hashes of each wanted class, for each of its tasks.
 
     `wanted` is (fp, _h, task); a class's set is taken from the row with the id hash
@@ -289,7 +316,7 @@ def class_sets(docs: DataFrame, width: int, wanted: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for part in pieces(whole, "_text"):
-                doc, value, _, key = _sets(part, width)
+                doc, value, _, key = _sets(part, width, shared)
                 bounds = np.searchsorted(doc, np.arange(part.num_rows + 1))
                 # ids may repeat with other texts
                 picked = np.flatnonzero(key.view(np.int64) == part.column(0).to_numpy())
@@ -324,12 +351,12 @@ def _linked(percent: int):
     return 100 * F.col("shared") >= percent * (F.col("na") + F.col("nb") - F.col("shared"))
 
 
-def link_groups(sets: pa.Table, groups: pa.Table, percent: int) -> pa.Table:
+def link_groups(sets: pa.Table, groups: pa.Table, percent: int, every: bool = False) -> pa.Table:
     """(a, b): verified links that connect what is similar within the groups of a task.
 
     Classes are taken by falling number of groups. Each is compared with those it
-    shares a group with, but for those already connected with it, by one pass over
-    their elements; no pair is tested twice.
+    shares a group with, but for those already connected with it (unless `every`
+    link is asked for), by one pass over their elements; no pair is tested twice.
     """
     none = pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
     if not sets.num_rows or not groups.num_rows:
@@ -357,7 +384,7 @@ def link_groups(sets: pa.Table, groups: pa.Table, percent: int) -> pa.Table:
         if not len(near):
             continue
         others = np.unique(np.concatenate([member[start[g] : stop[g]] for g in near]))
-        others = others[~done[others] & (root[others] != root[i])]
+        others = others[~done[others] & (every | (root[others] != root[i]))]
         others = others[100 * np.minimum(size[others], size[i]) >= percent * np.maximum(size[others], size[i])]
         mine = element[off[i] : off[i + 1]]
         flag[mine] = True
@@ -367,9 +394,10 @@ def link_groups(sets: pa.Table, groups: pa.Table, percent: int) -> pa.Table:
             first = np.cumsum(count) - count
             shared = np.add.reduceat(flag[element[np.arange(int(count.sum())) - np.repeat(first - off[part], count)]].astype(np.int64), first)
             for j in part[100 * shared >= percent * (size[i] + count - shared)]:
-                if root[j] != root[i]:
-                    links.append((int(fp[i]), int(fp[j])))
-                    root[root == root[j]] = root[i]
+                if every or root[j] != root[i]:
+                    links.append((int(min(fp[i], fp[j])), int(max(fp[i], fp[j]))))
+                    if not every:
+                        root[root == root[j]] = root[i]
         flag[mine] = False
     if not links:
         return none
@@ -377,8 +405,8 @@ def link_groups(sets: pa.Table, groups: pa.Table, percent: int) -> pa.Table:
     return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
 
-def similar_classes(docs: DataFrame, width: int, percent: int, known: DataFrame, split_bytes: int = SPLIT_BYTES) -> DataFrame:
-    """(node, component) over class keys, of all classes with a link.
+def similar_classes(docs: DataFrame, width: int, percent: int, known: DataFrame, shared: frozenset, split_bytes: int = SPLIT_BYTES, every: bool = False) -> DataFrame:
+    """(a, b): verified links between class keys that connect all that is similar; with `every`, all links.
 
     Each group of a shared signature goes to the task of its pivot, the class in
     most groups, so that groups that overlap mostly meet in one task, and a class's
@@ -388,7 +416,7 @@ def similar_classes(docs: DataFrame, width: int, percent: int, known: DataFrame,
     stats = known.agg(F.max("n").alias("largest"), F.sum("n").alias("total")).first()
     bands = Bands.upto(max(int(stats.largest or 1), 1), percent)
     buckets = max(8, math.ceil(int(stats.total or 0) / BUCKET_ROWS))
-    groups = materialise(shared_signatures(docs, width, bands, buckets).distinct(), "groups")
+    groups = materialise(shared_signatures(docs, width, shared, bands, buckets).distinct(), "groups")
     release(docs.sparkSession)
     weight = groups.groupBy("fp").agg(F.count("*").alias("w"))
     pivots = groups.join(weight, "fp").groupBy("gid").agg(F.max(F.struct("w", "fp")).alias("p")).select("gid", F.col("p.fp").alias("p"))
@@ -403,25 +431,28 @@ def similar_classes(docs: DataFrame, width: int, percent: int, known: DataFrame,
     task = F.pmod(F.xxhash64("p", F.pmod(F.xxhash64("gid"), F.col("parts"))), F.lit(max(24, math.ceil(total / TASK_BYTES))))
     small, large = pivot.filter(F.col("bytes") <= split_bytes), pivot.filter(F.col("bytes") > split_bytes).select("p")
     near = materialise(member.join(small, "p").select("gid", "fp", task.alias("task")), "tasks")
-    sets = class_sets(docs, width, near.select("fp", "task").distinct().join(one.select("fp", "_h"), "fp"))
-    links = sets.groupBy("task").cogroup(near.groupBy("task")).applyInArrow(lean_pair(lambda s, g: link_groups(s, g, percent)), "a long, b long")
+    sets = class_sets(docs, width, shared, near.select("fp", "task").distinct().join(one.select("fp", "_h"), "fp"))
+    links = sets.groupBy("task").cogroup(near.groupBy("task")).applyInArrow(lean_pair(lambda s, g: link_groups(s, g, percent, every)), "a long, b long")
     if not large.isEmpty():
         wanted = around.join(large, "p").select("fp", "_h").distinct().withColumn("task", F.lit(0).cast("long"))
-        links = links.unionByName(pairwise_links(docs, width, percent, member.join(large, "p").select("gid", "fp"), wanted))
-    links = materialise(links, "links")
+        links = links.unionByName(pairwise_links(docs, width, shared, percent, member.join(large, "p").select("gid", "fp"), wanted, every))
+    links = materialise(links.distinct() if every else links, "links")  # groups in several tasks may show a link again
     release(docs.sparkSession)
-    return components(links)
+    return links
 
 
-def pairwise_links(docs: DataFrame, width: int, percent: int, groups: DataFrame, wanted: DataFrame) -> DataFrame:
+def pairwise_links(docs: DataFrame, width: int, shared: frozenset, percent: int, groups: DataFrame, wanted: DataFrame, every: bool = False) -> DataFrame:
     """(a, b): verified links within groups too large for a task.
 
     First each group's class with most groups is verified against the others. Pairs
     of a group whose classes are then connected need no more; the rest is verified
     unless sizes, or the distances to the class both were compared with, exclude it
-    (the Jaccard distance obeys the triangle inequality).
+    (the Jaccard distance obeys the triangle inequality). With `every`, pairs that
+    are connected already are verified too. A group's members are dealt into blocks
+    of about BLOCK, and each pair of blocks meets by itself, so a task's pairs are
+    bounded.
     """
-    sets = materialise(class_sets(docs, width, wanted).select("fp", "s"), "sets", "lz4")
+    sets = materialise(class_sets(docs, width, shared, wanted).select("fp", "s"), "sets", "lz4")
     weight = groups.groupBy("fp").agg(F.count("*").alias("w"))
     ranked = groups.join(weight, "fp")
     pivots = ranked.groupBy("gid").agg(F.max(F.struct("w", "fp")).alias("p")).select("gid", F.col("p.fp").alias("p"))
@@ -432,13 +463,19 @@ def pairwise_links(docs: DataFrame, width: int, percent: int, groups: DataFrame,
     apart = F.lit(1.0) - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))
     near = star.select(F.col("a").alias("p"), F.col("b").alias("fp"), F.col("nb").alias("size"), apart.alias("d"))
     rest = member.join(first.select(F.col("node").alias("fp"), "component"), "fp", "left").select("gid", "p", "fp", F.coalesce("component", "fp").alias("c"))
-    open_groups = rest.groupBy("gid").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.count("*").alias("g")).filter("low <> high AND g > 2").select("gid")
-    rest = materialise(rest.join(open_groups, "gid", "left_semi").join(near, ["p", "fp"]).select("gid", "fp", "c", "size", "d"), "open")
+    size = rest.groupBy("gid").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.count("*").alias("g")).filter("g > 2" if every else "low <> high AND g > 2")
+    size = size.select("gid", F.ceil(F.col("g") / BLOCK).cast("int").alias("blocks"))
+    rest = materialise(rest.join(size, "gid").join(near, ["p", "fp"]).select("gid", "blocks", "fp", "c", "size", "d", F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int").alias("own")), "open")
     limit = (100 - percent) / 100 + 1e-9
     fits = (F.abs(F.col("x.d") - F.col("y.d")) <= limit) & (100 * F.least("x.size", "y.size") >= percent * F.greatest("x.size", "y.size"))
-    x, y = rest.alias("x"), rest.alias("y")
-    pairs = x.join(y, (F.col("x.gid") == F.col("y.gid")) & (F.col("x.c") < F.col("y.c")) & fits).select(F.col("x.fp").alias("a"), F.col("y.fp").alias("b")).distinct()
-    return links.unionByName(verify(pairs, sets).filter(_linked(percent)).select("a", "b"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
+    x = rest.select("*", other).withColumnsRenamed({"own": "i", "other": "j"}).alias("x")
+    y = rest.select("*", other).withColumnsRenamed({"own": "j", "other": "i"}).alias("y")
+    meet = (F.col("x.gid") == F.col("y.gid")) & (F.col("x.i") == F.col("y.i")) & (F.col("x.j") == F.col("y.j"))
+    order = F.col("x.fp") < F.col("y.fp") if every else F.col("x.c") < F.col("y.c")
+    pairs = x.join(y, meet & order & fits).select(F.col("x.fp").alias("a"), F.col("y.fp").alias("b")).distinct()
+    links = links.unionByName(verify(pairs, sets).filter(_linked(percent)).select("a", "b"))
+    return links.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
 def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -450,12 +487,13 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, id_co
     percent * union; empty sets link with nothing. `component_id` is the smallest id
     reachable, the row's own if it has no link; null ids count only where there is
     no other. Sets are compared by 64-bit hashes of shingles, classes of equal sets
-    by 64-bit keys.
+    told apart by two keys of 64 bits. What connects is verified, but not every link
+    of a component; `jaccard_links` gives all.
     """
     bounded_batches(docs.sparkSession)
     base = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text"))
-    known = materialise(classes(base, width), "classes")
-    found = similar_classes(base, width, percent, known)
+    known, shared = classes(base, width)
+    found = components(similar_classes(base, width, percent, known, shared))
     own = known.filter("fp <> 0").groupBy("fp").agg(F.min("_id").alias("low"), F.count("*").alias("copies"))
     placed = own.join(found.select(F.col("node").alias("fp"), "component"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
     lowest = placed.groupBy("component").agg(F.min("low").alias("component_id"), F.sum("copies").alias("rows")).filter("rows > 1")
@@ -465,9 +503,34 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, id_co
     return result.select(F.col("_id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "_id").alias("component_id"))
 
 
+def jaccard_links(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """The whole join: (a, b) of every link between different sets, and (id, n_shingles, class_id, n_links) per row.
+
+    Rows with equal sets are one class; `class_id` is its smallest id (null where all
+    are null), `a` and `b` (a < b) are class ids, and no link is left out. `n_links`
+    counts the rows that a row links with: the others of its class and all of the
+    classes its class links with. Empty sets have no class and no links. Definitions
+    are those of `jaccard_components`. Links may be as many as the square of a
+    group's different sets.
+    """
+    bounded_batches(docs.sparkSession)
+    base = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("_text"))
+    known, shared = classes(base, width)
+    own = materialise(known.filter("fp <> 0").groupBy("fp").agg(F.min("_id").alias("low"), F.count("*").alias("copies")), "class-sizes")
+    found = similar_classes(base, width, percent, known, shared, every=True)
+    ends = found.select(F.col("a").alias("fp"), F.col("b").alias("to")).unionByName(found.select(F.col("b").alias("fp"), F.col("a").alias("to")))
+    more = ends.join(own.select(F.col("fp").alias("to"), "copies"), "to").groupBy("fp").agg(F.sum("copies").alias("more"))
+    table = own.join(more, "fp", "left").select("fp", "low", (F.col("copies") - 1 + F.coalesce("more", F.lit(0))).alias("links"))
+    name = own.select(F.col("fp"), F.col("low"))
+    pairs = found.join(name.select(F.col("fp").alias("a"), F.col("low").alias("x")), "a").join(name.select(F.col("fp").alias("b"), F.col("low").alias("y")), "b")
+    rows = known.join(table, "fp", "left").select(F.col("_id").alias(id_col), F.col("n").alias("n_shingles"), F.col("low").alias("class_id"), F.coalesce("links", F.lit(0)).alias("n_links"))
+    return pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), rows
+
+
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows, with all their columns, that have the smallest id of their component; rows with a null id stay."""
     found = jaccard_components(docs, width, percent, id_col, text_col)
     gone = materialise(found.filter(~F.col(id_col).eqNullSafe(F.col("component_id")) & F.col(id_col).isNotNull()).select(id_col).distinct(), "gone")
     few = gone.count() <= BROADCAST_CLASSES
-    return docs.join(F.broadcast(gone) if few else gone, id_col, "left_anti")
+    # by a condition: a join on the name would put that column first
+    return docs.join(F.broadcast(gone) if few else gone, docs[id_col] == gone[id_col], "left_anti")

@@ -453,12 +453,50 @@ def components_by_hand(data):
     return sorted(((i, len(s), low[r]) for (i, _), s, r in zip(data, sets, root)), key=repr)
 
 
+def links_by_hand(data):
+    """Links between different sets by their smallest ids; per row its class and number of links."""
+    sets = []
+    for _, t in data:
+        w = (t or "").lower().split()
+        sets.append(frozenset(tuple(w[i : i + 5]) for i in range(max(len(w) - 4, 1))) if w else frozenset())
+    low = {}
+    for (i, _), s in zip(data, sets):
+        low[s] = min(low.get(s, i), i)
+    near = lambda a, b: 100 * len(a & b) >= 80 * len(a | b)
+    distinct = [s for s in low if s]
+    pairs = sorted(tuple(sorted((low[a], low[b]))) for n, a in enumerate(distinct) for b in distinct[:n] if near(a, b))
+    per = [(i, len(s), low[s] if s else None, sum(1 for x in sets if x and near(s, x)) - 1 if s else 0) for (i, _), s in zip(data, sets)]
+    return pairs, sorted(per, key=repr)
+
+
+def test_sets_with_one_key_stay_apart():
+    """Where different sets share a key, each takes its second one."""
+    doc, value = np.array([0, 0, 1, 1, 2]), np.array([5, 6, 5, 6, 9], np.uint64)
+    size, key = jaccard_join.class_keys(doc, value, 3)
+    assert key[0] == key[1] != key[2]
+    _, other = jaccard_join.final_keys(doc, value, 3, frozenset([int(key[2])]))
+    assert (other[:2] == key[:2]).all() and other[2] != key[2]
+
+
+@pytest.mark.parametrize("collide", [False, True])
+def test_classes_with_a_shared_key(spark, monkeypatch, collide):
+    """The table of keys finds the sets that share the first key and gives them the second."""
+    docs = spark.createDataFrame([(1, "a b"), (2, "c d"), (3, "a b"), (4, "")], "_id long, _text string")
+    if collide:  # as if all first keys were equal
+        true = jaccard_join.materialise
+        monkeypatch.setattr(jaccard_join, "materialise", lambda df, tag: true(df.withColumn("one", F.when(F.col("n") > 0, F.lit(-7)).otherwise(F.lit(0)).cast("long")) if tag == "classes" else df, tag))
+    known, shared = jaccard_join.classes(docs, 5)
+    fp = {r._id: r.fp for r in known.collect()}
+    assert fp[1] == fp[3] != fp[2] and fp[4] == 0 and (shared == frozenset([(1 << 64) - 7])) == collide
+
+
 @pytest.mark.parametrize("split", [jaccard_join.SPLIT_BYTES, 0])
 @pytest.mark.parametrize("few", [jaccard_join.BROADCAST_CLASSES, 0])
 def test_jaccard(spark, edge, none, monkeypatch, split, few):
     rng = random.Random(9)
     whole = jaccard_join.similar_classes
-    monkeypatch.setattr(jaccard_join, "similar_classes", lambda *a: whole(*a, split))
+    monkeypatch.setattr(jaccard_join, "similar_classes", lambda *a, **k: whole(*a, split, **k))
+    monkeypatch.setattr(jaccard_join, "BLOCK", 7)
     monkeypatch.setattr(jaccard_join, "BROADCAST_CLASSES", few)
     monkeypatch.setattr(jaccard_join, "HOT", 5)
     word = lambda: rng.choice("abcdefghijklmnop") + str(rng.randint(0, 40))
@@ -474,6 +512,10 @@ def test_jaccard(spark, edge, none, monkeypatch, split, few):
     got = jaccard_join.jaccard_components(docs)
     want = components_by_hand(data)
     assert rows(got, "doc_id", "n_shingles", "component_id") == want
+    links, members = jaccard_join.jaccard_links(docs)
+    assert sorted((tuple(r) for r in links.collect())) == links_by_hand(data)[0] and rows(members, "doc_id", "n_shingles", "class_id", "n_links") == links_by_hand(data)[1]
+    kept = jaccard_join.keep_one(docs.select("text", "doc_id", "fp", "task"))
+    assert kept.columns == ["text", "doc_id", "fp", "task"]
     kept = jaccard_join.keep_one(docs)
     assert kept.columns == docs.columns and {r.doc_id for r in kept.collect()} == {i for i, _, c in want if i == c}
     assert jaccard_join.jaccard_components(edge).count() == len(EDGE) and jaccard_join.jaccard_components(none).collect() == []
