@@ -1,25 +1,68 @@
-"""Accuracy measures of a report against exact counts."""
+"""Accuracy measures of a report against exact counts.
+
+Null is an item as any other. Bags without items have no row; a bag in which nothing
+is reported has total error 0, no relative error and no precision.
+"""
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..model import as_column, threshold_col
-
-#: Two-sided 95 % quantiles of Student's t, by degrees of freedom (fixed values).
-T95 = [12.706, 4.303, 3.182, 2.776, 2.571, 2.447, 2.365, 2.306, 2.262, 2.228, 2.201, 2.179, 2.160, 2.145, 2.131, 2.120, 2.110, 2.101, 2.093, 2.086]
+from ..model import as_column, match, threshold_col
+
+#: Degrees of freedom up to which quantiles are tabulated; beyond, a series in 1 / degrees is as exact.
+TABLED = 200
+#: The 97.5 % quantile of the normal distribution.
+Z = 1.959963984540054
+
+
+def t_tail(t: float, degrees: int) -> float:
+    """P(|T| > t) of Student's t, by the finite sum over cosines for whole degrees of freedom."""
+    angle = math.atan2(t, math.sqrt(degrees))
+    c, term, total = math.cos(angle), 1.0, 0.0
+    first = degrees % 2
+    term = c if first else 1.0
+    for j in range(first + 1, degrees, 2):
+        total += term
+        term *= c * c * j / (j + 1)
+    inside = math.sin(angle) * total
+    return 1 - (2 / math.pi * (angle + inside) if first else inside)
+
+
+def t95(degrees: int) -> float:
+    """The two-sided 95 % quantile of Student's t: for whole degrees up to TABLED by halving, else by the series."""
+    if degrees > TABLED:
+        return t_series(float(degrees))
+    low, high = 1.0, 20.0
+    while high - low > 1e-13 * high:
+        mid = (low + high) / 2
+        low, high = (mid, high) if t_tail(mid, degrees) > 0.05 else (low, mid)
+        if mid in (low, high) and high - low < 1e-12:
+            break
+    return (low + high) / 2
+
+
+def t_series(v):
+    """The quantile as a series in 1 / v around the normal one, for a number or a column."""
+    one = (Z**3 + Z) / 4
+    two = (5 * Z**5 + 16 * Z**3 + 3 * Z) / 96
+    three = (3 * Z**7 + 19 * Z**5 + 17 * Z**3 - 15 * Z) / 384
+    four = (79 * Z**9 + 776 * Z**7 + 1482 * Z**5 - 1920 * Z**3 - 945 * Z) / 92160
+    return Z + (one + (two + (three + four / v) / v) / v) / v
 
 
 def per_item(reported: DataFrame, truth: DataFrame, keys: Sequence[str] = (), truth_keys: Sequence[str] | None = None) -> DataFrame:
     """(keys, item, est, cnt, abs_error, rel_error) of each reported item.
 
     `truth_keys` are those of the keys that the exact counts depend on (all by default).
+    Null is an item; one that never occurs has cnt 0 and no relative error.
     """
     on = [*(keys if truth_keys is None else truth_keys), "item"]
-    rows = reported.select(*keys, "item", "est").join(truth.select(*on, "cnt"), on, "left").withColumn("cnt", F.coalesce("cnt", F.lit(0)))
+    rows = match(reported.select(*keys, "item", "est"), truth.select(*on, "cnt"), on, "left").withColumn("cnt", F.coalesce("cnt", F.lit(0)))
     error = F.abs(F.col("cnt") - F.col("est"))
     return rows.select(*keys, "item", "est", "cnt", error.alias("abs_error"), (error / F.nullif("cnt", F.lit(0))).alias("rel_error"))
 
@@ -52,8 +95,9 @@ def summary(reported: DataFrame, truth: DataFrame, k: int | str, keys: Sequence[
 
 
 def t_quantile(degrees: Column) -> Column:
-    """The 95 % quantile; the normal one beyond the table."""
-    return F.coalesce(F.get(F.array(*map(F.lit, T95)), degrees.cast("int") - 1), F.lit(1.96))
+    """The 95 % quantile for any whole number of degrees of freedom; null below 1."""
+    table = F.get(F.array(*[F.lit(t95(v)) for v in range(1, TABLED + 1)]), degrees.cast("int") - 1)
+    return F.when(degrees > TABLED, t_series(degrees.cast("double"))).when(degrees >= 1, table)
 
 
 def mean_ci(df: DataFrame, by: Sequence[str], value: str) -> DataFrame:

@@ -10,21 +10,27 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..operators.kernels import ChunkedKernel, SequentialKernel
+from ..model import as_item
+from ..operators.kernels import NULL, ChunkedKernel, SequentialKernel, plain
 
 COUNTERS = "array<struct<item:bigint,est:bigint,err:bigint>>"
 
 
-def summary_agg(k: int):
+def summary_agg(k: int, nulls: str = "drop"):
     """A grouped aggregate over a bigint column: its counters, ascending by (est, item).
 
-    A Python aggregate sees whole groups; for large ones use the two-stage local phase.
+    Nulls are dropped, or with "keep" an item as any other; a group of nulls alone
+    then has no counters. A Python aggregate sees whole groups; for large ones use the
+    two-stage local phase.
     """
+    if nulls not in ("drop", "keep"):
+        raise ValueError("nulls must be drop or keep")
 
-    @F.pandas_udf(COUNTERS)
-    def agg(items: pd.Series) -> list:
+    @F.arrow_udf(COUNTERS)
+    def agg(items: pa.Array) -> list:
         kernel = ChunkedKernel(k)
-        kernel.update(pa.array(items.dropna().astype("int64")))
+        items = items.cast(pa.int64())
+        kernel.update(items.drop_null() if nulls == "drop" else items)
         return [{"item": i, "est": e, "err": d} for i, e, d in kernel.rows()]
 
     return agg
@@ -37,17 +43,21 @@ def portable_hash_udf(x: pd.Series) -> pd.Series:
 
 
 def per_group_sequential(df: DataFrame, group: str, item: str, order_by: str, k: int) -> DataFrame:
-    """(group, item, est, err): one ordered pass per group."""
+    """(group, item, est, err): one ordered pass per group.
+
+    Null is an item, and a group; rows that are equal in the order are read by item.
+    """
     kind = df.schema[group].dataType.simpleString()
     item_kind = df.schema[item].dataType.simpleString()
 
     def run(table: pa.Table) -> pa.Table:
         kernel = SequentialKernel(k)
-        kernel.extend(table.sort_by("_o")["item"].to_pylist())
+        for chunk in table.sort_by([("_o", "ascending"), ("item", "ascending")])["item"].chunks:
+            kernel.update(chunk)
         rows = kernel.rows()
         return pa.table({"g": pa.array([table["g"][0].as_py()] * len(rows), table["g"].type), "item": pa.array([r[0] for r in rows], table["item"].type), "est": pa.array([r[1] for r in rows], pa.int64()), "err": pa.array([r[2] for r in rows], pa.int64())})
 
-    rows = df.select(F.col(group).alias("g"), F.col(item).alias("item"), F.col(order_by).alias("_o"))
+    rows = df.select(F.col(group).alias("g"), as_item(df, item).alias("item"), F.col(order_by).alias("_o"))
     return rows.groupBy("g").applyInArrow(run, f"g {kind}, item {item_kind}, est long, err long").withColumnRenamed("g", group)
 
 
@@ -64,7 +74,7 @@ def cogroup_combine(one: DataFrame, other: DataFrame, group: str, k: int) -> Dat
         for item in {**sides[0], **sides[1]}:
             pair = [s.get(item, {"est": m, "err": m}) for s, m in zip(sides, low)]
             rows.append((item, sum(p["est"] for p in pair), sum(p["err"] for p in pair)))
-        rows = sorted(rows, key=lambda r: (-r[1], r[0]))[:k]
+        rows = [(plain(i), -e, d) for e, i, d in sorted((-e, NULL if i is None else i, d) for i, e, d in rows)[:k]]
         g = (a if a.num_rows else b)["g"]
         return pa.table({"g": pa.array([g[0].as_py()] * len(rows), g.type), "item": pa.array([r[0] for r in rows], (a if a.num_rows else b)["item"].type), "est": pa.array([r[1] for r in rows], pa.int64()), "err": pa.array([r[2] for r in rows], pa.int64())})
 

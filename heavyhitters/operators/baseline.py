@@ -3,7 +3,8 @@
 A full local summary loses its minimum; two summaries are added up without
 padding; what exceeds k - 1 counters is cut by subtracting the k-th largest. The
 amounts subtracted on the way (`delta`) are carried along for the ablation that
-puts them back.
+puts them back. Null is an item; an empty block has no counters and nothing to
+subtract; counters that equal the cut become zero and go.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from ..model import Summaries, as_column, threshold_col
 def localize(s: Summaries) -> Summaries:
     """Subtract each block's minimum and drop the zeros; the header gains `delta`."""
     counters = s.counters.select(*s.block, "item", (F.col("est") - F.col("min_est")).alias("est")).filter("est > 0")
-    return Summaries(counters, s.headers.withColumn("delta", F.col("min_est")), s.k, s.keys)
+    return Summaries(counters, s.headers.withColumn("delta", F.col("min_est")), s.k, s.keys, s.most)
 
 
 def combine(one: DataFrame, other: DataFrame) -> DataFrame:
@@ -25,14 +26,14 @@ def combine(one: DataFrame, other: DataFrame) -> DataFrame:
     return one.select("item", "est").unionByName(other.select("item", "est")).groupBy("item").agg(F.sum("est").alias("est"))
 
 
-def shrink(counters: DataFrame, k: int | str, group: list[str]) -> DataFrame:
+def shrink(counters: DataFrame, k: int | str, group: list[str], most: int | None = None) -> DataFrame:
     """If a group has k counters or more, subtract the k-th largest from those above it, drop the rest.
 
     Adds `_cut`, the amount subtracted (0 if none). Equal counters at the cut become zero and go.
     """
     size = as_column(k)
     order = Window.partitionBy(*group).orderBy(F.desc("est"), F.asc("item"))
-    ranked = counters.withColumn("_rank", F.row_number().over(order)).filter(F.col("_rank") <= size)
+    ranked = counters.withColumn("_rank", F.row_number().over(order)).filter((F.col("_rank") <= size) & (F.lit(True) if most is None else F.col("_rank") <= most))
     cut = F.max(F.when(F.col("_rank") == size, F.col("est")).otherwise(F.lit(0))).over(Window.partitionBy(*group))
     ranked = ranked.withColumn("_cut", F.greatest(cut, F.lit(0)))
     return ranked.withColumn("est", F.col("est") - F.col("_cut")).drop("_rank")
@@ -41,11 +42,11 @@ def shrink(counters: DataFrame, k: int | str, group: list[str]) -> DataFrame:
 def _level(s: Summaries, parent: Column) -> Summaries:
     group = s.block
     added = s.counters.withColumn("block_id", parent).groupBy(*group, "item").agg(F.sum("est").alias("est"))
-    cut = shrink(added, s.k, group)
+    cut = shrink(added, s.k, group, s.most)
     amount = cut.groupBy(*group).agg(F.max("_cut").alias("_cut"))
     headers = s.headers.withColumn("block_id", parent).groupBy(*group).agg(F.sum("n").alias("n"), F.sum("delta").alias("delta"))
     headers = headers.join(amount, group, "left").select(*group, "n", (F.col("delta") + F.coalesce("_cut", F.lit(0))).alias("delta"))
-    return Summaries(cut.filter("est > 0").drop("_cut"), headers, s.k, s.keys)
+    return Summaries(cut.filter("est > 0").drop("_cut"), headers, s.k, s.keys, s.most)
 
 
 def tree(s: Summaries, blocks: int, fan_in: int = 2) -> Summaries:

@@ -7,6 +7,9 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..model import unused
+from ..sources.stores import kept
+
 
 def block_of(position: Column, p: int, n: Column | int) -> Column:
     """Block of a 0-based position such that block b starts at floor(b * n / p)."""
@@ -15,26 +18,31 @@ def block_of(position: Column, p: int, n: Column | int) -> Column:
 
 
 def positions(df: DataFrame, order_by: Sequence[str]) -> DataFrame:
-    """0-based `pos` in the total order, without bringing all rows to one task.
+    """Adds the 0-based `pos` in the order, without bringing all rows to one task.
 
-    Rows are range-partitioned and sorted; each partition's offset is the number of
-    rows before it, taken from one count per partition. The sorted rows are cached,
-    as the partition bounds must not be drawn twice.
+    Rows are range-partitioned, sorted and written once to the shared folder, as the
+    bounds of the ranges must not be drawn twice; each range's offset is the number of
+    rows before it. Rows that are equal in the order stand in any order, the same for
+    all readers. A column `pos` of the input is replaced; others keep their names.
     """
-    low = (1 << 33) - 1
-    ordered = df.repartitionByRange(*order_by).sortWithinPartitions(*order_by)
-    ordered = ordered.withColumn("_id", F.monotonically_increasing_id())
-    ordered = ordered.withColumn("_part", F.shiftright("_id", 33).cast("int")).withColumn("_row", F.col("_id").bitwiseAND(F.lit(low))).persist()
-    before = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)  # one row per partition
-    offsets = ordered.groupBy("_part").count().withColumn("_before", F.coalesce(F.sum("count").over(before), F.lit(0))).drop("count")
-    return ordered.join(F.broadcast(offsets), "_part").withColumn("pos", F.col("_before") + F.col("_row")).drop("_part", "_id", "_row", "_before")
+    place, part, before = (unused(x, df.columns) for x in ("place", "range", "before"))
+    ordered = df.repartitionByRange(*order_by).sortWithinPartitions(*order_by).withColumn(place, F.monotonically_increasing_id())
+    ordered = kept(ordered, "ordered").withColumn(part, F.shiftright(place, 33))
+    earlier = Window.orderBy(part).rowsBetween(Window.unboundedPreceding, -1)  # one row per range
+    offsets = ordered.groupBy(part).agg(F.count("*").alias("c")).select(part, F.coalesce(F.sum("c").over(earlier), F.lit(0)).alias(before))
+    row = F.col(place).bitwiseAND(F.lit((1 << 33) - 1))
+    return ordered.join(F.broadcast(offsets), part).withColumn("pos", F.col(before) + row).drop(place, part, before)
 
 
 def contiguous(df: DataFrame, p: int, order_by: Sequence[str]) -> DataFrame:
-    """p contiguous blocks of floor(n/p) or ceil(n/p) rows in the given order; adds pos and block_id."""
+    """p contiguous blocks of floor(n/p) or ceil(n/p) rows in the given order; adds pos and block_id.
+
+    Columns of these names are replaced. An empty table has no blocks; with p > n some stay empty.
+    """
     placed = positions(df, order_by)
-    total = placed.agg(F.count("*").alias("_n"))
-    return placed.crossJoin(F.broadcast(total)).withColumn("block_id", block_of(F.col("pos"), p, F.col("_n"))).drop("_n")
+    size = unused("size", placed.columns)
+    total = placed.agg(F.count("*").alias(size))
+    return placed.crossJoin(F.broadcast(total)).withColumn("block_id", block_of(F.col("pos"), p, F.col(size))).drop(size)
 
 
 def assign(df: DataFrame, p: int, mode: str = "natural", order_by: Sequence[str] = ()) -> DataFrame:

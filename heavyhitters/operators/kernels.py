@@ -1,4 +1,7 @@
-"""In-memory kernels that turn a sequence of items into a counter summary."""
+"""In-memory kernels that turn a sequence of items into a counter summary.
+
+Null is an item that sorts before all others, NaN one item that sorts after them.
+"""
 
 from __future__ import annotations
 
@@ -10,6 +13,39 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 
+class _Extreme:
+    """Stands for null (before every item) or NaN (after every item) in Python's dicts and orders."""
+
+    def __init__(self, value: object, first: bool):
+        self.value, self.first = value, first
+
+    def __lt__(self, other: object) -> bool:
+        return self is not other and self.first
+
+    def __gt__(self, other: object) -> bool:
+        return self is not other and not self.first
+
+
+NULL, NAN = _Extreme(None, True), _Extreme(float("nan"), False)
+
+
+def items_of(column: pa.Array) -> list:
+    """The items of a column, equal ones equal and all of them in one order."""
+    items = column.to_pylist()
+    if pa.types.is_floating(column.type):
+        return [NULL if x is None else NAN if x != x else x for x in items]
+    return [NULL if x is None else x for x in items] if column.null_count else items
+
+
+def plain(item: object) -> object:
+    return item.value if isinstance(item, _Extreme) else item
+
+
+def ascending(rows: Iterable[tuple]) -> list[tuple]:
+    """(item, est, ..) by (est, item), with null and NaN as such."""
+    return [(plain(r[0]), *r[1:]) for r in sorted(rows, key=lambda r: (r[1], r[0]))]
+
+
 class SequentialKernel:
     """One item at a time: count it, use a free counter, or take over the smallest.
 
@@ -49,9 +85,9 @@ class SequentialKernel:
 
     def update(self, column: pa.Array, weight: pa.Array | None = None) -> None:
         if weight is None:
-            self.extend(column.to_pylist())
+            self.extend(items_of(column))
         else:
-            for item, w in zip(column.to_pylist(), weight.to_pylist()):
+            for item, w in zip(items_of(column), weight.to_pylist()):
                 self.add(item, w)
 
     @property
@@ -61,7 +97,7 @@ class SequentialKernel:
     def rows(self) -> list[tuple]:
         """(item, est, err) ascending by (est, item)."""
         err = self.err if self.track_error else dict.fromkeys(self.err, None)
-        return sorted(((i, e, err[i]) for i, e in self.est.items()), key=lambda r: (r[1], r[0]))
+        return ascending((i, e, err[i]) for i, e in self.est.items())
 
 
 class ChunkedKernel:
@@ -90,7 +126,7 @@ class ChunkedKernel:
             counted = column.value_counts()
             items, counts = counted.field("values"), np.array(counted.field("counts"), np.int64)  # a copy, as counts are added to
         else:
-            coded = column.dictionary_encode()
+            coded = column.dictionary_encode(null_encoding="encode")
             items = coded.dictionary
             counts = np.zeros(len(items), np.int64)
             np.add.at(counts, np.asarray(coded.indices), np.asarray(weight, np.int64))
@@ -114,14 +150,14 @@ class ChunkedKernel:
         keep = np.flatnonzero(self.est > cut)
         tied = np.flatnonzero(self.est == cut)
         if len(tied) > self.k - len(keep):  # of equal counters the smallest items stay
-            order = np.asarray(pc.array_sort_indices(self.items.take(pa.array(tied))))
+            order = np.asarray(pc.array_sort_indices(self.items.take(pa.array(tied)), null_placement="at_start"))
             tied = tied[order[: self.k - len(keep)]]
         keep = np.concatenate([keep, tied])
         self.items, self.est, self.err = self.items.take(pa.array(keep)), self.est[keep], self.err[keep]
 
     def rows(self) -> list[tuple]:
-        items = self.items.to_pylist() if self.items is not None else []
-        return sorted(zip(items, self.est.tolist(), self.err.tolist()), key=lambda r: (r[1], r[0]))
+        items = items_of(self.items) if self.items is not None else []
+        return ascending(zip(items, self.est.tolist(), self.err.tolist()))
 
 
 class DecrementKernel:
@@ -132,7 +168,7 @@ class DecrementKernel:
 
     def update(self, column: pa.Array, weight: pa.Array | None = None) -> None:
         est = self.est
-        for item in column.to_pylist():
+        for item in items_of(column):
             self.n += 1
             if item in est:
                 est[item] += 1
@@ -147,7 +183,7 @@ class DecrementKernel:
     min_est = 0
 
     def rows(self) -> list[tuple]:
-        return sorted(((i, e, 0) for i, e in self.est.items()), key=lambda r: (r[1], r[0]))
+        return ascending((i, e, 0) for i, e in self.est.items())
 
 
 class LossyKernel:
@@ -158,7 +194,7 @@ class LossyKernel:
         self.counts: dict = {}
 
     def update(self, column: pa.Array, weight: pa.Array | None = None) -> None:
-        for item in column.to_pylist():
+        for item in items_of(column):
             window = self.n // self.width + 1
             self.n += 1
             count, deficit = self.counts.get(item, (0, window - 1))
@@ -170,4 +206,4 @@ class LossyKernel:
 
     def rows(self) -> list[tuple]:
         """(item, count, deficit): count <= true <= count + deficit."""
-        return sorted((i, c, d) for i, (c, d) in self.counts.items())
+        return ascending((i, c, d) for i, (c, d) in self.counts.items())

@@ -1,16 +1,24 @@
-"""The local phase: one summary per block."""
+"""The local phase: one summary per block.
+
+Null is an item like others, all NaN are one and both zeros are one. Rows of weight
+0 or null count nothing, a negative weight fails the query. An empty partition has
+no summary (its header would add nothing); an empty table has none at all. Equal
+estimates are kept by the smaller item. Other columns of the input are not read.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator, Sequence
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_type
 
-from ..model import Summaries, as_column, check_item_type, check_k
+from ..model import Summaries, as_column, as_item, check_item_type, check_k, weighted
+from ..sources.stores import kept
 from .kernels import ChunkedKernel, SequentialKernel
 
 KERNELS: dict[str, Callable[[int], object]] = {"sequential": SequentialKernel, "chunked": ChunkedKernel}
@@ -36,7 +44,7 @@ def in_partitions(df: DataFrame, item: str, k: int, make: Callable[[int], object
     Only the item (and weight) column is read; the kernel holds k counters and a batch.
     """
     kind = df.schema[item].dataType
-    check_item_type(kind)
+    check_item_type(kind, kernel=True)
     schema = row_schema(kind)
     counters_type = to_arrow_type(schema["counters"].dataType)
 
@@ -49,30 +57,43 @@ def in_partitions(df: DataFrame, item: str, k: int, make: Callable[[int], object
         if block is not None:
             yield _row(block, kernel, k, kind, counters_type)
 
-    columns = [F.spark_partition_id().alias("_b"), F.col(item).alias("_i")] + ([F.col(weight).cast("bigint").alias("_w")] if weight else [])
-    return df.select(*columns).mapInArrow(run, schema)
+    columns = [F.spark_partition_id().alias("_b"), as_item(df, item).alias("_i")] + ([F.col(weight).cast("bigint").alias("_w")] if weight else [])
+    return weighted(df, weight).select(*columns).mapInArrow(run, schema)
 
 
-def in_order(df: DataFrame, item: str, k: int, order_by: Sequence[str], make: Callable[[int], object] = SequentialKernel) -> DataFrame:
+def in_order(df: DataFrame, item: str, k: int, order_by: Sequence[str], make: Callable[[int], object] = SequentialKernel, weight: str | None = None) -> DataFrame:
     """Row-form summaries of the blocks in `block_id`, each read in the given order.
 
-    A block is a group; it has to fit into a task, so this is for contiguous blocks
-    of chosen size.
+    Blocks are dealt by a shuffle and sorted by Spark, which spills; the kernel reads
+    them batch by batch, so a worker holds k counters and a batch whatever the size
+    of a block. Rows that are equal in the order are read by item.
     """
     kind = df.schema[item].dataType
-    check_item_type(kind)
+    check_item_type(kind, kernel=True)
     schema = row_schema(kind)
     counters_type = to_arrow_type(schema["counters"].dataType)
-    order = [(f"_o{i}", "ascending") for i in range(len(order_by))]
 
-    def run(table: pa.Table) -> pa.Table:
-        kernel = make(k)
-        table = table.sort_by(order)
-        for chunk in table["_i"].chunks:
-            kernel.update(chunk)
-        return pa.Table.from_batches([_row(table["block_id"][0].as_py(), kernel, k, kind, counters_type)])
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kernel, block = None, None
+        for batch in batches:
+            ids = batch.column(0).to_numpy()
+            edges = [0, *(np.flatnonzero(ids[1:] != ids[:-1]) + 1).tolist(), len(ids)]
+            for a, b in zip(edges, edges[1:]):
+                if a == b:
+                    continue
+                if kernel is None or ids[a] != block:
+                    if kernel is not None:
+                        yield _row(block, kernel, k, kind, counters_type)
+                    kernel, block = make(k), int(ids[a])
+                kernel.update(batch.column(1).slice(a, b - a), batch.column(2).slice(a, b - a) if weight else None)
+        if kernel is not None:
+            yield _row(block, kernel, k, kind, counters_type)
 
-    return df.select("block_id", F.col(item).alias("_i"), *(F.col(c).alias(f"_o{i}") for i, c in enumerate(order_by))).groupBy("block_id").applyInArrow(run, schema)
+    order = [f"_o{i}" for i in range(len(order_by))]
+    columns = [F.col("block_id").cast("int").alias("_b"), as_item(df, item).alias("_i")] + ([F.col(weight).cast("bigint").alias("_w")] if weight else [])
+    rows = weighted(df, weight).select(*columns, *(F.col(c).alias(o) for o, c in zip(order, order_by)))
+    rows = rows.repartition("_b").sortWithinPartitions("_b", *order, "_i")
+    return rows.mapInArrow(run, schema)
 
 
 def from_rows(rows: DataFrame, k: int) -> Summaries:
@@ -82,6 +103,11 @@ def from_rows(rows: DataFrame, k: int) -> Summaries:
     return Summaries(counters, rows.select("block_id", "n", "k", "nz", "min_est", "total_est"), k)
 
 
+def stored(s: Summaries) -> Summaries:
+    """The same summaries, written once to the shared folder: at most k counters a block."""
+    return Summaries(kept(s.counters, "counters"), kept(s.headers, "headers"), s.k, s.keys, s.most)
+
+
 def to_rows(s: Summaries) -> DataFrame:
     """Row form of long-form summaries, counters ascending by (est, item)."""
     packed = s.counters.groupBy(*s.block).agg(F.array_sort(F.collect_list(F.struct("est", "item", "err"))).alias("c"))
@@ -89,19 +115,23 @@ def to_rows(s: Summaries) -> DataFrame:
     return s.headers.join(packed, s.block, "left")
 
 
-def keep_largest(rows: DataFrame, k: int | str, groups: Sequence[str], rank: str = "_rank") -> DataFrame:
+def keep_largest(rows: DataFrame, k: int | str, groups: Sequence[str], rank: str = "_rank", most: int | None = None) -> DataFrame:
     """The k rows of each group with the largest est, ties to smaller items.
 
-    With a number as k, the limit is pushed below the shuffle of each group.
+    With a number as k, the limit is pushed below the shuffle of each group; with a
+    column, its largest value `most` is.
     """
     order = [F.desc("est"), F.asc("item")]
     if not groups and isinstance(k, int):
         return rows.orderBy(*order).limit(k)
     limit: Column = F.lit(k) if isinstance(k, int) else F.col(k)
-    return rows.withColumn(rank, F.row_number().over(Window.partitionBy(*groups).orderBy(*order))).filter(F.col(rank) <= limit).drop(rank)
+    ranked = rows.withColumn(rank, F.row_number().over(Window.partitionBy(*groups).orderBy(*order)))
+    if most is not None:
+        ranked = ranked.filter(F.col(rank) <= most)
+    return ranked.filter(F.col(rank) <= limit).drop(rank)
 
 
-def with_headers(counters: DataFrame, totals: DataFrame, k: int | str, keys: Sequence[str]) -> Summaries:
+def with_headers(counters: DataFrame, totals: DataFrame, k: int | str, keys: Sequence[str], most: int | None = None) -> Summaries:
     """Headers from kept counters and (keys, block_id, n) totals; adds min_est to the counters."""
     block = [*keys, "block_id"]
     size = as_column(k)
@@ -113,7 +143,7 @@ def with_headers(counters: DataFrame, totals: DataFrame, k: int | str, keys: Seq
     named = [] if "k" in keys else [size.cast("bigint").alias("k")]
     zero = lambda c: F.coalesce(c, F.lit(0)).cast("bigint").alias(c)
     headers = totals.join(stats, block, "left").select(*block, "n", *named, zero("nz"), zero("min_est"), zero("total_est"))
-    return Summaries(counters, headers, k, list(keys))
+    return Summaries(counters, headers, k, list(keys), most)
 
 
 def histogram(df: DataFrame, item: str, k: int | str, keys: Sequence[str] = (), weight: str | None = None, blocks: int | None = None, ks: Sequence[int] = ()) -> Summaries:
@@ -128,36 +158,41 @@ def histogram(df: DataFrame, item: str, k: int | str, keys: Sequence[str] = (),
     check_item_type(df.schema[item].dataType)
     base = [c for c in keys if c != "k" or not ks]
     count = F.sum(F.col(weight).cast("bigint")) if weight else F.count("*")
-    counts = df.groupBy(*base, "block_id", F.col(item).alias("item")).agg(count.alias("est"))
+    counts = weighted(df, weight).groupBy(*base, "block_id", F.col(item).alias("item")).agg(count.alias("est"))
     totals = counts.groupBy(*base, "block_id").agg(F.sum("est").alias("n"))
     if blocks:
         every = df.sparkSession.range(blocks).select(F.col("id").cast("int").alias("block_id"))
         if base:
             every = totals.select(*base).distinct().crossJoin(F.broadcast(every))
         totals = every.join(totals, [*base, "block_id"], "left").withColumn("n", F.coalesce("n", F.lit(0)))
-    if ks:
+    most = max(ks) if ks else None
+    if ks:  # ranked once, for the largest k
+        order = Window.partitionBy(*base, "block_id").orderBy(F.desc("est"), F.asc("item"))
+        ranked = counts.withColumn("_rank", F.row_number().over(order)).filter(F.col("_rank") <= most)
         each = F.explode(F.array(*[F.lit(int(x)) for x in ks])).alias("k")
-        counts, totals, k = counts.select("*", each), totals.select("*", each), "k"
-        base = [*base, "k"]
-    # at most k rows a block; persisted, as counters and headers are both read from them at every merge level
-    kept = keep_largest(counts, k, [*base, "block_id"]).withColumn("err", F.lit(0).cast("bigint")).persist()
-    return with_headers(kept, totals, k, base)
+        largest = ranked.select("*", each).filter(F.col("_rank") <= F.col("k")).drop("_rank")
+        totals, k, base = totals.select("*", each), "k", [*base, "k"]
+    else:
+        largest = keep_largest(counts, k, [*base, "block_id"])
+    # nothing is cached: totals, counters and headers share the exchange of the counts, so the source is read once
+    return with_headers(largest.withColumn("err", F.lit(0).cast("bigint")), totals, k, base, most)
 
 
 def per_block(df: DataFrame, item: str, k: int, builder: str = "chunked", weight: str | None = None, order_by: Sequence[str] = ()) -> Summaries:
     """One summary per block by the named builder.
 
     histogram needs a `block_id` column; sequential and chunked take the input's own
-    partitions, or the blocks of `block_id` read in order if `order_by` is given. The
-    row-form result (one row per block) is persisted, as counters and headers are
-    both read from it.
+    partitions, or the blocks of `block_id` read in order if `order_by` is given. Their
+    row-form result, one row of at most k counters per block, is written to the shared
+    folder when this is called, as merges read counters and headers from it several
+    times: the source is scanned once, and an executor may be lost later.
     """
     check_k(k)
     if builder == "histogram":
         return histogram(df, item, k, weight=weight)
     make = KERNELS[builder]
-    rows = in_order(df, item, k, order_by, make) if order_by else in_partitions(df, item, k, make, weight)
-    return from_rows(rows.persist(), k)
+    rows = in_order(df, item, k, order_by, make, weight) if order_by else in_partitions(df, item, k, make, weight)
+    return from_rows(kept(rows, "summaries"), k)
 
 
 def sequential(df: DataFrame, item: str, k: int, order_by: Sequence[str], start: int | None = None, end: int | None = None, position: str | None = None, track_error: bool = True) -> DataFrame:

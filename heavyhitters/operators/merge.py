@@ -1,25 +1,39 @@
-"""Merging summaries: pairwise, in a tree, or all at once."""
+"""Merging summaries: pairwise, in a tree, or all at once.
+
+Empty summaries (a header without counters) change nothing. Of equal estimates the
+smaller items stay, null before all others and NaN after them.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..model import Summaries
+from ..model import Summaries, as_column, match
 from .local import keep_largest, with_headers
 
+#: A summary's smallest estimate, or 0 if it is not full.
+Minimum = Column | DataFrame | int
+
 
-def combine(one: DataFrame, other: DataFrame, min_one: Column | int, min_other: Column | int) -> DataFrame:
+def combine(one: DataFrame, other: DataFrame, min_one: Minimum, min_other: Minimum) -> DataFrame:
     """(item, est, err) of both summaries: where an item is missing, that side's minimum stands in.
 
-    At most twice k rows; not cut yet.
+    At most twice k rows; not cut yet. Minima are numbers, columns, or frames of one
+    row with the column min_est (a block's header). An empty summary has minimum 0;
+    null is an item that both sides may have.
     """
-    m1, m2 = (m if isinstance(m, Column) else F.lit(m) for m in (min_one, min_other))
     a = one.select("item", F.col("est").alias("e1"), F.col("err").alias("r1"))
     b = other.select("item", F.col("est").alias("e2"), F.col("err").alias("r2"))
-    both = a.join(b, "item", "full_outer")
+    both = match(a, b, ["item"], "full_outer")
+    minima = []
+    for side, m in enumerate((min_one, min_other)):
+        if isinstance(m, DataFrame):
+            both, m = both.crossJoin(F.broadcast(m.select(F.col("min_est").alias(f"_m{side}")))), F.col(f"_m{side}")  # one row
+        minima.append(m if isinstance(m, Column) else F.lit(m))
+    m1, m2 = minima
     return both.select("item", (F.coalesce("e1", m1) + F.coalesce("e2", m2)).cast("bigint").alias("est"), (F.coalesce("r1", m1) + F.coalesce("r2", m2)).cast("bigint").alias("err"))
 
 
@@ -46,7 +60,7 @@ def truncate(counters: DataFrame, k: int, partition: Sequence[str] = ()) -> Data
     return keep_largest(counters, k, partition)
 
 
-def merge_pair(one: DataFrame, other: DataFrame, min_one: Column | int, min_other: Column | int, k: int) -> DataFrame:
+def merge_pair(one: DataFrame, other: DataFrame, min_one: Minimum, min_other: Minimum, k: int) -> DataFrame:
     """One reduction step: combine, then keep the k largest."""
     return truncate(combine(one, other, min_one, min_other), k)
 
@@ -63,20 +77,34 @@ def _level(s: Summaries, parent: Column) -> Summaries:
     totals = s.headers.withColumn("block_id", parent).groupBy(*group).agg(F.sum("n").alias("n"), F.sum("min_est").alias("pad"))
     over = s.counters.withColumn("block_id", parent).groupBy(*group, "item").agg(F.sum(F.col("est") - F.col("min_est")).alias("e"), F.sum(F.col("err") - F.col("min_est")).alias("r"))
     padded = over.join(totals.select(*group, "pad"), group).select(*group, "item", (F.col("e") + F.col("pad")).alias("est"), (F.col("r") + F.col("pad")).alias("err"))
-    return with_headers(keep_largest(padded, s.k, group), totals.drop("pad"), s.k, keys)
+    return with_headers(keep_largest(padded, s.k, group, most=s.most), totals.drop("pad"), s.k, keys, s.most)
 
 
 def tree(s: Summaries, blocks: int, fan_in: int = 2) -> Summaries:
     """Reduce blocks 0..blocks-1 level by level, `fan_in` neighbours at a time.
 
-    An unpaired block passes through. The plan is static: ceil(log(blocks)) levels
-    of one aggregation each, no action in between.
+    An unpaired block passes through. The plan is static and grows by one aggregation
+    and one ranking a level, ceil(log(blocks)) in all: a block's minimum travels in its
+    first counter, so a level reads nothing but the counters of the level below. The
+    number of items of the root comes from the headers of the blocks.
     """
-    parent = F.call_function("div", F.col("block_id").cast("bigint"), F.lit(fan_in).cast("bigint")).cast("int")
+    keys, group = s.keys, s.block
+    whole = Window.partitionBy(*group)
+    order = whole.orderBy(F.desc("est"), F.asc("item"))
+    first = lambda rows: rows.withColumn("_pad", F.when(F.col("_rank") == 1, F.col("min_est")).otherwise(F.lit(0)))
+    up = lambda c: F.call_function("div", c.cast("bigint"), F.lit(fan_in).cast("bigint")).cast("int")
+    rows = first(s.counters.withColumn("_rank", F.row_number().over(order)))
+    root, size = F.col("block_id"), as_column(s.k)
     while blocks > 1:
-        s = _level(s, parent)
-        blocks = -(-blocks // fan_in)
-    return s
+        over = rows.withColumn("block_id", up(F.col("block_id"))).groupBy(*group, "item")
+        over = over.agg(F.sum(F.col("est") - F.col("min_est")).alias("e"), F.sum(F.col("err") - F.col("min_est")).alias("r"), F.sum("_pad").alias("p")).withColumn("d", F.sum("p").over(whole))
+        padded = over.select(*group, "item", (F.col("e") + F.col("d")).alias("est"), (F.col("r") + F.col("d")).alias("err"))
+        kept = padded.withColumn("_rank", F.row_number().over(order)).filter(F.col("_rank") <= size)
+        full = F.count("*").over(whole) == size
+        rows = first(kept.withColumn("min_est", F.when(full, F.min("est").over(whole)).otherwise(F.lit(0)).cast("bigint")))
+        root, blocks = up(root), -(-blocks // fan_in)
+    totals = s.headers.withColumn("block_id", root).groupBy(*group).agg(F.sum("n").cast("bigint").alias("n"))
+    return with_headers(rows.select(*group, "item", "est", "err"), totals, s.k, keys, s.most)
 
 
 def flat(s: Summaries) -> Summaries:
@@ -98,11 +126,11 @@ def disjoint(s: Summaries) -> Summaries:
     group = [*s.keys, "block_id"]
     zero = F.lit(0)
     totals = s.headers.withColumn("block_id", zero).groupBy(*group).agg(F.sum("n").alias("n"), F.max("min_est").alias("_bound"))
-    kept = keep_largest(s.counters.drop("min_est").withColumn("block_id", zero), s.k, group)
-    merged = with_headers(kept, totals.drop("_bound"), s.k, s.keys)
+    kept = keep_largest(s.counters.drop("min_est").withColumn("block_id", zero), s.k, group, most=s.most)
+    merged = with_headers(kept, totals.drop("_bound"), s.k, s.keys, s.most)
     bound = totals.select(*group, "_bound")
     raise_min = lambda df: df.join(bound, group).withColumn("min_est", F.greatest("min_est", "_bound")).drop("_bound")
-    return Summaries(raise_min(merged.counters), raise_min(merged.headers), s.k, s.keys)
+    return Summaries(raise_min(merged.counters), raise_min(merged.headers), s.k, s.keys, s.most)
 
 
 def from_counters(counters: DataFrame, n: Column | int, k: int) -> Summaries:

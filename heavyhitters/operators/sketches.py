@@ -1,14 +1,22 @@
-"""Related counter methods and sketches."""
+"""Related counter methods and sketches.
+
+Counter methods take null as an item. Count-min, count sketch and Spark's own
+sketches do not count nulls; empty tables give no rows.
+"""
 
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .baseline import shrink
 from .kernels import DecrementKernel, LossyKernel
+from ..sources.stores import kept
 from .local import from_rows, in_partitions
 
 #: The modulus of the portable hashes; multipliers and offsets follow from the row number.
@@ -38,7 +46,7 @@ def lossy_counting(df: DataFrame, item: str, eps: float) -> DataFrame:
     Per partition; merged, `deficit` sums the item's own and, for each partition that
     lacks it, that partition's whole bound floor(eps * n_i).
     """
-    rows = in_partitions(df, item, 2, lambda _: LossyKernel(eps)).persist()
+    rows = kept(in_partitions(df, item, 2, lambda _: LossyKernel(eps)), "lossy")
     s = from_rows(rows, 2)
     bound = F.floor(F.col("n") * F.lit(eps)).cast("bigint")
     counters = s.counters.join(s.headers.select("block_id", bound.alias("own")), "block_id")
@@ -49,7 +57,7 @@ def lossy_counting(df: DataFrame, item: str, eps: float) -> DataFrame:
 
 def _cells(df: DataFrame, item: str, depth: int, width: int) -> DataFrame:
     """(item, cnt, row, bucket, sign): each distinct item in its cell of every row."""
-    counts = df.groupBy(F.col(item).cast("bigint").alias("item")).agg(F.count("*").alias("cnt"))
+    counts = df.filter(F.col(item).isNotNull()).groupBy(F.col(item).cast("bigint").alias("item")).agg(F.count("*").alias("cnt"))
     rows = [F.struct(F.lit(r).alias("row"), (portable_hash(F.col("item"), 2 * r) % width).alias("bucket"), (F.lit(1) - 2 * (portable_hash(F.col("item"), 2 * r + 1) % 2)).alias("sign")) for r in range(depth)]
     return counts.select("item", "cnt", F.explode(F.array(*rows)).alias("c")).select("item", "cnt", "c.*")
 
@@ -78,6 +86,56 @@ def builtin_top_k(df: DataFrame, item: str, k: int, counters: int) -> DataFrame:
     return top.select(F.explode("t").alias("c")).select(F.col("c.item").alias("item"), F.col("c.count").alias("est"))
 
 
+def builtin_top_k_of_parts(df: DataFrame, part: str, item: str, k: int, counters: int) -> DataFrame:
+    """(item, est): Spark's own sketches accumulated for each part, combined, then estimated.
+
+    Its sketches of parts can be stored and combined later. Nulls are not counted;
+    an empty table gives none.
+    """
+    parts = df.filter(F.col(item).isNotNull()).groupBy(part).agg(F.expr(f"approx_top_k_accumulate({item}, {counters})").alias("s"))
+    top = parts.agg(F.expr(f"approx_top_k_estimate(approx_top_k_combine(s, {counters}), {k})").alias("t"))
+    return top.select(F.explode("t").alias("c")).select(F.col("c.item").alias("item"), F.col("c.count").alias("est"))
+
+
+def builtin_count_min(df: DataFrame, item: str, eps: float, confidence: float, seed: int) -> DataFrame:
+    """(item, est) of every distinct bigint item, by Spark's own count-min sketch.
+
+    The sketch is one binary row of fixed size; it is read with each row's own hash,
+    item * a, folded to 31 bits, modulo the width. Nulls are not counted.
+    """
+    rows = df.filter(F.col(item).isNotNull())
+    sketch = rows.agg(F.count_min_sketch(F.col(item).cast("bigint"), F.lit(eps), F.lit(confidence), F.lit(seed)).alias("sketch"))
+    items = rows.select(F.col(item).cast("bigint").alias("item")).distinct()
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cells = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            if cells is None:
+                depth, width, factors, cells = read_count_min(batch.column(1)[0].as_py())
+            x = batch.column(0).to_numpy()
+            at = [hashed_row(x, a) % width for a in factors]
+            least = np.min([cells[r, at[r]] for r in range(depth)], axis=0)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(least, pa.int64())], names=["item", "est"])
+
+    return items.crossJoin(F.broadcast(sketch)).mapInArrow(read, "item long, est long")
+
+
+def read_count_min(raw: bytes) -> tuple[int, int, np.ndarray, np.ndarray]:
+    """(depth, width, factors, cells) of the binary form: version, total, depth, width, factors, cells, big-endian."""
+    depth, width = (int(x) for x in np.frombuffer(raw, ">i4", 2, 12))
+    factors = np.frombuffer(raw, ">i8", depth, 20).astype(np.int64)
+    return depth, width, factors, np.frombuffer(raw, ">i8", depth * width, 20 + 8 * depth).reshape(depth, width)
+
+
+def hashed_row(x: np.ndarray, factor: int) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        h = x * np.int64(factor)
+        h = h + (h >> np.int64(32))
+    return h & np.int64(0x7FFFFFFF)
+
+
 def builtin_freq_items(df: DataFrame, item: str, support: float) -> DataFrame:
     """(item): Spark's own superset of the items over the support."""
     return df.freqItems([item], support).select(F.explode(F.col(f"{item}_freqItems")).alias("item"))

@@ -40,7 +40,7 @@ def merged(s: Summaries, how: str = "flat", p: int = 8, fan_in: int = 2) -> Summ
     return merge.flat(s) if how == "flat" else merge.flat(merge.tree(s, p, fan_in))
 
 
-def frequent_items(df: DataFrame, item: str, k: int, p: int = 8, builder: str = "chunked", how: str = "flat", blocks: str = "natural", order_by: Sequence[str] = (), nulls: str = "drop", fill: object = None, sentinels: Sequence[object] = (), verify: bool = False, weight: str | None = None, by: Sequence[str] = (), fan_in: int = 2) -> DataFrame:
+def frequent_items(df: DataFrame, item: str, k: int, p: int = 8, builder: str = "chunked", how: str = "flat", blocks: str = "natural", order_by: Sequence[str] = (), nulls: str = "drop", fill: object = None, sentinels: Sequence[object] = (), verify: bool = False, weight: str | None = None, by: Sequence[str] = (), fan_in: int = 2, strict: bool = True) -> DataFrame:
     """Items that may occur floor(n/k) + 1 times or more, none of those that do missing.
 
     (by, item, est, err, lower, status), or with `verify` exactly the frequent items
@@ -48,6 +48,12 @@ def frequent_items(df: DataFrame, item: str, k: int, p: int = 8, builder: str =
     most k counters per input partition and sorts nothing. `builder="histogram"` trades a
     shuffle of each block's distinct items for exact local counts. Groups (`by`) have
     thresholds of their own and use the histogram builder. A tree needs blocks 0..p-1.
+
+    k must be from 2 to the number of items: a larger one fails the query when it runs,
+    unless `strict` is off (the threshold then is 1) or the table is empty, which has
+    no frequent items. Groups are never too small. With nulls="keep" null is an item;
+    NaN is one item and so are both zeros. Rows of weight 0 or null count nothing; a
+    negative weight fails the query. Other columns are not read, whatever their names.
     """
     check_k(k)
     rows = clean(df, item, nulls, fill, sentinels)
@@ -55,8 +61,8 @@ def frequent_items(df: DataFrame, item: str, k: int, p: int = 8, builder: str =
     if verify:
         if by:
             raise ValueError("verification takes one bag")
-        return report.verify(rows, item, report.prune(top), weight=weight)
-    return report.report(top)
+        return report.verify(rows, item, report.prune(top, strict), weight=weight, most=k)
+    return report.report(top, strict and not by)
 
 
 def iceberg(df: DataFrame, item: str | Sequence[Column], k: int, **options) -> DataFrame:

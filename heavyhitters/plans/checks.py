@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..model import Summaries, as_column
+from ..model import Summaries, as_column, match
 
 
 def invariants(s: Summaries, truth: DataFrame) -> DataFrame:
@@ -16,7 +16,7 @@ def invariants(s: Summaries, truth: DataFrame) -> DataFrame:
     exactly if fewer than k counters are in use; space_ok: at most k counters.
     """
     head = s.headers.select("n", F.col("nz"), F.col("min_est").alias("m"), as_column(s.k).alias("kk"))
-    both = truth.join(s.counters.select("item", "est", "err"), "item", "full_outer").crossJoin(F.broadcast(head))
+    both = match(truth, s.counters.select("item", "est", "err"), ["item"], "full_outer").crossJoin(F.broadcast(head))
     true = F.coalesce("cnt", F.lit(0))
     seen = F.col("est").isNotNull()
     holds = (F.col("est") - F.col("m") <= F.col("est") - F.col("err")) & (F.col("est") - F.col("err") <= true) & (true <= F.col("est"))

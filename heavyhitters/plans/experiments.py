@@ -11,6 +11,7 @@ from ..functions import metrics
 from ..operators import baseline, local, merge, report
 from ..operators.blocks import block_of, contiguous
 from ..sources import datagen
+from ..sources.stores import kept
 
 #: The grid of k on real data.
 KS = tuple(range(100, 1001, 100))
@@ -23,7 +24,7 @@ def by_key(df: DataFrame, p: int) -> DataFrame:
 
 def reports(blocked: DataFrame, ks: Sequence[int], p: int, keys: Sequence[str] = (), how: str = "flat", weight: str | None = None) -> dict[str, DataFrame]:
     """(keys, k, item, est) of the merged summaries and of the baseline, from the same local summaries."""
-    s = local.histogram(blocked, "item", "k", [*keys, "k"], weight, ks=ks)
+    s = local.stored(local.histogram(blocked, "item", "k", [*keys, "k"], weight, ks=ks))
     top = merge.flat(s) if how == "flat" else merge.tree(s, p)
     ours = report.prune(top)
     return {"summary": ours.select(*s.keys, "item", "est"), "deficit": baseline.deficit_merge(s, p)}
@@ -32,10 +33,10 @@ def reports(blocked: DataFrame, ks: Sequence[int], p: int, keys: Sequence[str] =
 def accuracy(blocked: DataFrame, ks: Sequence[int], p: int, keys: Sequence[str] = (), how: str = "flat") -> DataFrame:
     """(method, keys, k, n, n_true, n_reported, n_hit, total_error, are, precision, recall).
 
-    The source is read once: exact counts by block are persisted, and both the local
-    summaries and the truth come from them.
+    The source is read once: exact counts by block are written to the shared folder,
+    and both the local summaries and the truth come from them.
     """
-    counts = blocked.groupBy(*keys, "block_id", "item").agg(F.count("*").alias("times")).persist()
+    counts = kept(blocked.groupBy(*keys, "block_id", "item").agg(F.count("*").alias("times")), "counts")
     truth = counts.groupBy(*keys, "item").agg(F.sum("times").alias("cnt"))
     rows = None
     for method, reported in reports(counts, ks, p, keys, how, "times").items():

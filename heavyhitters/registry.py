@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from . import registry_sql as R
 from .functions import cost, metrics
-from .model import threshold_col
+from .model import match, threshold_col
 from .operators import baseline, blocks, exact, local, merge, report, sketches
 from .plans import api, checks, experiments
 from .sources import datagen
@@ -137,17 +137,12 @@ def _two(w: str, k: int) -> Callable[[SparkSession, str], tuple]:
     def parts(spark: SparkSession, d: str) -> tuple:
         s = summaries(w, k, 2)(spark, d)
         side = lambda b: s.counters.filter(f"block_id = {b}").select("item", "est", "err")
-        low = lambda b: s.headers.filter(f"block_id = {b}").select(F.col("min_est").alias(f"m{b}"))
+        low = lambda b: s.headers.filter(f"block_id = {b}").select("min_est")
         return side(0), side(1), low(0), low(1), s
 
     return parts
 
 
-def _scalar(row: DataFrame):
-    """The value of a one-row frame as a literal (a header of one block)."""
-    return F.lit(row.first()[0])
-
-
 _COMBINED = "z AS (SELECT coalesce(a.item, b.item) AS item, (coalesce(a.est, (SELECT m FROM h0 WHERE block_id = 0)) + coalesce(b.est, (SELECT m FROM h0 WHERE block_id = 1)))::BIGINT AS est, (coalesce(a.err, (SELECT m FROM h0 WHERE block_id = 0)) + coalesce(b.err, (SELECT m FROM h0 WHERE block_id = 1)))::BIGINT AS err, CASE WHEN b.item IS NULL THEN 'first' WHEN a.item IS NULL THEN 'second' ELSE 'both' END AS side FROM (SELECT * FROM l0 WHERE block_id = 0) a FULL JOIN (SELECT * FROM l0 WHERE block_id = 1) b ON a.item = b.item)"
 
 
@@ -159,13 +154,13 @@ def _combined_sql(select: str, k: int = 60) -> str:
 
 def _combine_pair(spark: SparkSession, d: str) -> DataFrame:
     one, two, m0, m1, _ = _two("suppliers", 60)(spark, d)
-    return merge.combine(one, two, _scalar(m0), _scalar(m1))
+    return merge.combine(one, two, m0, m1)
 
 
 def _combine_cases(spark: SparkSession, d: str) -> DataFrame:
     one, two, m0, m1, _ = _two("suppliers", 60)(spark, d)
-    both = merge.combine(one, two, _scalar(m0), _scalar(m1))
-    sides = both.join(one.select("item", F.lit(True).alias("a")), "item", "left").join(two.select("item", F.lit(True).alias("b")), "item", "left")
+    both = merge.combine(one, two, m0, m1)
+    sides = match(match(both, one.select("item", F.lit(True).alias("a")), ["item"], "left"), two.select("item", F.lit(True).alias("b")), ["item"], "left")
     return sides.select("item", "est", "err", F.when(F.col("b").isNull(), "first").when(F.col("a").isNull(), "second").otherwise("both").alias("side"))
 
 
@@ -173,7 +168,7 @@ def _map_form(spark: SparkSession, d: str) -> DataFrame:
     """Both summaries as one row of maps, merged and cut within the row."""
     one, two, m0, m1, _ = _two("suppliers", 60)(spark, d)
     packed = lambda s, c: s.agg(F.map_from_entries(F.collect_list(F.struct("item", F.struct("est", "err")))).alias(c))
-    row = packed(one, "a").crossJoin(packed(two, "b")).crossJoin(m0).crossJoin(m1)
+    row = packed(one, "a").crossJoin(packed(two, "b")).crossJoin(m0.toDF("m0")).crossJoin(m1.toDF("m1"))
     top = merge.truncate_map(merge.combine_cols("a", "m0", "b", "m1"), 60)
     return row.select(F.inline(top)).select("item", "est", "err")
 
@@ -210,7 +205,7 @@ add("ss_tree_emptyblock", _empty_block, _c.select(f"SELECT item, est, err FROM l
 def _flat_vs_tree(spark: SparkSession, d: str) -> DataFrame:
     s = summaries("words", 100)(spark, d)
     f, t = report.prune(merge.flat(s)), report.prune(merge.tree(s, P))
-    both = f.select("item", F.col("est").alias("fe")).join(t.select("item", F.col("est").alias("te")), "item", "full_outer")
+    both = match(f.select("item", F.col("est").alias("fe")), t.select("item", F.col("est").alias("te")), ["item"], "full_outer")
     return both.agg(F.count("fe").alias("n_flat"), F.count("te").alias("n_tree"), F.coalesce(F.bool_and(F.col("fe").isNull() | (F.col("fe") <= F.col("te"))), F.lit(True)).alias("flat_ok"))
 
 
@@ -226,7 +221,7 @@ add("ss_classify", lambda spark, d: report.report(merge.tree(summaries("words",
 
 PIPELINES = {"clicks": 1000, "values": 100, "parts": 1000, "suppliers": 50, "gaps": 400, "labelled_sizes": 400, "two_attributes": 1000, "thousandths": 100, "words": 400, "word_pairs": 1000, "chat_words": 1000, "lines": 400, "hosts": 100, "tags": 100, "flows": 100, "customers": 1000, "nations": 40, "ship_days": 1000, "brand_pairs": 400, "classes": 100}
 for _w, _k in PIPELINES.items():
-    add(f"ss_pipeline_{_w}", lambda spark, d, w=_w, k=_k: api.frequent_items(WORKLOADS[w](spark, d), "item", k, P, "histogram", blocks="key", order_by=["key"]), chain(_w, _k).flat().report().select("SELECT item, est, err, lower, status FROM rep"))
+    add(f"ss_pipeline_{_w}", lambda spark, d, w=_w, k=_k: api.frequent_items(WORKLOADS[w](spark, d), "item", k, P, "histogram", blocks="key", order_by=["key"], strict=False), chain(_w, _k).flat().report().select("SELECT item, est, err, lower, status FROM rep"))
     if _w in ("values", "words", "lines"):
         add(f"dm_pipeline_{_w}", lambda spark, d, w=_w, k=_k: baseline.deficit_merge(summaries(w, k)(spark, d), P), chain(_w, _k).deficit(P).select("SELECT item, est FROM dm"))
 
@@ -278,7 +273,7 @@ for _b in ("histogram", "sequential", "chunked"):
 def _identity(spark: SparkSession, d: str) -> DataFrame:
     one, two, m0, m1, s = _two("suppliers", 60)(spark, d)
     side = lambda b: type(s)(s.counters.filter(f"block_id = {b}"), s.headers.filter(f"block_id = {b}"), 60)
-    return checks.combine_identity(side(0), side(1), merge.combine(one, two, _scalar(m0), _scalar(m1)))
+    return checks.combine_identity(side(0), side(1), merge.combine(one, two, m0, m1))
 
 
 add("inv_combine_identity", _identity, _combined_sql("SELECT count(*) AS items, sum(est)::BIGINT AS total, true AS identity_ok, true AS least_ok, true AS space_ok FROM z"))
@@ -288,7 +283,7 @@ def _space(spark: SparkSession, d: str) -> DataFrame:
     """Counters in use, before and after a merge, against their limits."""
     k = 60
     one, two, m0, m1, s = _two("suppliers", k)(spark, d)
-    ours = merge.combine(one, two, _scalar(m0), _scalar(m1)).agg(F.count("*").alias("combined"))
+    ours = merge.combine(one, two, m0, m1).agg(F.count("*").alias("combined"))
     low = baseline.localize(s).counters
     theirs = baseline.combine(low.filter("block_id = 0"), low.filter("block_id = 1")).agg(F.count("*").alias("deficit_combined"))
     return ours.crossJoin(theirs).select("combined", "deficit_combined", (F.col("combined") <= 2 * k).alias("ours_ok"), (F.col("deficit_combined") <= 2 * k - 2).alias("deficit_ok"))
@@ -359,7 +354,9 @@ def _dm_combine(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _within(df: DataFrame, truth: DataFrame, ok) -> DataFrame:
-    return truth.join(df, "item", "left").agg(F.count("*").alias("n_distinct"), F.sum("cnt").alias("n"), F.bool_and(ok).alias("ok"))
+    size = truth.agg(F.sum("cnt").alias("n_items"))
+    rows = match(truth, df, ["item"], "left").crossJoin(F.broadcast(size))  # one row
+    return rows.agg(F.count("*").alias("n_distinct"), F.sum("cnt").alias("n"), F.bool_and(ok).alias("ok"))
 
 
 _DISTINCT = "SELECT count(DISTINCT item) AS n_distinct, count(*)::BIGINT AS n, true AS ok FROM ({}) WHERE item IS NOT NULL"
@@ -369,7 +366,7 @@ def _decrement(spark: SparkSession, d: str) -> DataFrame:
     df = WORKLOADS["values"](spark, d).filter("item IS NOT NULL")
     truth = exact.frequencies(df, "item")
     est = F.coalesce("est", F.lit(0))
-    limit = df.count() // 100
+    limit = F.call_function("div", F.col("n_items"), F.lit(100).cast("bigint"))
     return _within(sketches.decrement(df, "item", 100), truth, (est <= F.col("cnt")) & (est >= F.col("cnt") - limit))
 
 
@@ -377,8 +374,8 @@ def _lossy(spark: SparkSession, d: str) -> DataFrame:
     df = WORKLOADS["values"](spark, d).filter("item IS NOT NULL")
     found = sketches.lossy_counting(df, "item", 0.005)
     est = F.coalesce("est", F.lit(0))
-    limit = int(df.count() * 0.005)
-    return _within(found, exact.frequencies(df, "item"), (est <= F.col("cnt")) & (F.col("cnt") <= est + F.coalesce("deficit", F.lit(limit))))
+    limit = F.floor(F.col("n_items") * 0.005)
+    return _within(found, exact.frequencies(df, "item"), (est <= F.col("cnt")) & (F.col("cnt") <= est + F.coalesce("deficit", limit)))
 
 
 add("sk_frequent_inv", _decrement, _DISTINCT.format(W["values"]))
@@ -536,7 +533,7 @@ def _ci(spark: SparkSession, d: str) -> DataFrame:
 
 
 _src = f"SELECT seed::INTEGER AS seed, item, (((id + 1) * {P} - 1) // (({_N}) // 10))::INTEGER AS block_id FROM ({R_items(0.5, n=f'({_N}) // 10', seeds=tuple(range(1, 21)), universe=2000)})"
-add("acc_ci", _ci, f"SELECT method, k, count(*) AS runs, avg(total_error)::DOUBLE AS mean, (2.093 * stddev_samp(total_error) / sqrt(count(*)))::DOUBLE AS half_width FROM ({R.accuracy(_src, [100], P, ['seed'])}) GROUP BY ALL")
+add("acc_ci", _ci, f"SELECT method, k, count(*) AS runs, avg(total_error)::DOUBLE AS mean, ({metrics.t95(19)!r} * stddev_samp(total_error) / sqrt(count(*)))::DOUBLE AS half_width FROM ({R.accuracy(_src, [100], P, ['seed'])}) GROUP BY ALL")
 
 # ---- cost model ---------------------------------------------------------------------------------
 

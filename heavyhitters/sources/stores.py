@@ -21,6 +21,13 @@ def scratch(spark: SparkSession, tag: str) -> str:
     return path
 
 
+def kept(df: DataFrame, tag: str) -> DataFrame:
+    """Written once to the shared folder and read back: cuts the lineage, and outlives the executors."""
+    path = scratch(df.sparkSession, tag)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def through(df: DataFrame, form: str, **options: object) -> DataFrame:
     """Write in a format and read back with the same schema, never an inferred one."""
     path = scratch(df.sparkSession, form)
