@@ -54,12 +54,12 @@ def scalability(ps: DataFrame) -> DataFrame:
     return ps.select("p", m.alias("memory_per_worker"), F.when(m == 0, "constant").when(m <= F.col("p"), "at most p").otherwise("beyond").alias("growth"))
 
 
-def speedup(timings: DataFrame) -> DataFrame:
-    """(method, p, seconds, speedup, efficiency, superlinear) from (method, p, seconds) of repeated runs.
+def speedup(timings: DataFrame, by: Sequence[str] = ("method",)) -> DataFrame:
+    """(by, p, seconds, speedup, efficiency, superlinear) from (by, p, seconds) of repeated runs.
 
-    Means over runs are set against the method's mean at p = 1.
+    Means over runs are set against the mean at p = 1.
     """
-    mean = timings.groupBy("method", "p").agg(F.avg("seconds").alias("seconds"))
-    one = mean.filter("p = 1").select("method", F.col("seconds").alias("one"))
+    mean = timings.groupBy(*by, "p").agg(F.avg("seconds").alias("seconds"))
+    one = mean.filter("p = 1").select(*by, F.col("seconds").alias("one"))
     ratio = F.col("one") / F.col("seconds")
-    return mean.join(one, "method").select("method", "p", "seconds", ratio.alias("speedup"), (ratio / F.col("p")).alias("efficiency"), (ratio / F.col("p") > 1).alias("superlinear"))
+    return mean.join(one, list(by)).select(*by, "p", "seconds", ratio.alias("speedup"), (ratio / F.col("p")).alias("efficiency"), (ratio / F.col("p") > 1).alias("superlinear"))

@@ -7,7 +7,7 @@ is reported has total error 0, no relative error and no precision.
 from __future__ import annotations
 
 import math
-from collections.abc import Sequence
+from collections.abc import Mapping, Sequence
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -67,20 +67,24 @@ def per_item(reported: DataFrame, truth: DataFrame, keys: Sequence[str] = (), tr
     return rows.select(*keys, "item", "est", "cnt", error.alias("abs_error"), (error / F.nullif("cnt", F.lit(0))).alias("rel_error"))
 
 
-def summary(reported: DataFrame, truth: DataFrame, k: int | str, keys: Sequence[str] = (), truth_keys: Sequence[str] | None = None, ks: Sequence[int] = ()) -> DataFrame:
+def summary(reported: DataFrame, truth: DataFrame, k: int | str, keys: Sequence[str] = (), truth_keys: Sequence[str] | None = None, ks: Sequence[int] = (), spread: Mapping[str, Sequence[int]] | None = None) -> DataFrame:
     """One row per bag: n_true, n_reported, n_hit, total_error, are, precision, recall.
 
     Total error sums |true - est| and `are` averages |true - est| / true over reported
     items (null if none). Precision is null if nothing is reported; recall is 1 if
-    nothing is frequent. `k` may be a key, its values then are `ks`; bags are those
-    that the truth has.
+    nothing is frequent. `k` may be a key, its values then are `ks`; `spread` has the
+    values of other keys that the exact counts do not depend on. Bags are those that
+    the truth has.
     """
     base = [x for x in (keys if truth_keys is None else truth_keys)]
     totals = truth.groupBy(*base).agg(F.sum("cnt").alias("n")) if base else truth.agg(F.sum("cnt").alias("n"))
     frequent = truth.join(totals, base) if base else truth.crossJoin(F.broadcast(totals))
-    if isinstance(k, str):
-        each = F.explode(F.array(*[F.lit(int(x)) for x in ks])).alias(k)
-        totals, frequent = totals.select("*", each), frequent.select("*", each)
+    # with the largest k the threshold is least: few items are left before anything is repeated for each k
+    frequent = frequent.filter(F.col("cnt") >= threshold_col("n", F.lit(max(ks)) if isinstance(k, str) else F.lit(k)))
+    values = {**({k: ks} if isinstance(k, str) else {}), **(spread or {})}
+    for name, each in values.items():
+        column = F.explode(F.array(*[F.lit(int(x)) for x in each])).alias(name)
+        totals, frequent = totals.select("*", column), frequent.select("*", column)
     frequent = frequent.filter(F.col("cnt") >= threshold_col("n", as_column(k)))
     n_true = frequent.groupBy(*keys).agg(F.count("*").alias("n_true"))
     items = per_item(reported, truth, keys, truth_keys)
@@ -107,6 +111,12 @@ def mean_ci(df: DataFrame, by: Sequence[str], value: str) -> DataFrame:
     return stats.select(*by, "runs", "mean", F.when(F.col("runs") > 1, half).alias("half_width"))
 
 
+def intervals(runs: DataFrame, by: Sequence[str], measures: Sequence[str] = ("total_error", "are", "precision", "recall")) -> DataFrame:
+    """(by, measure, runs, mean, half_width): `mean_ci` of several measures; runs in which one is null do not count for it."""
+    each = F.explode(F.array(*[F.struct(F.lit(m).alias("measure"), F.col(m).cast("double").alias("value")) for m in measures])).alias("m")
+    return mean_ci(runs.select(*by, each).select(*by, "m.measure", "m.value"), [*by, "measure"], "value")
+
+
 def describe(df: DataFrame, item: str) -> DataFrame:
     """Statistics of a numeric item column: count, distinct, min, max, mean, median, std, skewness.
 

@@ -80,8 +80,13 @@ class SequentialKernel:
         heapq.heappush(self.heap, (base + weight, item))
 
     def extend(self, items: Iterable) -> None:
+        est, add = self.est, self.add
         for item in items:
-            self.add(item)
+            if item in est:
+                est[item] += 1
+                self.n += 1
+            else:
+                add(item)
 
     def update(self, column: pa.Array, weight: pa.Array | None = None) -> None:
         if weight is None:

@@ -75,8 +75,8 @@ def _level(s: Summaries, parent: Column) -> Summaries:
     keys = s.keys
     group = [*keys, "block_id"]
     totals = s.headers.withColumn("block_id", parent).groupBy(*group).agg(F.sum("n").alias("n"), F.sum("min_est").alias("pad"))
-    over = s.counters.withColumn("block_id", parent).groupBy(*group, "item").agg(F.sum(F.col("est") - F.col("min_est")).alias("e"), F.sum(F.col("err") - F.col("min_est")).alias("r"))
-    padded = over.join(totals.select(*group, "pad"), group).select(*group, "item", (F.col("e") + F.col("pad")).alias("est"), (F.col("r") + F.col("pad")).alias("err"))
+    over = s.counters.withColumn("block_id", parent).groupBy(*group, "item").agg(F.sum(F.col("est") - F.col("min_est")).alias("_e"), F.sum(F.col("err") - F.col("min_est")).alias("_r"))
+    padded = over.join(totals.select(*group, "pad"), group).select(*group, "item", (F.col("_e") + F.col("pad")).alias("est"), (F.col("_r") + F.col("pad")).alias("err"))
     return with_headers(keep_largest(padded, s.k, group, most=s.most), totals.drop("pad"), s.k, keys, s.most)
 
 
@@ -97,8 +97,8 @@ def tree(s: Summaries, blocks: int, fan_in: int = 2) -> Summaries:
     root, size = F.col("block_id"), as_column(s.k)
     while blocks > 1:
         over = rows.withColumn("block_id", up(F.col("block_id"))).groupBy(*group, "item")
-        over = over.agg(F.sum(F.col("est") - F.col("min_est")).alias("e"), F.sum(F.col("err") - F.col("min_est")).alias("r"), F.sum("_pad").alias("p")).withColumn("d", F.sum("p").over(whole))
-        padded = over.select(*group, "item", (F.col("e") + F.col("d")).alias("est"), (F.col("r") + F.col("d")).alias("err"))
+        over = over.agg(F.sum(F.col("est") - F.col("min_est")).alias("_e"), F.sum(F.col("err") - F.col("min_est")).alias("_r"), F.sum("_pad").alias("_p")).withColumn("_d", F.sum("_p").over(whole))
+        padded = over.select(*group, "item", (F.col("_e") + F.col("_d")).alias("est"), (F.col("_r") + F.col("_d")).alias("err"))
         kept = padded.withColumn("_rank", F.row_number().over(order)).filter(F.col("_rank") <= size)
         full = F.count("*").over(whole) == size
         rows = first(kept.withColumn("min_est", F.when(full, F.min("est").over(whole)).otherwise(F.lit(0)).cast("bigint")))
@@ -112,8 +112,8 @@ def flat(s: Summaries) -> Summaries:
     if s.keys:
         return _level(s, F.lit(0))
     totals = s.headers.agg(F.sum("n").alias("n"), F.coalesce(F.sum("min_est"), F.lit(0)).alias("pad"))
-    over = s.counters.groupBy("item").agg(F.sum(F.col("est") - F.col("min_est")).alias("e"), F.sum(F.col("err") - F.col("min_est")).alias("r"))
-    padded = over.crossJoin(F.broadcast(totals)).select("item", (F.col("e") + F.col("pad")).alias("est"), (F.col("r") + F.col("pad")).alias("err"), "n")
+    over = s.counters.groupBy("item").agg(F.sum(F.col("est") - F.col("min_est")).alias("_e"), F.sum(F.col("err") - F.col("min_est")).alias("_r"))
+    padded = over.crossJoin(F.broadcast(totals)).select("item", (F.col("_e") + F.col("pad")).alias("est"), (F.col("_r") + F.col("pad")).alias("err"), "n")
     kept = keep_largest(padded, s.k, []).withColumn("block_id", F.lit(0))
     return with_headers(kept.drop("n"), totals.select(F.lit(0).alias("block_id"), F.coalesce("n", F.lit(0)).cast("bigint").alias("n")), s.k, [])
 

@@ -30,6 +30,12 @@ def portable_hash(x: Column, seed: int) -> Column:
     return (once * 69621 + 13 * seed + 5) % PRIME
 
 
+def portable_hash_of(x: np.ndarray, seed: int) -> np.ndarray:
+    """The same on 64-bit integers in memory; numbers from 0 on."""
+    a, c = 48271 + 2 * seed, 11 + 7919 * seed
+    return ((x % PRIME * a + c) % PRIME * 69621 + 13 * seed + 5) % PRIME
+
+
 def decrement(df: DataFrame, item: str, k: int) -> DataFrame:
     """(item, est): the decrement-all method per partition, merged by adding and cutting to k - 1.
 

@@ -2,14 +2,22 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+import time
+from collections.abc import Iterator, Sequence
+from dataclasses import dataclass
+from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_type
 
 from ..functions import metrics
-from ..operators import baseline, local, merge, report
+from ..model import Summaries
+from ..operators import baseline, local, merge, report, sketches
 from ..operators.blocks import block_of, contiguous
+from ..operators.kernels import SequentialKernel
 from ..sources import datagen
 from ..sources.stores import kept
 
@@ -70,6 +78,98 @@ def vary_skew(spark: SparkSession, n: int, rhos: Sequence[float], k: int, a: flo
     return accuracy(rows, [k], p, ["seed", "rho"])
 
 
+@dataclass(frozen=True)
+class Case:
+    """One setting of the synthetic experiments: p workers, n items of a law with skew rho and shift a."""
+
+    p: int
+    n: int
+    rho: float
+    a: float
+
+
+#: Keys of a run; the exact counts depend on those of TRUTH alone.
+RUN, TRUTH = ["seed", "p", "size", "rho", "k"], ["seed", "size", "rho"]
+
+
+def _blocks(spark: SparkSession, case: Case, ks: Sequence[int], seeds: Sequence[int], universe: int) -> DataFrame:
+    """Row-form summaries of the item-at-a-time pass, for each seed, k and block.
+
+    A partition of the range is a block: row numbers floor(i * n / p) and on, in order.
+    Items are made where they are counted, nothing is shuffled or sorted; a task holds
+    k counters for each seed and k.
+    """
+    s = datagen.exponent(case.rho)
+    schema = T.StructType([T.StructField("seed", T.IntegerType()), *local.row_schema(T.LongType()).fields])
+    counters = to_arrow_type(schema["counters"].dataType)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bounds = datagen.cumulative(s, universe, case.a)
+        kernels = {(seed, k): SequentialKernel(k) for seed in seeds for k in ks}
+        block = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            block, ids = batch.column(0)[0].as_py(), batch.column(1).to_numpy()
+            for seed in seeds:
+                items = datagen.drawn(bounds, sketches.portable_hash_of(ids, seed)).tolist()
+                for k in ks:
+                    kernels[seed, k].extend(items)
+        if block is not None:
+            for (seed, k), kernel in kernels.items():
+                row = local._row(block, kernel, k, T.LongType(), counters)
+                yield pa.RecordBatch.from_arrays([pa.array([seed], pa.int32()), *row.columns], names=schema.names)
+
+    rows = spark.range(0, case.n, 1, case.p).select(F.spark_partition_id().alias("b"), "id").mapInArrow(run, schema)
+    keys = F.lit(case.p).alias("p"), F.lit(case.n).cast("bigint").alias("size"), F.lit(case.rho).alias("rho")
+    return rows.select("seed", *keys, F.col("k").cast("int").alias("k"), "block_id", "n", "nz", "min_est", "total_est", "counters")
+
+
+def literal_runs(spark: SparkSession, cases: Sequence[Case], ks: Sequence[int], seeds: Sequence[int], universe: int = 1_100_000) -> DataFrame:
+    """(method, seed, p, size, rho, k, measures): both methods from item-at-a-time summaries merged in a tree.
+
+    The local phase as published: each worker passes over its contiguous block once.
+    Summaries and exact counts of all cases are written once; p = 1 is a single pass,
+    of which the baseline reports the pruned summary too.
+    """
+    union = lambda frames: reduce(DataFrame.unionByName, frames)
+    rows = kept(union([_blocks(spark, c, ks, seeds, universe) for c in cases]), "literal")
+    laws = {(c.n, c.rho, c.a) for c in cases}
+    truth = [datagen.shifted_power_law(spark, n, rho, universe, seeds, a).groupBy("seed", "item").agg(F.count("*").alias("cnt")).select("seed", F.lit(n).cast("bigint").alias("size"), F.lit(rho).alias("rho"), "item", "cnt") for n, rho, a in sorted(laws)]
+    truth = kept(union(truth), "truth")
+    flat = rows.select(*RUN, "block_id", "min_est", F.inline("counters"))
+    s = Summaries(flat.select(*RUN, "block_id", "item", "est", "err", "min_est"), rows.drop("counters"), "k", RUN, max(ks))
+    most = max(c.p for c in cases)
+    ours = report.prune(merge.tree(s, most)).select(*RUN, "item", "est")
+    theirs = baseline.deficit_merge(s, most)
+    if any(c.p == 1 for c in cases):
+        theirs = theirs.filter("p > 1").unionByName(ours.filter("p = 1"))
+    spread = {"p": sorted({c.p for c in cases})}
+    return union([metrics.summary(r, truth, "k", RUN, TRUTH, ks, spread).select(F.lit(m).alias("method"), "*") for m, r in (("summary", ours), ("deficit", theirs))])
+
+
+def runtimes(spark: SparkSession, n: int, rho: float, k: int, ps: Sequence[int] = (1, 2, 4, 8), runs: int = 20, laws: Sequence[tuple[str, float]] = (("plain", 0.0), ("shifted", 0.5)), universe: int = 1_100_000) -> DataFrame:
+    """(law, method, p, run, seconds): wall time of both methods on items that are in memory, p partitions.
+
+    The two differ in the merge alone, as the local phase is one and the same kernel.
+    The cached items of a law and p are dropped before the next.
+    """
+    rows = []
+    for law, a in laws:
+        for p in ps:
+            items = datagen.shifted_power_law(spark, n, rho, universe, (1,), a, partitions=p).select("item").persist()
+            items.count()
+            for run in range(runs):
+                for method in ("summary", "deficit"):
+                    began = time.perf_counter()
+                    s = local.per_block(items, "item", k)
+                    found = report.report(merge.tree(s, p)) if method == "summary" else baseline.deficit_merge(s, p)
+                    found.write.format("noop").mode("overwrite").save()
+                    rows.append((law, method, p, run, time.perf_counter() - began))
+            items.unpersist()
+    return spark.createDataFrame(rows, "law string, method string, p int, run int, seconds double")
+
+
 def sequential_accuracy(rows: DataFrame, order_by: Sequence[str], ks: Sequence[int], ps: Sequence[int], how: str = "tree") -> DataFrame:
     """(p, method, k, measures): item-at-a-time local summaries of p contiguous blocks, merged both ways.
 

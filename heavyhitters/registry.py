@@ -411,7 +411,7 @@ add("basket_fpgrowth", _fpgrowth)
 
 # ---- measures -----------------------------------------------------------------------------------
 
-_GRID = {"values": experiments.KS, "words": (100, 400, 1000), "chat_words": (100, 400, 1000), "parts": (100, 1000), "suppliers": (50, 90, 100), "gaps": (100, 400), "lines": (100, 400), "clicks": (100, 400, 1000), "two_attributes": (400, 1000), "labelled_sizes": (100, 400, 1000), "word_pairs": (400, 1000), "tags": (100,), "hosts": (100,), "customers": (1000,)}
+_GRID = {w: experiments.KS for w in WORKLOADS}
 for _w, _ks in _GRID.items():
     add(f"acc_sweep_k_{_w}", lambda spark, d, w=_w, ks=_ks: experiments.accuracy(blocked(w)(spark, d), ks, P), R.accuracy(R.workload(_w, P), _ks, P))
 
@@ -475,6 +475,9 @@ SELECT count(*) AS n, count(DISTINCT item) AS n_distinct, min(item) AS min_item,
 _N = "SELECT count(*) FROM lineitem"
 _SEEDS = (1, 2, 3)
 _U = 20_000
+#: Universe of the experiments: with skew 0.5 no item then reaches a 2000th of a long sequence.
+_WIDE = 1_100_000
+_TENTHS = range(1, 11)
 
 
 def _n(spark: SparkSession, d: str) -> int:
@@ -505,26 +508,30 @@ def _range_join(spark: SparkSession, d: str) -> DataFrame:
 add("gen_range_join", _range_join, f"SELECT item::BIGINT AS item, count(*) AS cnt FROM ({datagen.sql_items('2000', 1.5, 500, [1], 0.5)}) GROUP BY ALL")
 
 for _name, _a in (("plain", 0.0), ("shifted", 0.5)):
-    _src = f"SELECT seed::INTEGER AS seed, item, (((id + 1) * {P} - 1) // ({_N}))::INTEGER AS block_id FROM ({R_items(_a, seeds=_SEEDS)})"
-    add(f"exp1_vary_k_{_name}", lambda spark, d, a=_a: experiments.vary_k(spark, _n(spark, d), (100, 400, 1000), 1.5, a, P, _SEEDS, _U), R.accuracy(_src, (100, 400, 1000), P, ["seed"]))
-    _sizes = " UNION ALL ".join(f"SELECT ((({_N}) * {i}) // 10)::BIGINT AS size" for i in (2, 6, 10))
-    _src = f"SELECT seed::INTEGER AS seed, size, item, (((id + 1) * {P} - 1) // size)::INTEGER AS block_id FROM ({R_items(_a, seeds=(1, 2))}), ({_sizes}) z WHERE id < size"
-    add(f"exp2_vary_n_{_name}", lambda spark, d, a=_a: experiments.vary_n(spark, [_n(spark, d) * i // 10 for i in (2, 6, 10)], 200, 1.5, a, P, (1, 2), _U), R.accuracy(_src, [200], P, ["seed", "size"]))
+    _src = f"SELECT seed::INTEGER AS seed, item, (((id + 1) * {P} - 1) // ({_N}))::INTEGER AS block_id FROM ({R_items(_a, seeds=_SEEDS, universe=_WIDE)})"
+    add(f"exp1_vary_k_{_name}", lambda spark, d, a=_a: experiments.vary_k(spark, _n(spark, d), experiments.KS, 1.5, a, P, _SEEDS, _WIDE), R.accuracy(_src, experiments.KS, P, ["seed"]))
+    _sizes = " UNION ALL ".join(f"SELECT ((({_N}) * {i}) // 10)::BIGINT AS size" for i in _TENTHS)
+    _src = f"SELECT seed::INTEGER AS seed, size, item, (((id + 1) * {P} - 1) // size)::INTEGER AS block_id FROM ({R_items(_a, seeds=(1,), universe=_WIDE)}), ({_sizes}) z WHERE id < size"
+    add(f"exp2_vary_n_{_name}", lambda spark, d, a=_a: experiments.vary_n(spark, [_n(spark, d) * i // 10 for i in _TENTHS], 2000, 1.5, a, P, (1,), _WIDE), R.accuracy(_src, [2000], P, ["seed", "size"]))
     _rhos = (0.5, 1.0, 1.5, 2.0, 2.5, 3.0)
-    _src = " UNION ALL ".join(f"SELECT seed::INTEGER AS seed, {r}::DOUBLE AS rho, item, (((id + 1) * {P} - 1) // ({_N}))::INTEGER AS block_id FROM ({R_items(_a, r, seeds=(1,))})" for r in _rhos)
-    add(f"exp3_vary_rho_{_name}", lambda spark, d, a=_a: experiments.vary_skew(spark, _n(spark, d), _rhos, 200, a, P, (1,), _U), R.accuracy(_src, [200], P, ["seed", "rho"]))
+    _src = " UNION ALL ".join(f"SELECT seed::INTEGER AS seed, {r}::DOUBLE AS rho, item, (((id + 1) * {P} - 1) // ({_N}))::INTEGER AS block_id FROM ({R_items(_a, r, seeds=(1,), universe=_WIDE)})" for r in _rhos)
+    add(f"exp3_vary_rho_{_name}", lambda spark, d, a=_a: experiments.vary_skew(spark, _n(spark, d), _rhos, 2000, a, P, (1,), _WIDE), R.accuracy(_src, [2000], P, ["seed", "rho"]))
 
 
-def _vary_p(spark: SparkSession, d: str) -> DataFrame:
-    """The same items over 1 to 8 blocks, p as a key: blocks that have no pair pass through the tree."""
-    n = _n(spark, d)
-    rows = datagen.shifted_power_law(spark, n, 1.0, _U, (1,), 0.5).select("item", "id", F.explode(F.sequence(F.lit(1), F.lit(P))).alias("p"))
-    block = F.call_function("div", (F.col("id") + 1) * F.col("p") - 1, F.lit(n).cast("bigint")).cast("int")
-    return experiments.accuracy(rows.withColumn("block_id", block), [400], P, ["p"])
+def _vary_p(a: float) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        """The same items over 1 to 8 blocks, p as a key: blocks that have no pair pass through the tree."""
+        n = _n(spark, d)
+        rows = datagen.shifted_power_law(spark, n, 1.0, _U, (1,), a).select("item", "id", F.explode(F.sequence(F.lit(1), F.lit(P))).alias("p"))
+        block = F.call_function("div", (F.col("id") + 1) * F.col("p") - 1, F.lit(n).cast("bigint")).cast("int")
+        return experiments.accuracy(rows.withColumn("block_id", block), [400], P, ["p"])
+
+    return run
 
 
-_src = f"SELECT p::INTEGER AS p, item, (((id + 1) * p - 1) // ({_N}))::INTEGER AS block_id FROM ({R_items(0.5, 1.0, seeds=(1,))}), (SELECT range AS p FROM range(1, {P + 1}))"
-add("exp6_vary_p_shifted", _vary_p, R.accuracy(_src, [400], P, ["p"]))
+for _name, _a in (("plain", 0.0), ("shifted", 0.5)):
+    _src = f"SELECT p::INTEGER AS p, item, (((id + 1) * p - 1) // ({_N}))::INTEGER AS block_id FROM ({R_items(_a, 1.0, seeds=(1,))}), (SELECT range AS p FROM range(1, {P + 1}))"
+    add(f"exp6_vary_p_{_name}", _vary_p(_a), R.accuracy(_src, [400], P, ["p"]))
 
 
 def _ci(spark: SparkSession, d: str) -> DataFrame:
@@ -563,26 +570,3 @@ def _speedup(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("bench_speedup_table", _speedup, "WITH o AS (SELECT o_orderpriority AS method, count(*) AS c FROM orders GROUP BY 1), t AS (SELECT method, p, c / p + 0.25::DOUBLE AS seconds FROM o, (SELECT unnest([1, 2, 4, 8])::BIGINT AS p)) SELECT t.method, t.p, t.seconds::DOUBLE AS seconds, (o.seconds / t.seconds)::DOUBLE AS speedup, (o.seconds / t.seconds / t.p)::DOUBLE AS efficiency, o.seconds / t.seconds / t.p > 1 AS superlinear FROM t JOIN t o ON o.method = t.method AND o.p = 1")
-
-
-def _timed(rho: float, k: int) -> Query:
-    """Wall seconds of the default method on synthetic items over p partitions, one run each."""
-
-    def run(spark: SparkSession, d: str) -> DataFrame:
-        import time
-
-        n, rows = _n(spark, d), []
-        for p in (1, 2, 4, 8):
-            items = datagen.shifted_power_law(spark, n, rho, _U, (1,), 0.5).select("item").repartition(p).persist()
-            items.count()
-            began = time.perf_counter()
-            api.frequent_items(items, "item", k).write.format("noop").mode("overwrite").save()
-            rows.append(("summary", p, time.perf_counter() - began))
-            items.unpersist()
-        return cost.speedup(spark.createDataFrame(rows, "method string, p long, seconds double"))
-
-    return run
-
-
-add("exp4_runtime", _timed(1.5, 2000))
-add("exp5_runtime", _timed(3.0, 3000))

@@ -66,7 +66,12 @@ def cdf(spark: SparkSession, s: float, universe: int, a: float = 0.0) -> DataFra
     return spark.createDataFrame(table).filter("hi > lo")
 
 
-def shifted_power_law(spark: SparkSession, n: int, rho: float, universe: int = 100_000, seeds: Sequence[int] = (1,), a: float = 0.5, mode: str = "rho") -> DataFrame:
+def drawn(bounds: np.ndarray, hashed: np.ndarray) -> np.ndarray:
+    """Items of hashed row numbers by the law's cumulative weights."""
+    return np.searchsorted(bounds, hashed * int(bounds[-1]) // PRIME, side="right") + 1
+
+
+def shifted_power_law(spark: SparkSession, n: int, rho: float, universe: int = 100_000, seeds: Sequence[int] = (1,), a: float = 0.5, mode: str = "rho", partitions: int | None = None) -> DataFrame:
     """(seed, id, item): n items per seed with probability proportional to (item + a) ** -s.
 
     Items are at most `universe`, within unsigned 32 bits. The same seed gives the
@@ -80,12 +85,11 @@ def shifted_power_law(spark: SparkSession, n: int, rho: float, universe: int = 1
     def look_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bounds = cumulative(s, universe, a)
         for batch in batches:
-            at = batch.column(2).to_numpy() * int(bounds[-1]) // PRIME
-            item = np.searchsorted(bounds, at, side="right") + 1
+            item = drawn(bounds, batch.column(2).to_numpy())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(item, pa.int64())], names=["seed", "id", "item"])
 
     # per seed another mixing of the row number: the hash takes the seed as its offset
-    rows = spark.range(n).select(F.explode(F.array(*[F.struct(F.lit(int(x)).alias("seed"), portable_hash(F.col("id"), int(x)).alias("h")) for x in seeds])).alias("r"), "id")
+    rows = spark.range(0, n, 1, partitions).select(F.explode(F.array(*[F.struct(F.lit(int(x)).alias("seed"), portable_hash(F.col("id"), int(x)).alias("h")) for x in seeds])).alias("r"), "id")
     return rows.select("r.seed", "id", "r.h").mapInArrow(look_up, "seed int, id long, item long")
 
 
