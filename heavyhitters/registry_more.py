@@ -300,3 +300,33 @@ add("st_state_op", lambda s, d: st.run_available_now(st.stateful_summary(_events
 add("st_dedup", lambda s, d: st.run_available_now(st.distinct_within(_events(s, d), ["event_id"], "1 hour")).select("event_id"), "SELECT DISTINCT event_id FROM events")
 add("st_static_join", lambda s, d: st.run_available_now(st.flag_candidates(_events(s, d).select("event_id", "user_id"), exact.k_majority(WORKLOADS["flows"](s, d), "item", 150), "user_id")).select("event_id", "user_id"), f"SELECT event_id, user_id FROM events WHERE user_id IN (SELECT item FROM ({R.exact('SELECT user_id AS item FROM events', 150)}))")
 add("st_interval_join", lambda s, d: st.run_available_now(st.pairs_within(_events(s, d).filter("event_type = 'click'"), _events(s, d).filter("event_type = 'purchase'"), "user_id", 36000, "1 hour")).select("user_id", "a_id", "b_id"), "SELECT a.user_id, a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 10 HOUR")
+_closed_panes = f"{_src} WHERE make_timestamp(((epoch_us(ts) // 1000000) // {_PANE} + 1) * {_PANE} * 1000000) <= {_CLOSED}"
+_c2 = R.Chain(_closed_panes, [200])
+_c2.ctes += _c.ctes[-4:]
+add("st_sliding_stream", lambda s, d: st.sliding_from_stream(_events(s, d), "user_id", 200, _PANE, _WIDTH, "1 hour"), _c2.select("SELECT start, item, (e + d)::BIGINT AS est, (r + d)::BIGINT AS err FROM (SELECT *, row_number() OVER (PARTITION BY start ORDER BY e DESC, item) AS rn FROM so JOIN sd USING (start)) WHERE rn <= 200"))
+
+
+def _restarted(s: SparkSession, d: str) -> DataFrame:
+    """A running summary that stops after half of the events and goes on from its checkpoint and store."""
+    folder, store, state = (stores.scratch(s, x) for x in ("restart", "store", "state"))
+    values = WORKLOADS["values"](s, d).filter("item IS NOT NULL").select("item", "key")
+    stream = lambda: s.readStream.schema(values.schema).parquet(folder).select("item")
+    for rest in (0, 1):
+        values.filter(F.pmod("key", F.lit(2)) == rest).write.mode("append").parquet(folder)
+        found = st.running_summary(stream(), "item", 100, store, state)
+    joined = found.join(exact.frequencies(values, "item"), "item")
+    return joined.agg(F.count("*").alias("counters"), F.max("n").alias("n"), F.bool_and((F.col("est") - F.col("err") <= F.col("cnt")) & (F.col("cnt") <= F.col("est"))).alias("ok"))
+
+
+add("st_running_restart", _restarted, f"SELECT 100::BIGINT AS counters, count(*) AS n, true AS ok FROM ({W['values']}) WHERE item IS NOT NULL")
+
+
+def _rate(s: SparkSession, d: str) -> DataFrame:
+    """The rate source into the memory sink: counts of numbers modulo 7, of whole micro-batches of 700."""
+    counted = st.rate_stream(s, 700).groupBy((F.col("value") % 7).alias("item")).agg(F.count("*").alias("cnt"))
+    rows = st.to_memory(counted, "hh_rate")
+    return rows.select("item", (F.col("cnt") % 100 == 0).alias("whole"), (F.col("cnt") > 0).alias("some"))
+
+
+add("src_rate", _rate, "SELECT range AS item, true AS whole, true AS some FROM range(7)")
+add("sink_memory", lambda s, d: st.to_memory(_events(s, d).groupBy(F.col("event_type").alias("item")).agg(F.count("*").alias("cnt")), "hh_types"), "SELECT event_type AS item, count(*) AS cnt FROM events GROUP BY 1")
