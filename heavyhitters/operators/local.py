@@ -141,9 +141,11 @@ def with_headers(counters: DataFrame, totals: DataFrame, k: int | str, keys: Seq
     counters = counters.withColumn("min_est", F.when(full, F.min("est").over(whole)).otherwise(F.lit(0)).cast("bigint"))
     stats = counters.groupBy(*block).agg(F.count("*").alias("nz"), F.max("min_est").alias("min_est"), F.sum("est").alias("total_est"))
     named = [] if "k" in keys else [size.cast("bigint").alias("k")]
-    zero = lambda c: F.coalesce(c, F.lit(0)).cast("bigint").alias(c)
-    headers = totals.join(stats, block, "left").select(*block, "n", *named, zero("nz"), zero("min_est"), zero("total_est"))
-    return Summaries(counters, headers, k, list(keys), most)
+    # put together by an aggregation, not a join, whose filters would keep the optimizer from sharing the scan
+    zero = lambda *names: [F.lit(0).cast("bigint").alias(c) for c in names]
+    both = totals.select(*block, F.col("n").cast("bigint").alias("n"), *zero("nz", "min_est", "total_est")).unionByName(stats.select(*block, *zero("n"), "nz", "min_est", "total_est"))
+    headers = both.groupBy(*block).agg(F.sum("n").alias("n"), *(F.max(c).alias(c) for c in ("nz", "min_est", "total_est")))
+    return Summaries(counters, headers.select(*block, "n", *named, "nz", "min_est", "total_est"), k, list(keys), most)
 
 
 def histogram(df: DataFrame, item: str, k: int | str, keys: Sequence[str] = (), weight: str | None = None, blocks: int | None = None, ks: Sequence[int] = ()) -> Summaries:

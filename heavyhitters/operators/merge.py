@@ -108,14 +108,24 @@ def tree(s: Summaries, blocks: int, fan_in: int = 2) -> Summaries:
 
 
 def flat(s: Summaries) -> Summaries:
-    """Merge all blocks in one aggregation; never a larger estimate than the tree's."""
+    """Merge all blocks in one aggregation; never a larger estimate than the tree's.
+
+    Without keys, counters carry `n` along, so that a report reads nothing but them.
+    """
     if s.keys:
         return _level(s, F.lit(0))
     totals = s.headers.agg(F.sum("n").alias("n"), F.coalesce(F.sum("min_est"), F.lit(0)).alias("pad"))
     over = s.counters.groupBy("item").agg(F.sum(F.col("est") - F.col("min_est")).alias("_e"), F.sum(F.col("err") - F.col("min_est")).alias("_r"))
-    padded = over.crossJoin(F.broadcast(totals)).select("item", (F.col("_e") + F.col("pad")).alias("est"), (F.col("_r") + F.col("pad")).alias("err"), "n")
-    kept = keep_largest(padded, s.k, []).withColumn("block_id", F.lit(0))
-    return with_headers(kept.drop("n"), totals.select(F.lit(0).alias("block_id"), F.coalesce("n", F.lit(0)).cast("bigint").alias("n")), s.k, [])
+    padded = over.crossJoin(F.broadcast(totals)).select("item", (F.col("_e") + F.col("pad")).alias("est"), (F.col("_r") + F.col("pad")).alias("err"), F.coalesce("n", F.lit(0)).cast("bigint").alias("n"))
+    zero, size = F.lit(0).cast("bigint"), as_column(s.k)
+    kept = keep_largest(padded, s.k, [])
+    whole = Window.partitionBy("block_id")  # at most k rows
+    full = F.count("*").over(whole) == size
+    counters = kept.withColumn("block_id", F.lit(0)).withColumn("min_est", F.when(full, F.min("est").over(whole)).otherwise(zero))
+    stats = kept.agg(F.coalesce(F.max("n"), zero).alias("n"), F.count("*").alias("nz"), F.min("est").alias("_low"), F.coalesce(F.sum("est"), zero).alias("total_est"))
+    least = F.when(F.col("nz") == size, F.col("_low")).otherwise(zero)
+    headers = stats.select(F.lit(0).alias("block_id"), "n", size.cast("bigint").alias("k"), "nz", least.alias("min_est"), "total_est")
+    return Summaries(counters.select("block_id", "item", "est", "err", "min_est", "n"), headers, s.k, [], s.most)
 
 
 def disjoint(s: Summaries) -> Summaries:

@@ -7,7 +7,7 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..model import Summaries, match, threshold_col, weighted
+from ..model import Summaries, as_column, match, threshold_col, weighted
 
 #: Candidates that may be broadcast; each is an item and its threshold.
 BROADCAST_ITEMS = 1_000_000
@@ -15,8 +15,10 @@ BROADCAST_ITEMS = 1_000_000
 
 def _with_header(s: Summaries) -> DataFrame:
     """Counters with n and k of their summary; a header is one row per key."""
-    head = s.headers.select(*s.keys, "n", *([] if "k" in s.keys else ["k"]))
     rows = s.counters.drop("min_est", "block_id")
+    if "n" in rows.columns:
+        return rows.withColumn("k", as_column(s.k).cast("bigint"))
+    head = s.headers.select(*s.keys, "n", *([] if "k" in s.keys else ["k"]))
     return rows.join(head, s.keys) if s.keys else rows.crossJoin(F.broadcast(head))
 
 

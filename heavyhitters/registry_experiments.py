@@ -11,10 +11,13 @@ from collections.abc import Callable, Sequence
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import registry_sql as R
 from .functions import cost, metrics
-from .plans import experiments
+from .operators import baseline, exact, local
+from .plans import api, experiments
 from .plans.experiments import Case
 from .registry import P, add
+from .sources import datagen
 from .sources.workloads import table
 
 SEEDS = tuple(range(1, 21))
@@ -72,6 +75,22 @@ for _name, _grid in GRIDS.items():
 for _name in ("exp1_vary_k", "exp3_vary_rho"):
     add(f"inv_{_name}_sequential", lambda spark, d, g=GRIDS[_name]: held(runs(spark, d, g, 0.5, (1, 2, 3))), "SELECT 3::BIGINT AS seeds, true AS recall_ok, true AS error_ok, true AS precision_ok")
 
+#: Where the summaries are to win over counting every distinct item: long sequences with many of them.
+LONG = 20
+_LONG = f"(SELECT {LONG} * count(*) FROM lineitem)"
+
+
+def long_sequence(spark: SparkSession, d: str) -> DataFrame:
+    return datagen.shifted_power_law(spark, table(spark, d, "lineitem").count() * LONG, 1.0, 1_100_000, (1,), 0.5)
+
+
+_EXACT = R.exact(f"SELECT item FROM ({datagen.sql_items(_LONG, 1.0, 1_100_000, [1], 0.5)})", K)
+add("exact_synthetic_long", lambda spark, d: exact.k_majority(long_sequence(spark, d), "item", K), _EXACT)
+add("ss_synthetic_long_verified", lambda spark, d: api.frequent_items(long_sequence(spark, d), "item", K, verify=True), _EXACT)
+add("ss_synthetic_long", lambda spark, d: api.frequent_items(long_sequence(spark, d), "item", K))
+add("dm_synthetic_long", lambda spark, d: baseline.deficit_merge(local.per_block(long_sequence(spark, d), "item", K), 64))
+
+
 #: Items are the rows of lineitem this many times, so that counting outweighs starting tasks; runs of each setting.
 REPLICAS, RUNS = 50, 3
 

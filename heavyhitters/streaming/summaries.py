@@ -133,7 +133,7 @@ def running_summary(stream: DataFrame, item: str, k: int, store: str | None = No
         if before:
             old = spark.read.schema(shape).parquet(f"{store}/{before[-1]}")
             past = local.with_headers(old.select("item", "est", "err").withColumn("block_id", F.lit(1)), old.agg(F.coalesce(F.max("n"), F.lit(0)).alias("n")).withColumn("block_id", F.lit(1)), k, [])
-            now = merge.flat(Summaries(now.counters.unionByName(past.counters), now.headers.unionByName(past.headers), k))
+            now = merge.flat(Summaries(now.counters.drop("n").unionByName(past.counters), now.headers.unionByName(past.headers), k))
         now.counters.select("item", "est", "err").crossJoin(F.broadcast(now.headers.select("n"))).write.mode("overwrite").parquet(f"{store}/{batch_id}")
 
     stream.writeStream.option("checkpointLocation", state).trigger(availableNow=True).foreachBatch(fold).start().awaitTermination()
