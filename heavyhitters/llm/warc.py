@@ -84,10 +84,14 @@ def write_archive(pages: DataFrame, path: str | None = None, min_revisit_bytes:
 
 
 def read_records(spark: SparkSession, archive: Archive) -> DataFrame:
-    """(page_id, key, head_bytes, record binary): every record as its exact bytes, header, block and end mark."""
+    """(page_id, key, head_bytes, record binary): every record as its exact bytes, header, block and end mark.
+
+    A stored payload that does not match the strong digest it stands under fails the query.
+    """
+    whole = F.when(F.sha2("payload", 256) == F.col("key"), F.col("payload")).otherwise(F.raise_error(F.concat(F.lit("payload differs from its key "), F.col("key"))).cast("binary"))
     end = F.encode(F.lit(CRLF + CRLF), "UTF-8")
     headers = archive.headers(spark).withColumn("head_bytes", F.octet_length("header"))
-    full = headers.filter(~F.col("is_revisit")).join(archive.payloads(spark), "key").select("page_id", "key", "head_bytes", F.concat("header", "payload", end).alias("record"))
+    full = headers.filter(~F.col("is_revisit")).join(archive.payloads(spark), "key").select("page_id", "key", "head_bytes", F.concat("header", whole, end).alias("record"))
     return full.unionByName(headers.filter("is_revisit").select("page_id", "key", "head_bytes", F.concat("header", end).alias("record")))
 
 

@@ -92,6 +92,11 @@ def test_archive(spark):
     exact = {bytes(r.record) for r in warc.read_records(spark, archive).filter("page_id = 4").collect()}
     assert len(exact) == 1 and next(iter(exact)).endswith(b"Content-Length: 5\r\n\r\nsmall\r\n\r\n")
     assert warc.archive_index(spark, warc.write_archive(pages.limit(0))).collect() == []
+    spoilt = warc.Archive(archive.path + "-spoilt")
+    archive.headers(spark).write.parquet(f"{spoilt.path}/headers")
+    archive.payloads(spark).withColumn("payload", F.concat("payload", F.lit(b"!"))).write.parquet(f"{spoilt.path}/payloads")
+    with pytest.raises(Exception, match="differs"):
+        warc.read_records(spark, spoilt).collect()
 
 
 # ---- 3 ----------------------------------------------------------------------------------
@@ -361,12 +366,23 @@ def near(pattern, text):
     return min(last)
 
 
+def least_distance(pattern, text):
+    """`near` with rows of numpy: a row's insertions are a running minimum."""
+    codes = np.frombuffer(text.encode("utf-32-le"), np.uint32)
+    at = np.arange(len(codes) + 1)
+    last = np.zeros(len(codes) + 1, np.int64)
+    for c in pattern:
+        now = np.concatenate([[last[0] + 1], np.minimum(last[1:] + 1, last[:-1] + (codes != ord(c)))])
+        last = np.minimum.accumulate(now - at) + at
+    return int(last.min())
+
+
 def test_pattern_distance():
     rng = random.Random(7)
     for _ in range(200):
         p, t = ("".join(rng.choice("abc") for _ in range(rng.randint(1, n))) for n in (90, 120))
         distance, end = decontamination.Pattern(p).best(t)
-        assert distance == min(near(p, t), len(p)) and (end == 0 or near(p, t[:end]) == distance)
+        assert distance == min(near(p, t), len(p)) == min(least_distance(p, t), len(p)) and (end == 0 or near(p, t[:end]) == distance)
 
 
 @pytest.mark.parametrize("block", [decontamination.BLOCK_BYTES, 200])
@@ -556,6 +572,27 @@ def crc(i, m):
     return zlib.crc32(str(i).encode()) % m
 
 
+def test_registered_token_counts_against_the_library(spark):
+    """Every text of the tables, and random ones of awkward characters, as the library itself counts them."""
+    import __spark_entry__
+    import public_tokenizers
+    import sentencepiece
+    from conftest import DATA
+
+    file = public_tokenizers.path("piece_bpe_32k.model")
+    model = sentencepiece.SentencePieceProcessor(model_file=file)
+    for sf in (DATA, "/root/testdata/sf0.01"):
+        text = {r.doc_id: r.text or "" for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+        got = __spark_entry__.queries()["op9_token_counts"](spark, sf).collect()
+        want = dict(zip(text, map(len, model.encode(list(text.values())))))
+        assert len(got) == len(text) and {r.doc_id: r.n_tokens for r in got} == want
+        assert all(r.n_bytes == len(text[r.doc_id].encode()) and r.over_limit == (r.n_tokens > 4096) for r in got)
+    rng = random.Random(16)
+    odd = ["".join(rng.choice("ab  \n\t▁é字<s>\u200b́😀0.") for _ in range(rng.randint(0, 40))) for _ in range(3000)]
+    docs = spark.createDataFrame([*enumerate(odd)], "doc_id long, text string")
+    assert [r.n_tokens for r in sorted(token_counts.count_tokens(docs, file).collect())] == [len(x) for x in model.encode(odd)]
+
+
 def test_registered_against_brute_force(spark):
     import __spark_entry__
     from conftest import DATA
@@ -575,6 +612,11 @@ def test_registered_against_brute_force(spark):
     items = [(r.item_id, decontamination.normalise(r.text)) for r in spark.read.parquet(f"{DATA}/benchmark.parquet").collect()]
     exact = {(i, k) for i, t in data for k, x in items if x in decontamination.normalise(t)}
     assert exact <= hits
+    # all pairs, by the plain table of distances: a third of the items against all texts that are not long
+    some = [(k, x) for k, x in items if k % 3 == 0]
+    texts = [(i, decontamination.normalise(t)) for i, t in data]
+    slow = {(i, k) for i, t in texts if len(t) <= 4000 for k, x in some if least_distance(x, t) <= int(len(x) / 16)}
+    assert slow == {(i, k) for i, k in hits if k % 3 == 0 and len(dict(texts)[i]) <= 4000}
 
 
 def test_pipeline(spark):
