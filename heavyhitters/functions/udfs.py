@@ -12,6 +12,7 @@ from pyspark.sql import types as T
 
 from ..model import as_item
 from ..operators.kernels import NULL, ChunkedKernel, SequentialKernel, plain
+from ..operators.sketches import portable_hash_of
 
 COUNTERS = "array<struct<item:bigint,est:bigint,err:bigint>>"
 
@@ -39,7 +40,7 @@ def summary_agg(k: int, nulls: str = "drop"):
 @F.pandas_udf(T.LongType())
 def portable_hash_udf(x: pd.Series) -> pd.Series:
     """Seed 0 of the portable hash, vectorised; the column expression is preferred."""
-    return ((x % 2147483647 * 48271 + 11) % 2147483647 * 69621 + 5) % 2147483647
+    return pd.Series(portable_hash_of(x.to_numpy(), 0))
 
 
 def per_group_sequential(df: DataFrame, group: str, item: str, order_by: str, k: int) -> DataFrame:

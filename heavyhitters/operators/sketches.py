@@ -24,16 +24,30 @@ PRIME = 2147483647
 
 
 def portable_hash(x: Column, seed: int) -> Column:
-    """Two rounds of a multiplicative congruence on a bigint: the same in any SQL engine."""
+    """Two multiplicative rounds on a bigint with the bits folded after each: the same in any SQL engine.
+
+    Without the folds a hash of row numbers would be a lattice, far more even than chance.
+    """
     a, c = 48271 + 2 * seed, 11 + 7919 * seed
     once = (F.pmod(x, F.lit(PRIME)) * a + c) % PRIME
-    return (once * 69621 + 13 * seed + 5) % PRIME
+    once = once.bitwiseXOR(F.shiftright(once, 13))
+    twice = (once * 69621 + 13 * seed + 5) % PRIME
+    return (twice.bitwiseXOR(F.shiftright(twice, 16)) * 40692 + seed) % PRIME
 
 
 def portable_hash_of(x: np.ndarray, seed: int) -> np.ndarray:
-    """The same on 64-bit integers in memory; numbers from 0 on."""
-    a, c = 48271 + 2 * seed, 11 + 7919 * seed
-    return ((x % PRIME * a + c) % PRIME * 69621 + 13 * seed + 5) % PRIME
+    """The same on 64-bit integers in memory."""
+    once = (x % PRIME * (48271 + 2 * seed) + 11 + 7919 * seed) % PRIME
+    once = once ^ (once >> 13)
+    twice = (once * 69621 + 13 * seed + 5) % PRIME
+    return ((twice ^ (twice >> 16)) * 40692 + seed) % PRIME
+
+
+def portable_hash_sql(x: str, seed: int) -> str:
+    """The same as an SQL expression; x is from 0 on."""
+    once = f"((({x}) % {PRIME}) * {48271 + 2 * seed} + {11 + 7919 * seed}) % {PRIME}"
+    twice = f"(xor({once}, ({once}) >> 13) * 69621 + {13 * seed + 5}) % {PRIME}"
+    return f"(xor({twice}, ({twice}) >> 16) * 40692 + {seed}) % {PRIME}"
 
 
 def decrement(df: DataFrame, item: str, k: int) -> DataFrame:

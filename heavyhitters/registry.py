@@ -383,7 +383,7 @@ add("sk_lossy_inv", _lossy, _DISTINCT.format(W["values"]))
 
 
 def _sketch_sql(w: str, depth: int, width: int, final: str) -> str:
-    h = lambda s: f"((((item % {sketches.PRIME}) * {48271 + 2 * s} + {11 + 7919 * s}) % {sketches.PRIME}) * 69621 + {13 * s + 5}) % {sketches.PRIME}"
+    h = lambda s: sketches.portable_hash_sql("item", s)
     cells = " UNION ALL ".join(f"SELECT item, cnt, {r} AS row, {h(2 * r)} % {width} AS bucket, 1 - 2 * ({h(2 * r + 1)} % 2) AS sign FROM c" for r in range(depth))
     return f"WITH c AS (SELECT item, count(*)::BIGINT AS cnt FROM ({W[w]}) GROUP BY item), x AS ({cells}) {final}"
 

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from . import registry_sql as R
 from .functions import udfs
-from .operators import exact, local, merge
+from .operators import exact, local, merge, sketches
 from .plans import api
 from .registry import P, add, chain, summaries
 from .sources import stores
@@ -184,7 +184,7 @@ def _udaf(s: SparkSession, d: str) -> DataFrame:
 
 
 add("op_udaf_summary", _udaf, "SELECT event_type, user_id AS item, count(*) AS est, 0::BIGINT AS err FROM events GROUP BY ALL")
-add("op_udf_scalar", lambda s, d: T(s, d, "orders").select("o_orderkey", udfs.portable_hash_udf("o_custkey").alias("h")), "SELECT o_orderkey, ((o_custkey % 2147483647 * 48271 + 11) % 2147483647 * 69621 + 5) % 2147483647 AS h FROM orders")
+add("op_udf_scalar", lambda s, d: T(s, d, "orders").select("o_orderkey", udfs.portable_hash_udf("o_custkey").alias("h")), f"SELECT o_orderkey, ({sketches.portable_hash_sql('o_custkey', 0)})::BIGINT AS h FROM orders")
 add("op_grouped_map", lambda s, d: udfs.per_group_sequential(WORKLOADS["flows"](s, d), "event_type", "item", "key", 1000), "SELECT event_type, user_id AS item, count(*) AS est, 0::BIGINT AS err FROM events GROUP BY ALL")
 
 

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.sketches import PRIME, portable_hash
+from ..operators.sketches import PRIME, portable_hash, portable_hash_sql
 
 #: Cumulative weights stay under this, so that hash * weight fits 64 bits.
 TOTAL = 1 << 31
@@ -103,7 +103,7 @@ def sql_items(n: str, rho: float, universe: int, seeds: Sequence[int], a: float,
     s = exponent(rho, mode)
     x = f"(j + {a!r}::DOUBLE)"
     power = "*".join(["1.0::DOUBLE", *([x] * int(s)), *([f"sqrt({x})"] if s % 1 else [])])
-    hashes = " UNION ALL ".join(f"SELECT {x} AS seed, id, (((id % {PRIME}) * {48271 + 2 * x} + {11 + 7919 * x}) % {PRIME} * 69621 + {13 * x + 5}) % {PRIME} AS h FROM ids" for x in map(int, seeds))
+    hashes = " UNION ALL ".join(f"SELECT {x} AS seed, id, ({portable_hash_sql('id', x)})::BIGINT AS h FROM ids" for x in map(int, seeds))
     return f"""SELECT seed, id, item FROM (
 WITH ids AS (SELECT range AS id FROM range(({n})::BIGINT)), hs AS ({hashes}),
 w AS (SELECT j AS item, floor({scale(s, universe, a)} / ({power}))::BIGINT AS w FROM (SELECT range AS j FROM range(1, {universe + 1}))),

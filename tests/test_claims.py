@@ -56,3 +56,41 @@ def test_one_block_is_the_sequential_pass(spark):
     eight = got[8, "summary"]
     assert eight.recall == 1 and eight.n_reported == 37 and eight.total_error == 52
     assert got[8, "deficit"].n_reported == 93 and got[8, "deficit"].total_error == 4932
+
+
+def test_literal_runs(spark):
+    """The item-at-a-time experiments: recall 1, one worker alike, more workers more error, and only the baseline imprecise."""
+    from heavyhitters.plans.experiments import Case, literal_runs
+
+    cases, ks, seeds = [Case(p, 30_000, 1.5, 0.5) for p in (1, 2, 8)], (100, 400, 1000), (1, 2, 3)
+    got = {(r.method, r.p, r.k, r.seed): r for r in literal_runs(spark, cases, ks, seeds, 100_000).collect()}
+    assert len(got) == 2 * 3 * 3 * 3 and all(r.recall == 1 for r in got.values())
+    for seed in seeds:
+        for k in ks:
+            ours, theirs = ({p: got[m, p, k, seed] for p in (1, 2, 8)} for m in ("summary", "deficit"))
+            assert ours[1].total_error == theirs[1].total_error and ours[1].precision == theirs[1].precision
+            for p in (2, 8):
+                assert ours[p].total_error <= theirs[p].total_error and ours[p].precision >= 0.9 > 0.5 > theirs[p].precision
+            assert theirs[8].total_error > theirs[1].total_error
+    for p in (2, 8):
+        falling = [sum(got["deficit", p, k, s].total_error for s in seeds) for k in ks]
+        assert falling == sorted(falling, reverse=True)
+
+
+def test_blocks_of_a_range_are_contiguous(spark):
+    """Partition i of a range of n rows starts at floor(i * n / p), which the literal runs rely on."""
+    from pyspark.sql import functions as F
+
+    for n, p in ((60_175, 8), (10, 7), (1001, 5)):
+        first = spark.range(0, n, 1, p).groupBy(F.spark_partition_id().alias("b")).agg(F.min("id").alias("low"))
+        assert {r.b: r.low for r in first.collect()} == {b: b * n // p for b in range(p)}
+
+
+def test_long_sequences(spark):
+    """The verified report of the summaries is the exact answer."""
+    import __spark_entry__
+    from conftest import DATA
+
+    q = __spark_entry__.queries()
+    exact, ours = ({(r.item, r.cnt) for r in q[n](spark, DATA).collect()} for n in ("exact_synthetic_long", "ss_synthetic_long_verified"))
+    assert exact == ours and len(exact) > 50
