@@ -440,7 +440,7 @@ def test_tokens(spark, edge, none):
     model = sentencepiece.SentencePieceProcessor(model_file=file)
     texts = ["", " ", "  ", "a ", " a  b\n ", "▁", "a▁▁ b", "\n\n x\t", "<s> </s> <0x0A> <unk>", "日本語 テキスト ", "é́ ﬁ \x00 ▁ x", LONG]
     docs = spark.createDataFrame([*enumerate(texts), (99, None)], "doc_id long, text string").withColumn("n_tokens", F.lit("x"))
-    got = {r.doc_id: r for r in token_counts.count_tokens(docs, file, limit=3, memo_entries=4).collect()}
+    got = {r.doc_id: r for r in token_counts.count_tokens(docs, file, limit=3, frequent=4).collect()}
     for i, t in enumerate(texts):
         n = len(model.encode(t))
         assert (got[i].n_tokens, got[i].n_bytes, got[i].over_limit) == (n, len(t.encode()), n > 3)
@@ -448,6 +448,24 @@ def test_tokens(spark, edge, none):
     assert token_counts.count_tokens(edge, file).count() == len(EDGE) and token_counts.count_tokens(none, file).collect() == []
 
 
+@pytest.mark.parametrize("frequent", [0, 3, 1 << 18])
+def test_tokens_with_few_or_many_frequent_pre_tokens(spark, frequent):
+    """Counts do not depend on what is broadcast; ids repeat and are null, pre-tokens are long."""
+    import public_tokenizers
+    import sentencepiece
+
+    file = public_tokenizers.path("piece_bpe_32k.model")
+    rng = random.Random(frequent)
+    words = ["the", "a", "x" * 65, "y" * 5000, "café", "", *(f"w{i}" for i in range(500))]
+    texts = [" ".join(rng.choice(words[: rng.choice([3, 6, 506])]) for _ in range(rng.randint(0, 300))) for _ in range(120)]
+    docs = spark.createDataFrame([(None if i % 3 else str(i % 6), t) for i, t in enumerate(texts)], "doc_id string, text string").repartition(5).sortWithinPartitions("text")
+    chosen = token_counts.frequent_pieces(docs, file, frequent)
+    assert len(chosen) <= frequent and (frequent != 1 << 18 or {"the", "a", "café", "w7"} <= set(chosen)) and all(len(w) <= 64 for w in chosen)
+    got = token_counts.count_tokens(docs, file, frequent=frequent).collect()
+    model = sentencepiece.SentencePieceProcessor(model_file=file)
+    assert sorted((str(r.doc_id), r.n_bytes, r.n_tokens) for r in got) == sorted((str(None if i % 3 else i % 6), len(t.encode()), len(model.encode(t))) for i, t in enumerate(texts))
+
+
 # ---- 10 ---------------------------------------------------------------------------------
 
 
