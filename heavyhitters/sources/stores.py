@@ -43,6 +43,9 @@ def partitioned(df: DataFrame, by: str) -> DataFrame:
 
 
 def bucketed(df: DataFrame, name: str, by: str, n: int) -> DataFrame:
-    """A table bucketed by a column: joins on it do not shuffle again."""
-    df.write.bucketBy(n, by).sortBy(by).mode("overwrite").saveAsTable(name)
+    """A table bucketed by a column: joins on it do not shuffle again.
+
+    Its files are in the shared folder, not in the warehouse, and go when the application ends.
+    """
+    df.write.bucketBy(n, by).sortBy(by).option("path", scratch(df.sparkSession, name)).mode("overwrite").saveAsTable(name)
     return df.sparkSession.table(name)
