@@ -107,5 +107,6 @@ def sql_items(n: str, rho: float, universe: int, seeds: Sequence[int], a: float,
     return f"""SELECT seed, id, item FROM (
 WITH ids AS (SELECT range AS id FROM range(({n})::BIGINT)), hs AS ({hashes}),
 w AS (SELECT j AS item, floor({scale(s, universe, a)} / ({power}))::BIGINT AS w FROM (SELECT range AS j FROM range(1, {universe + 1}))),
-c AS (SELECT item, sum(w) OVER (ORDER BY item) - w AS lo FROM w WHERE w > 0), t AS (SELECT sum(w)::BIGINT AS total FROM w)
-SELECT seed, id, item FROM (SELECT seed, id, h * total // {PRIME} AS x FROM hs, t) q ASOF JOIN c ON q.x >= c.lo)"""
+c AS (SELECT item, sum(w) OVER (ORDER BY item) - w AS lo FROM w WHERE w > 0), t AS (SELECT sum(w)::BIGINT AS total FROM w),
+m AS (SELECT seed, id, h * total // {PRIME} AS x, NULL AS item FROM hs, t UNION ALL SELECT NULL, NULL, lo, item FROM c)
+SELECT seed, id, item FROM (SELECT seed, id, max(item) OVER (ORDER BY x, id NULLS FIRST ROWS UNBOUNDED PRECEDING) AS item FROM m) WHERE id IS NOT NULL)"""
