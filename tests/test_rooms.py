@@ -29,3 +29,10 @@ def test_grouped_map_beyond_k(spark):
     df = many(spark)
     got = udfs.per_group_sequential(df, "g", "item", "key", 10, blocks.rooms(df, "item", 10, ["g"])).collect()
     assert {(r.g, r.item): r.est for r in got} == counts(df, "g", "item") and {r.err for r in got} == {0}
+
+
+def test_udaf_beyond_k(spark):
+    df = many(spark)
+    rooms = blocks.rooms(df, "item", 10, ["g"])
+    got = df.groupBy("g", blocks.room(F.col("item"), rooms)).agg(udfs.summary_agg(10)("item").alias("c")).select("g", F.inline("c")).collect()
+    assert {(r.g, r.item): r.est for r in got} == counts(df, "g", "item") and {r.err for r in got} == {0}
