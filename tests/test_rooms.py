@@ -5,7 +5,7 @@ from collections import Counter
 from pyspark.sql import functions as F
 
 from heavyhitters.functions import udfs
-from heavyhitters.operators import blocks
+from heavyhitters.operators import blocks, local
 
 
 def many(spark, items=130, rows=900):
@@ -25,6 +25,13 @@ def test_rooms_hold_at_most_k(spark):
         assert n > 1 and fullest <= k
 
 
+def test_sequential_exact_beyond_k(spark):
+    df = many(spark).unionByName(many(spark).limit(2).withColumn("item", F.lit(None).cast("long")))
+    got = {r.item: (r.est, r.err) for r in local.sequential_exact(df, "item", 10, ["key"]).collect()}
+    assert got == {i: (c, 0) for (i,), c in counts(df, "item").items()}
+    assert {r.err for r in local.sequential(df, "item", 10, ["key"]).collect()} != {0}
+
+
 def test_grouped_map_beyond_k(spark):
     df = many(spark)
     got = udfs.per_group_sequential(df, "g", "item", "key", 10, blocks.rooms(df, "item", 10, ["g"])).collect()
