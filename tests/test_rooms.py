@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from heavyhitters.functions import udfs
 from heavyhitters.operators import blocks, local
+from heavyhitters.streaming import summaries as st
 
 
 def many(spark, items=130, rows=900):
@@ -43,3 +44,14 @@ def test_udaf_beyond_k(spark):
     rooms = blocks.rooms(df, "item", 10, ["g"])
     got = df.groupBy("g", blocks.room(F.col("item"), rooms)).agg(udfs.summary_agg(10)("item").alias("c")).select("g", F.inline("c")).collect()
     assert {(r.g, r.item): r.est for r in got} == counts(df, "g", "item") and {r.err for r in got} == {0}
+
+
+def test_state_beyond_k_over_several_batches(spark, tmp_path):
+    """A batch updates the states it meets; the states of others must not be lost with it."""
+    df = many(spark)
+    for g in ("a", "b"):
+        df.filter(F.col("g") == g).coalesce(1).write.mode("append").parquet(str(tmp_path))
+    stream = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path))
+    states = st.stateful_summary(stream, "g", "item", 10, "key", rooms=blocks.rooms(df, "item", 10, ["g"]))
+    got = st.run_available_now(states, "update", keys=("key", "room")).select("key", F.inline(F.arrays_zip("items", "ests", "errs"))).collect()
+    assert {(r[0], r[1]): r[2] for r in got} == counts(df, "g", "item") and {r[3] for r in got} == {0}
