@@ -8,7 +8,7 @@ from conftest import DATA
 from heavyhitters.functions import cost
 
 
-@pytest.mark.parametrize("name, file", [("cost_comm", "lineitem"), ("cost_depth", "lineitem"), ("cost_isoefficiency", "lineitem"), ("cost_scalability", "lineitem"), ("cost_time_model", "lineitem"), ("gen_range_join", "events")])
+@pytest.mark.parametrize("name, file", [("cost_comm", "lineitem"), ("cost_depth", "lineitem"), ("cost_isoefficiency", "lineitem"), ("cost_scalability", "lineitem"), ("cost_time_model", "lineitem"), ("gen_range_join", "events"), ("op_scan_range", "events")])
 def test_the_plan_scans_a_table(spark, name, file):
     assert f"{file}.parquet" in entry.queries()[name](spark, DATA)._jdf.queryExecution().executedPlan().toString()
 
