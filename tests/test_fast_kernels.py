@@ -5,6 +5,7 @@ from collections import Counter
 import numpy as np
 import pytest
 
+from heavyhitters.operators import local
 from heavyhitters.operators.kernels import ArrayKernel, SequentialKernel
 from heavyhitters.operators.sketches import PRIME, portable_hash_of
 from heavyhitters.plans import experiments
@@ -44,6 +45,16 @@ def test_guided_draws(rho):
         assert (law.drawn(edges) == datagen.drawn(law.bounds, edges)).all()
 
 
+def test_packed_items_are_the_same(spark, monkeypatch):
+    monkeypatch.setattr(datagen, "CHUNK", 1000)
+    rows = datagen.packed_power_law(spark, 10_007, 1.5, 500, 1, 0.5, 3)
+    packed = np.concatenate([np.frombuffer(r.items, "<u4") for r in rows.collect()])
+    plain = datagen.shifted_power_law(spark, 10_007, 1.5, 500, (1,), 0.5).orderBy("id").collect()
+    assert packed.tolist() == [r.item for r in plain]
+    s = local.per_block(rows, "items", 20, packed=True)
+    assert sum(r.n for r in s.headers.collect()) == 10_007
+
+
 def test_experiment_counts(spark, monkeypatch):
     """Blocks, seeds and exact counts in many tasks are those of one."""
     case = experiments.Case(3, 5003, 1.0, 0.5)
