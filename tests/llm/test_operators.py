@@ -299,6 +299,51 @@ def test_hash_collisions_remove_nothing(monkeypatch):
         assert seen == sorted(seen) and [i for i in range(len(seen)) if not i or seen[i] != seen[i - 1]] == lead.tolist()
 
 
+@pytest.mark.parametrize("shared", [False, True])
+def test_only_hot_windows_are_sorted_twice(spark, monkeypatch, shared):
+    """Of many groups, only the windows of passages that more than `fan_in` documents have meet among some groups first."""
+    rng = random.Random(21)
+    passage = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(120))
+    twins, everywhere = [passage() for _ in range(12)], passage()
+    data = [(i, passage() + twins[i % 12] + passage() + everywhere * shared) for i in range(24)]
+    seen, write = {}, suffix_dedup.materialise
+    monkeypatch.setattr(suffix_dedup, "materialise", lambda df, tag, *more: seen.setdefault(tag, write(df, tag, *more)))
+    # a document a task: no task knows of a repeat by itself
+    docs = spark.createDataFrame(spark.sparkContext.parallelize(data, 24), "doc_id long, text string")
+    got = suffix_dedup.dedup_strings(docs, length=50, fan_in=3)
+    assert rows(got, "doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256") == strings_by_hand(data, 50)
+    assert seen["windows"].count() > 0 and (seen["hot"].count() > 0) == shared
+
+
+def test_one_of_many_copies_is_sorted(monkeypatch):
+    """Of equal suffixes one is sorted, of those that occur once none; the result is that of all pairs."""
+    rng = np.random.default_rng(22)
+    parts = [rng.integers(97, 123, 60).astype(np.uint8) for _ in range(40)]
+    data = np.concatenate([parts[0]] * 50 + [parts[1], parts[2]] * 3 + parts[3:])
+    at = (np.arange(len(data) // 60)[:, None] * 60 + np.arange(11)).ravel()
+    owner = rng.integers(0, 30, len(at))
+    text = [data[a : a + 50].tobytes() for a in at]
+    least = {}
+    for t, o in zip(text, owner.tolist()):
+        least[t] = min(least.get(t, o), o)
+    sizes, sort = [], suffix_dedup.Suffixes.by_bytes
+    monkeypatch.setattr(suffix_dedup.Suffixes, "by_bytes", lambda self, order: sizes.append(len(order)) or sort(self, order))
+    assert suffix_dedup.later_suffixes(data, at, owner, 50).tolist() == [o > least[t] for t, o in zip(text, owner.tolist())]
+    assert sizes == [33] and not len(suffix_dedup.later_suffixes(data, at[:0], owner[:0], 50))
+
+
+def test_later_windows_in_any_order():
+    """Owners that rise are sorted as one number with the hash, others by both keys; both see the same repeats."""
+    rng = np.random.default_rng(23)
+    data = np.tile(rng.integers(97, 123, 500).astype(np.uint8), 4)
+    at = np.arange(len(data) - 49)
+    hashed = suffix_dedup.spans(suffix_dedup.prefix(data), at, at + 50)
+    owner = at // 300
+    later = suffix_dedup.later_windows(hashed, owner, data, at, 50)
+    mixed = rng.permutation(len(at))
+    assert later.sum() > 1000 and (suffix_dedup.later_windows(hashed[mixed], owner[mixed], data, at[mixed], 50) == later[mixed]).all()
+
+
 # ---- 6, 8 ---------------------------------------------------------------------------------
 
 
