@@ -7,9 +7,9 @@ import pytest
 
 from heavyhitters.operators import local
 from heavyhitters.operators.kernels import ArrayKernel, SequentialKernel
-from heavyhitters.operators.sketches import PRIME, portable_hash_of
+from heavyhitters.operators.sketches import PRIME, portable_hash_of, portable_hash_range
 from heavyhitters.plans import experiments
-from heavyhitters.sources import datagen
+from heavyhitters.sources import datagen, packed
 
 
 def test_array_kernel_is_the_sequential_one(monkeypatch):
@@ -55,6 +55,42 @@ def test_packed_items_are_the_same(spark, monkeypatch):
     assert sum(r.n for r in s.headers.collect()) == 10_007
 
 
+def test_hashes_of_ranges():
+    for start in (0, 1_800_000_000, PRIME - 3, 5 * PRIME + 1):
+        for seed in (0, 1, 20, 1 << 30):
+            assert portable_hash_range(start, start + 3000, seed).tolist() == portable_hash_of(np.arange(start, start + 3000), seed).tolist()
+
+
+def test_narrow_items_are_the_same(spark, monkeypatch):
+    """One byte for small items, and the same counters as without; wide ones come back as they were."""
+    items = np.array([0, 255, 254, 1, (1 << 32) - 1, 255, 256, 0, 1 << 31])
+    for x in (items, items[:0], items[items < 255], items[items >= 255]):
+        assert packed.widened(packed.narrowed(x)).tolist() == x.tolist()
+        low, times = packed.counted(packed.narrowed(x))
+        assert dict(zip(low.tolist(), times.tolist())) == Counter(x.tolist()) and low.tolist() == sorted(low.tolist())
+    monkeypatch.setattr(datagen, "CHUNK", 1000)
+    for rho in (0.5, 1.5):
+        both = [datagen.packed_power_law(spark, 10_007, rho, 5000, 1, 0.5, 3, narrow) for narrow in (False, True)]
+        wide, narrow = ([bytes(r.items) for r in rows.collect()] for rows in both)
+        assert [np.frombuffer(x, "<u4").tolist() for x in wide] == [packed.widened(x).tolist() for x in narrow]
+        for builder in ("chunked", "sequential"):
+            read = lambda rows, narrow, builder=builder: sorted(map(tuple, local.per_block(rows, "items", 20, builder, packed=True, narrow=narrow).counters.collect()))
+            assert read(both[0], False) == read(both[1], True)
+
+
+def test_large_experiments_keep_items_out_of_the_heap(spark, monkeypatch):
+    """Items beyond the bound lie on disk, fewer in memory; the runs are the same, and nothing stays."""
+    seen, info = [], spark._jsc.sc().getRDDStorageInfo
+    deficit = experiments.baseline.deficit_merge
+    monkeypatch.setattr(experiments.baseline, "deficit_merge", lambda *a: seen.extend((x.memSize() > 0, x.diskSize() > 0) for x in info()) or deficit(*a))
+    for most, held in ((50_000, (True, False)), (49_999, (False, True))):
+        monkeypatch.setattr(experiments, "MEMORY_ITEMS", most)
+        rows = experiments.runtimes(spark, 50_000, 1.5, 50, (1, 2), 1, universe=500).collect()
+        assert sorted((r.law, r.method, r.p, r.run) for r in rows) == sorted((law, m, p, 0) for law in ("plain", "shifted") for m in ("summary", "deficit") for p in (1, 2))
+        assert seen == [held] * 4 and not list(info())
+        seen.clear()
+
+
 def test_experiment_counts(spark, monkeypatch):
     """Blocks, seeds and exact counts in many tasks are those of one."""
     case = experiments.Case(3, 5003, 1.0, 0.5)
